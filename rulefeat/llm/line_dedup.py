@@ -23,7 +23,7 @@ from ..storage import drop_path, materialise, scratch_path, ship_package
 
 SLOTS, KICKS = 4, 500
 FILTER_BYTES = 64 << 20  # of all filters together; beyond it lines meet the exact table by a shuffle join
-SHARDS = 64
+SHARDS = 64  # a power of two
 
 
 class CuckooFilter:
@@ -113,7 +113,7 @@ def line_keys(text: str | None, least: int) -> list[bytes | None]:
 
 
 def shard_of(h1: np.ndarray, shards: int) -> np.ndarray:
-    return (h1.view(np.uint64) % np.uint64(shards)).astype(np.int64)
+    return h1 & (shards - 1)
 
 
 @lru_cache(4)
@@ -121,10 +121,11 @@ def _loaded(raw: tuple) -> dict[int, CuckooFilter]:
     return {s: CuckooFilter.load(b) for s, b in raw}
 
 
-def _references(docs: DataFrame, text_col: str, id_col: str, least: int) -> DataFrame:
-    """(h1, h2, doc_id), each key once for each row of docs."""
+def _references(docs: DataFrame, text_col: str, id_col: str, least: int, filters=None, shards: int = SHARDS) -> DataFrame:
+    """(h1, h2, doc_id), each key once for each row of docs; with filters (a broadcast) only keys that these let through."""
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        loaded = _loaded(filters.value) if filters else None
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
                 part = batch.slice(start, 256)
@@ -133,21 +134,29 @@ def _references(docs: DataFrame, text_col: str, id_col: str, least: int) -> Data
                     new = {k for k in line_keys(text.as_py(), least) if k}
                     found.extend(new)
                     rows.extend([i] * len(new))
-                both = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2)
-                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), part.column(0).take(pa.array(rows, pa.int64()))], ["h1", "h2", "doc_id"])
+                both, at = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2), np.array(rows, np.int64)
+                if loaded is not None:
+                    shard, keep = shard_of(both[:, 0], shards), np.zeros(len(at), bool)
+                    for s in np.unique(shard):
+                        if s in loaded:
+                            of = shard == s
+                            keep[of] = loaded[s].contains(both[of, 0].view(np.uint64), both[of, 1].view(np.uint64))
+                    both, at = both[keep], at[keep]
+                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), part.column(0).take(pa.array(at))], ["h1", "h2", "doc_id"])
 
     id_type = dict(docs.select(id_col).dtypes)[id_col]
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(keys, f"h1 long, h2 long, doc_id {id_type}")
 
 
 class LineIndex:
-    """The state of incremental line dedup in a shared folder: reference log, counts, filters."""
+    """The state of incremental line dedup in a shared folder: log of references, counts, filters."""
 
     def __init__(self, spark: SparkSession, folder: str | None = None, least: int = 20, threshold: int = 3, shards: int = SHARDS, filter_bytes: int = FILTER_BYTES):
         self.spark, self.folder = spark, folder or scratch_path(spark, "lines")
         self.least, self.threshold, self.shards, self.filter_bytes = least, threshold, shards, filter_bytes
-        self.round = 0
-        self.repeated: DataFrame | None = None  # key, largest id and count of keys at the threshold or beyond
+        self.rounds, self.deletions = 0, False
+        self.repeated: DataFrame | None = None  # (h1, h2, n, top_id) of the keys at the threshold or beyond
+        self.filters: dict[int, bytes] | None = {}  # None: they outgrew their bound
         ship_package(spark)
 
     def insert(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> LineIndex:
@@ -155,106 +164,65 @@ class LineIndex:
 
     def delete(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> LineIndex:
         """Take out documents that were inserted before, with the same texts."""
+        self.deletions = True
         return self._log(docs, text_col, id_col, -1)
 
     def _log(self, docs: DataFrame, text_col: str, id_col: str, sign: int) -> LineIndex:
-        part = f"{self.folder}/log/round={self.round}"
-        # rows alike in key and id are added up before the shuffle, and the log has one row of each
-        (_references(docs, text_col, id_col, self.least).groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n"), F.max("doc_id").alias("top_id"))
-         if self.round == 0 and sign > 0 else
-         _references(docs, text_col, id_col, self.least).groupBy("h1", "h2", "doc_id").agg((F.lit(sign) * F.count(F.lit(1))).alias("n"))
-         ).write.option("compression", "zstd").parquet(part)
-        if self.round == 0:
-            self.first = (docs, text_col, id_col)
-        self.round += 1
-        self._refresh(sign)
+        moved = _references(docs, text_col, id_col, self.least).withColumn("sign", F.lit(sign))
+        moved.write.option("compression", "zstd").parquet(f"{self.folder}/log/round={self.rounds}")
+        self.rounds += 1
+        self._refresh()
         return self
 
     def counts(self) -> DataFrame:
-        """(h1, h2, n, top_id): documents that hold each key now, and the largest id among them (null ids are the smallest)."""
-        if self.round == 1:
-            return self.spark.read.parquet(f"{self.folder}/log/round=0")
-        if not getattr(self, "expanded", False):
-            # from the second round on, each reference is kept, so that a deletion can take back the largest id
-            docs, text_col, id_col = self.first
-            whole = _references(docs, text_col, id_col, self.least).groupBy("h1", "h2", "doc_id").agg(F.count(F.lit(1)).alias("n"))
-            whole.write.option("compression", "zstd").parquet(f"{self.folder}/log/first")
-            self.expanded = True
-        paths = [f"{self.folder}/log/first", *(f"{self.folder}/log/round={i}" for i in range(1, self.round))]
-        alive = self.spark.read.parquet(*paths).groupBy("h1", "h2", "doc_id").agg(F.sum("n").alias("n")).where("n > 0")
-        return alive.groupBy("h1", "h2").agg(F.sum("n").alias("n"), F.max("doc_id").alias("top_id"))
-
-    def _refresh(self, sign: int) -> None:
-        before = self.repeated
-        self.repeated = materialise(self.counts().where(F.col("n") >= self.threshold), "repeated-keys")
-        size = self.repeated.count()
-        if size * 2 / 0.4 > self.filter_bytes:  # two bytes a key at no less than two fifths full
+        """(h1, h2, n, top_id): how many documents hold each key now, and the largest id among them (null ids are the smallest)."""
+        log = self.spark.read.parquet(*(f"{self.folder}/log/round={i}" for i in range(self.rounds)))
+        if self.deletions:
+            log = log.groupBy("h1", "h2", "doc_id").agg(F.sum("sign").alias("sign")).where("sign > 0")
+        return log.groupBy("h1", "h2").agg(F.sum("sign").alias("n"), F.max("doc_id").alias("top_id"))
+
+    def _refresh(self) -> None:
+        """Recount, and bring the filters up to date with the keys that passed the threshold either way."""
+        before, self.repeated = self.repeated, materialise(self.counts().where(F.col("n") >= self.threshold), "repeated-keys")
+        if self.repeated.count() * 2 / 0.4 > self.filter_bytes:  # two bytes a key, a filter at least two fifths full
             self.filters = None
             return
-        shards, old_raw = self.shards, getattr(self, "filters", None)
-        if before is None or not old_raw:
-            change = self.repeated.select("h1", "h2", F.lit(1).alias("move"))
-        else:
-            new, old = self.repeated.select("h1", "h2"), before.select("h1", "h2")
-            change = new.join(old, ["h1", "h2"], "left_anti").select("*", F.lit(1).alias("move")).unionByName(old.join(new, ["h1", "h2"], "left_anti").select("*", F.lit(-1).alias("move")))
-        old = dict(old_raw or ())
+        up, down = F.lit(1).alias("move"), F.lit(-1).alias("move")
+        now = self.repeated.select("h1", "h2")
+        if self.filters and before is not None:
+            then = before.select("h1", "h2")
+            moves = now.join(then, ["h1", "h2"], "left_anti").select("*", up).unionByName(then.join(now, ["h1", "h2"], "left_anti").select("*", down))
+            changed = self._built(moves, self.filters)
+            if None not in changed.values():
+                self.filters = self.filters | changed
+                return
+        self.filters = self._built(now.select("*", up), {})
+
+    def _built(self, moves: DataFrame, old: dict[int, bytes]) -> dict[int, bytes | None]:
+        """New filters of the shards that moves(h1, h2, move) touches; None for one that has no room left."""
+        kept = self.spark.sparkContext.broadcast(old)
 
         def build(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-            shard, moves = int(key[0]), rows["move"].to_numpy()
-            have = CuckooFilter.load(old[shard]) if shard in old else CuckooFilter(0)
-            held = int(np.count_nonzero(have.table)) + sum(have.spill.values())
-            for a, b in rows.loc[moves < 0, ["h1", "h2"]].itertuples(index=False):
-                have.delete(a & (2**64 - 1), b & (2**64 - 1))
-            more = rows.loc[moves > 0, ["h1", "h2"]]
-            grown = (held + len(more)) > 0.9 * have.buckets * SLOTS
-            if grown and shard not in old:
-                have = CuckooFilter(len(more))
-            elif grown:
-                return pd.DataFrame({"shard": [shard], "filter": [None]})  # outgrown: made anew from the exact table
-            for a, b in more.itertuples(index=False):
-                have.insert(a & (2**64 - 1), b & (2**64 - 1))
+            shard = int(key[0])
+            into, out = (rows.loc[rows["move"] == m, ["h1", "h2"]].to_numpy(np.int64).view(np.uint64) for m in (1, -1))
+            have = CuckooFilter.load(kept.value[shard]) if shard in kept.value else CuckooFilter(len(into))
+            for a, b in out:
+                have.delete(a, b)
+            full = np.count_nonzero(have.table) + sum(have.spill.values()) + len(into)
+            if full > 0.95 * have.table.size:
+                return pd.DataFrame({"shard": [shard], "filter": [None]})
+            for a, b in into:
+                have.insert(a, b)
             return pd.DataFrame({"shard": [shard], "filter": [have.dump()]})
 
-        made = change.withColumn("shard", F.pmod(F.conv(F.hex("h1"), 16, 10).cast("decimal(20,0)"), F.lit(shards)).cast("int"))
-        rows = {r["shard"]: r["filter"] for r in made.groupBy("shard").applyInPandas(build, "shard int, filter binary").collect()}
-        if any(v is None for v in rows.values()):
-            self.filters, self.repeated = None, self.repeated
-            before = self.repeated
-            old.clear()
-            whole = self.repeated.select("h1", "h2", F.lit(1).alias("move")).withColumn("shard", F.pmod(F.conv(F.hex("h1"), 16, 10).cast("decimal(20,0)"), F.lit(shards)).cast("int"))
-            rows = {r["shard"]: r["filter"] for r in whole.groupBy("shard").applyInPandas(build, "shard int, filter binary").collect()}
-            old_raw = None
-        self.filters = tuple(sorted((dict(old_raw or ()) | {s: bytes(b) for s, b in rows.items()}).items()))
-
-    def dropped(self, docs: DataFrame, text_col: str, id_col: str) -> DataFrame:
-        """(row, drops) for the rows of docs that lose lines: keys to drop as 16-byte strings, concatenated."""
-        least, shards = self.least, self.shards
-        small = self.spark.sparkContext.broadcast(self.filters) if self.filters is not None else None
-
-        def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            filters = _loaded(small.value) if small else None
-            for batch in batches:
-                for start in range(0, batch.num_rows, 256):
-                    part = batch.slice(start, 256)
-                    found, rows = [], []
-                    for i, text in enumerate(part.column(1)):
-                        new = {k for k in line_keys(text.as_py(), least) if k}
-                        found.extend(new)
-                        rows.extend([i] * len(new))
-                    both = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2)
-                    at = np.array(rows, np.int64)
-                    if filters is not None:
-                        shard, keep = shard_of(np.ascontiguousarray(both[:, 0]), shards), np.zeros(len(at), bool)
-                        for s in np.unique(shard):
-                            if s in filters:
-                                of = shard == s
-                                keep[of] = filters[s].contains(np.ascontiguousarray(both[of, 0]).view(np.uint64), np.ascontiguousarray(both[of, 1]).view(np.uint64))
-                        both, at = both[keep], at[keep]
-                    yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), part.column(0).take(pa.array(at, pa.int64()))], ["h1", "h2", "doc_id"])
-
-        id_type = dict(docs.select(id_col).dtypes)[id_col]
-        maybe = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(look, f"h1 long, h2 long, doc_id {id_type}")
-        sure = maybe.distinct().join(self.repeated.select("h1", "h2", "top_id"), ["h1", "h2"]).where(~F.col("doc_id").eqNullSafe(F.col("top_id")))
+        sharded = moves.withColumn("shard", F.col("h1").bitwiseAND(F.lit(self.shards - 1).cast("long")).cast("int"))
+        return {r["shard"]: r["filter"] and bytes(r["filter"]) for r in sharded.groupBy("shard").applyInPandas(build, "shard int, filter binary").collect()}
+
+    def dropped(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
+        """(doc_id, drops): for the documents that lose lines, the keys of those."""
+        small = self.spark.sparkContext.broadcast(tuple(sorted(self.filters.items()))) if self.filters is not None else None
+        maybe = _references(docs, text_col, id_col, self.least, small, self.shards).distinct()
+        sure = maybe.join(self.repeated.select("h1", "h2", "top_id"), ["h1", "h2"]).where(~F.col("doc_id").eqNullSafe(F.col("top_id")))
         return sure.groupBy("doc_id").agg(F.collect_list(F.struct("h1", "h2")).alias("drops"))
 
     def apply(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
