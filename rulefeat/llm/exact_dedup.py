@@ -42,7 +42,10 @@ def _settings(spark: SparkSession, wanted: dict[str, str]):
         yield
     finally:
         for k, v in before.items():
-            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+            if v is None:
+                spark.conf.unset(k)
+            else:
+                spark.conf.set(k, v)
 
 
 def _better() -> Column:
@@ -53,7 +56,7 @@ def _better() -> Column:
 class DedupState:
     """Keyed state on the shared disk. Each absorb() call is one run of the same streaming query."""
 
-    def __init__(self, spark: SparkSession, folder: str | None = None, bytes_per_batch: str = "64g"):
+    def __init__(self, spark: SparkSession, folder: str | None = None, bytes_per_batch: int = 64 << 30):
         self.spark, self.bytes_per_batch = spark, bytes_per_batch
         self.folder = folder or scratch_path(spark, "dedup-state")
         self.inbox, self.outbox = f"{self.folder}/inbox", f"{self.folder}/outbox"
@@ -87,7 +90,7 @@ class DedupState:
         )
 
 
-def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", key_bytes: int = 32, bytes_per_batch: str = "64g") -> DataFrame:
+def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", key_bytes: int = 32, bytes_per_batch: int = 64 << 30) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256.
 
     Texts are equal when they are identical without white space; a null text is an empty one. The row with the most code points,

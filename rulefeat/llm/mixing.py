@@ -42,9 +42,12 @@ def source_targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, epoch
     before = by_level.rowsBetween(Window.unboundedPreceding, -1)
     left = F.sum("source_size").over(every) - F.coalesce(F.sum("cap").over(before), F.lit(0))
     heft = F.sum("weight").over(every) - F.coalesce(F.sum("weight").over(before), F.lit(0.0))
-    stepped = weighed.select("*", (left / heft).alias("level")).select("*", (F.col("cap") <= F.col("weight") * F.col("level")).alias("capped"))
-    free = F.min(F.when(~F.col("capped"), F.col("level"))).over(every)
-    target = F.when(F.col("capped"), F.col("cap").cast("double")).otherwise(F.col("weight") * free)
+    stepped = weighed.select("*", F.row_number().over(by_level).alias("place"), (left / heft).alias("level"))
+    # up to the first source that its level doesn't cap, all are capped; that level holds from there on
+    free = F.min(F.when(F.col("cap") > F.col("weight") * F.col("level"), F.struct("place", "level"))).over(every)
+    stepped = stepped.select("*", free.alias("free"))
+    capped = F.col("free").isNull() | (F.col("place") < F.col("free.place"))
+    target = F.when(capped, F.col("cap").cast("double")).otherwise(F.col("weight") * F.col("free.level"))
     return stepped.select("source", "source_size", target.alias("target"), F.floor(target + 0.5).cast("long").alias("words"))
 
 
