@@ -44,15 +44,14 @@ class TrieEncoder:
         self.names = {i: t for t, i in self.vocabulary.items()} | {t["id"]: t["content"] for t in j["added_tokens"]}
         self.length = {i: len(t) - len(self.end) * (t != self.end and t.endswith(self.end)) for t, i in self.vocabulary.items()}
         self.closing = {t.removesuffix(self.end): i for t, i in self.vocabulary.items() if t != self.end and t.endswith(self.end)}
-        # the longest token for each two last letters bounds the search at a node
+        # the longest token for each three last letters bounds the search at a node
         self.reach, self.reach_end = {}, {}
         for reach, names in ((self.reach, self.vocabulary), (self.reach_end, self.closing)):
             for t in names:
-                reach[t[-2:]] = max(reach.get(t[-2:], 1), len(t))
+                reach[t[-3:]] = max(reach.get(t[-3:], 2), len(t))
         special = sorted(((t["content"], t["id"]) for t in j["added_tokens"]), key=lambda x: -len(x[0]))
         self.special, self.special_ids = regex.compile("(" + "|".join(regex.escape(t) for t, _ in special) + ")"), dict(special)
         self.words = regex.compile(split["pattern"]["Regex"].replace(r"[^\s", "[^" + SPACES))
-        self.spaces = regex.compile("[" + SPACES + "]+")
         self.parts: dict[int, list[int]] = {}
         self.fits: dict[tuple[int, int], bool] = {}
         self.known: dict[str, tuple[bytes, str, int]] = {}
@@ -80,7 +79,7 @@ class TrieEncoder:
     def last_token(self, path: str, ends: bool, lasts: list[int]) -> int:
         """The one token that ends the encoding of path; lasts has those of its prefixes by length."""
         depth, names, follows = len(path), self.closing if ends else self.vocabulary, self.follows
-        for length in range(min((self.reach_end if ends else self.reach).get(path[-2:], 1), depth), 0, -1):
+        for length in range(min((self.reach_end if ends else self.reach).get(path[-3:], 2), depth), 0, -1):
             token = names.get(path[depth - length :])
             if token is not None and follows(lasts[depth - length], token):
                 return token
@@ -123,9 +122,9 @@ class TrieEncoder:
 
     def segment(self, text: str) -> list[str]:
         """Words of a text without special strings, in the vocabulary's normal form."""
-        bare = self.spaces.sub(" ", unicodedata.normalize("NFC", text))
+        # white space parts words and is in none, so it needn't be made even;
         # letter by letter: str.lower() has another small sigma at the end of words
-        return self.words.findall(bare.replace("Σ", "σ").lower())
+        return self.words.findall(unicodedata.normalize("NFC", text).replace("Σ", "σ").lower())
 
     def encode_all(self, texts) -> list[tuple[bytes, str, int]]:
         """For each text its ids as little-endian unsigned 32-bit integers, the decoded text, and the number of ids.
