@@ -78,41 +78,48 @@ class TrieEncoder:
 
     def last_token(self, path: str, ends: bool, lasts: list[int]) -> int:
         """The one token that ends the encoding of path; lasts has those of its prefixes by length."""
-        depth, names, follows = len(path), self.closing if ends else self.vocabulary, self.follows
-        for length in range(min((self.reach_end if ends else self.reach).get(path[-3:], 2), depth), 0, -1):
-            token = names.get(path[depth - length :])
-            if token is not None and follows(lasts[depth - length], token):
-                return token
+        depth, fits = len(path), self.fits
+        get, reach = (self.closing.get, self.reach_end) if ends else (self.vocabulary.get, self.reach)
+        for at in range(max(0, depth - reach.get(path[-3:], 2)), depth):
+            if (token := get(path[at:])) is not None:
+                before = lasts[at]
+                if (good := fits.get((before, token))) is None:
+                    good = self.follows(before, token)
+                if good:
+                    return token
         raise ValueError(f"no token ends {path!r}")
 
     def encode_words(self, words: set[str]) -> None:
         """Fill self.known for the words."""
         root: dict = {}
+        letters, last_token, finish = self.letters, self.last_token, self.finish
         for w in words:
-            mapped = "".join(map(self.letters.__getitem__, w.encode("utf-8", "replace")))
+            mapped = w if w.isascii() and w.isprintable() else "".join([letters[b] for b in w.encode("utf-8", "replace")])
             if len(mapped) > LONGEST_BRANCH:
                 start = [self.vocabulary[c] for c in mapped[:-1]] + [self.vocabulary[mapped[-1] + self.end]]
                 self.remember(w, self.merger.merge(start))
                 continue
             node = root
             for c in mapped[:-1]:
-                node = node.setdefault(c, {})
+                below = node.get(c)
+                if below is None:
+                    below = node[c] = {}
+                node = below
             node[mapped[-1], w] = None  # the last symbol bears the end mark, so no word goes on below it
         lasts, stack = [-1], [(root, "")]  # lasts follows the branch from the root
         while stack:
             node, path = stack.pop()
             if path:
-                del lasts[len(path) :]
-                lasts.append(self.last_token(path, False, lasts))
+                lasts[len(path) :] = [last_token(path, False, lasts)]
             for key, below in node.items():
                 if below is not None:
                     stack.append((below, path + key))
                 else:
-                    self.finish(key[1], path + key[0], lasts)
+                    finish(key[1], path + key[0], lasts)
 
     def finish(self, word: str, path: str, lasts: list[int]) -> None:
-        out, at = [token := self.last_token(path, True, lasts)], len(path)
-        while at := at - self.length[token]:
+        out, at, length = [token := self.last_token(path, True, lasts)], len(path), self.length
+        while at := at - length[token]:
             out.append(token := lasts[at])
         out.reverse()
         self.remember(word, out)
@@ -167,7 +174,7 @@ class TrieEncoder:
         return " ".join(map(self.names.__getitem__, array("I", ids)))
 
 
-def slices(texts, letters: int = 2_000_000):
+def slices(texts, letters: int = 4_000_000):
     """Runs of texts of about so many letters together."""
     some, held = [], 0
     for t in texts:
