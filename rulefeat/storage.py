@@ -7,6 +7,8 @@ import tempfile
 import uuid
 import zipfile
 
+from contextlib import contextmanager
+
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL_FALLBACK: list[str] = []
@@ -41,6 +43,26 @@ def drop_path(spark: SparkSession, path: str) -> None:
     fs.delete(target, True)
 
 
+@contextmanager
+def settings(spark: SparkSession, wanted: dict[str, str]):
+    """Session settings for the actions inside the block; those of before come back after it."""
+    before = {k: spark.conf.get(k, None) for k in wanted}
+    for k, v in wanted.items():
+        spark.conf.set(k, v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            if v is None:
+                spark.conf.unset(k)
+            else:
+                spark.conf.set(k, v)
+
+
+#: Batches of few rows to and from Python, for columns of whole texts or payloads.
+SMALL_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": "500"}
+
+
 def materialise(df: DataFrame, label: str, compression: str = "zstd") -> DataFrame:
     """Write df to the shared folder and read it back: lineage ends there, any executor can be lost."""
     spark = df.sparkSession
