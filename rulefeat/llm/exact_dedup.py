@@ -10,12 +10,10 @@ differ are regrouped by the full text.
 
 from __future__ import annotations
 
-from contextlib import contextmanager
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..storage import materialise, scratch_path
+from ..storage import materialise, scratch_path, settings
 
 WHITE = r"[\x20\x09-\x0D]+"
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
@@ -33,21 +31,6 @@ def squeezed(text: Column) -> Column:
     return F.regexp_replace(F.coalesce(text.cast("string"), F.lit("")), WHITE, "")
 
 
-@contextmanager
-def _settings(spark: SparkSession, wanted: dict[str, str]):
-    before = {k: spark.conf.get(k, None) for k in wanted}
-    for k, v in wanted.items():
-        spark.conf.set(k, v)
-    try:
-        yield
-    finally:
-        for k, v in before.items():
-            if v is None:
-                spark.conf.unset(k)
-            else:
-                spark.conf.set(k, v)
-
-
 def _better() -> Column:
     """Orders rows of one group: most code points first, then the smallest id, null ids last."""
     return F.struct((-F.col("n_chars")).alias("rank"), F.col("doc_id").isNull().alias("unnamed"), F.col("doc_id").alias("doc_id"))
@@ -73,7 +56,7 @@ class DedupState:
         def keep(batch: DataFrame, number: int) -> None:
             batch.write.mode("overwrite").parquet(f"{outbox}/batch={number}")
 
-        with _settings(self.spark, STATE_SETTINGS):
+        with settings(self.spark, STATE_SETTINGS):
             query = (
                 stream.writeStream.outputMode("update").foreachBatch(keep)
                 .option("checkpointLocation", f"{self.folder}/state").trigger(availableNow=True).start()

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..storage import drop_path, materialise, scratch_path, ship_package
+from ..storage import SMALL_BATCHES, drop_path, materialise, scratch_path, settings, ship_package
 
 SLOTS, KICKS = 4, 500
 FILTER_BYTES = 64 << 20  # of all filters together; beyond it lines meet the exact table by a shuffle join
@@ -169,7 +169,8 @@ class LineIndex:
 
     def _log(self, docs: DataFrame, text_col: str, id_col: str, sign: int) -> LineIndex:
         moved = _references(docs, text_col, id_col, self.least).withColumn("sign", F.lit(sign))
-        moved.write.option("compression", "zstd").parquet(f"{self.folder}/log/round={self.rounds}")
+        with settings(self.spark, SMALL_BATCHES):
+            moved.write.option("compression", "zstd").parquet(f"{self.folder}/log/round={self.rounds}")
         self.rounds += 1
         self._refresh()
         return self

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import materialise, ship_package
+from ..storage import SMALL_BATCHES, materialise, settings, ship_package
 
 UNIT, FILL = 576, 255
 LEAST_CHUNK, MOST_CHUNK, CUT_BITS = 256, 8192, 10
@@ -138,7 +138,8 @@ def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id
     """
     spark = docs.sparkSession
     ship_package(spark)
-    shared = spark.sparkContext.broadcast(_shared_bits(docs, text_col))
+    with settings(spark, SMALL_BATCHES):
+        shared = spark.sparkContext.broadcast(_shared_bits(docs, text_col))
     id_type = dict(docs.select(id_col).dtypes)[id_col]
     schema = f"kind int, doc_id {id_type}, media binary, seq int, digest binary, chunk binary, head binary, " + RESULT
 
@@ -161,7 +162,7 @@ def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id
                     if media in written:  # a text that this task has stored before
                         continue
                     for d, c in ((media, None), *chunks):
-                        if len(written) > 500_000:
+                        if len(written) > 200_000:
                             written.clear()
                         if d not in written and (c is None or may_be_shared(bits, d)):
                             written.add(d)
@@ -177,7 +178,8 @@ def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id
 
     arrow = to_arrow_schema(_parse_datatype_string(schema))
     names, types = arrow.names, arrow.types
-    stored = materialise(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(store, schema), "media")
+    with settings(spark, SMALL_BATCHES):
+        stored = materialise(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(store, schema), "media")
 
     table = stored.where("kind = 2").groupBy("digest").agg(F.any_value("chunk").alias("chunk"))
     pieces = stored.where("kind = 3").groupBy("media", "seq").agg(F.any_value("digest").alias("digest"), F.any_value("chunk").alias("own"), F.any_value("head").alias("head"))
