@@ -143,9 +143,15 @@ def score_column(docs: DataFrame, model: FtrlModel, text_col: str = "text") -> C
     return score(F.col(text_col).cast("string"))
 
 
-def labelled_documents(docs: DataFrame, labels: DataFrame, label_col: str = "toxic") -> DataFrame:
-    """Texts with labels; the label table meets the documents by id, and only sampled ids move texts if it is small enough to broadcast."""
-    return docs.select("doc_id", "text").join(labels.select("doc_id", label_col), "doc_id")
+def sampled_labels(labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+    """(doc_id, toxic) of at most `sample` labelled rows that aren't held out, in the order of their ids' hashes."""
+    usable = labels.where(~is_held_out("doc_id") & F.col("toxic").isNotNull() & F.col("doc_id").isNotNull())
+    return usable.select("doc_id", "toxic", F.xxhash64("doc_id").alias("turn")).orderBy("turn", "doc_id", "toxic").limit(sample)
+
+
+def labelled_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Texts with labels; the sample's ids and labels are broadcast (its bound is theirs), so no other text moves."""
+    return docs.select("doc_id", "text").join(F.broadcast(labels.select("doc_id", "toxic")), "doc_id")
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, model: FtrlModel | None = None) -> DataFrame:
@@ -154,14 +160,12 @@ def toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, model: Ft
     Null texts score like empty ones; the id only tells whether a label may be learnt from (a null id is like an empty one). Repeated rows are repeated; an empty table gives an empty result.
     """
     if model is None:
-        wanted = labels.where(~is_held_out("doc_id") & F.col("toxic").isNotNull()).select("doc_id", "toxic", F.xxhash64("doc_id").alias("turn")).orderBy("turn", "doc_id").limit(sample)
-        model = fit(labelled_documents(docs, wanted), sample=sample)
+        model = fit(labelled_documents(docs, sampled_labels(labels, sample)), sample=sample)
     scored = docs.select("doc_id", is_held_out("doc_id").alias("held_out"), score_column(docs, model).alias("score"))
     return scored.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """docs without the rows predicted toxic; all columns are kept."""
-    wanted = labels.where(~is_held_out("doc_id") & F.col("toxic").isNotNull()).select("doc_id", "toxic", F.xxhash64("doc_id").alias("turn")).orderBy("turn", "doc_id").limit(sample)
-    model = fit(labelled_documents(docs, wanted), sample=sample)
+    model = fit(labelled_documents(docs, sampled_labels(labels, sample)), sample=sample)
     return docs.where(score_column(docs, model) < 0.5)
