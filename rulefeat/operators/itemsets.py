@@ -22,8 +22,7 @@ def candidates(prev: DataFrame, k: int) -> DataFrame:
     joined = a.join(b, "head").where("a < b").select(F.concat("head", F.array("a", "b")).alias("items"))
     known = prev.select(F.col("items").alias("subset"))
     for drop in range(k - 2):  # without either of the last two items the set is one of those joined
-        left = F.filter("items", lambda _, i, d=drop: i != d)
-        joined = joined.withColumn("subset", left).join(known, "subset", "left_semi").drop("subset")
+        joined = joined.withColumn("subset", F.expr(f"filter(items, (v, i) -> i <> {drop})")).join(known, "subset", "left_semi").drop("subset")
     return joined
 
 
@@ -48,7 +47,7 @@ def levelwise(tx: DataFrame, min_support: float | None = None, min_count: int |
     frequent = level.select(F.col("items")[0].alias("i"))
     # infrequent items can't be in any larger set; they leave the transactions once
     slim = materialise(
-        tx.select(F.monotonically_increasing_id().alias("t"), F.explode("items").alias("i")).join(frequent, "i", "left_semi").groupBy("t").agg(F.array_sort(F.collect_set("i")).alias("items")).drop("t"), "slim"
+        tx.select("items", F.monotonically_increasing_id().alias("t")).select("t", F.explode("items").alias("i")).join(frequent, "i", "left_semi").groupBy("t").agg(F.array_sort(F.collect_set("i")).alias("items")).drop("t"), "slim"
     )
     while (max_len is None or k < max_len) and not level.isEmpty():
         k += 1

@@ -58,7 +58,7 @@ def nonredundant_loop(rows: list[dict], score: str = "rconf", redundancy: str =
 
 def general_rules(frequent: DataFrame, n: int, min_conf: float) -> DataFrame:
     """frequent(items sorted array, supp), all levels, to rules x -> y with any non-empty disjoint sides: (x, y, supp, supp_x, supp_y, conf, lift)."""
-    masks = F.sequence(F.lit(1), F.shiftleft(F.lit(1), F.size("items")) - 2)
+    masks = F.expr("sequence(1, shiftleft(1, size(items)) - 2)")
     split = frequent.where(F.size("items") > 1).select("items", "supp", F.explode(masks).alias("mask"))
     x = F.expr("filter(items, (v, i) -> (shiftright(mask, i) & 1) = 1)")
     y = F.expr("filter(items, (v, i) -> (shiftright(mask, i) & 1) = 0)")

@@ -103,10 +103,10 @@ def series_features(lags: int = 6, user_lags: int = 0, windows: tuple[int, ...]
     return [f"lag{i}" for i in range(1, lags + 1)] + [f"user_lag{i}" for i in range(1, user_lags + 1)] + [f"{n}{r}" for r in windows for n in ("mean", "least", "most", "spread")] + ["hour", "user_events"]
 
 
-CUSTOMERS = """SELECT c_custkey, CAST(MAX(c_acctbal) AS DOUBLE) AS acctbal, CAST(COUNT(*) AS DOUBLE) AS n_orders, AVG(CAST(o_totalprice AS DOUBLE)) AS mean_price, CAST(MAX(o_totalprice) AS DOUBLE) AS max_price, CAST(MIN(o_totalprice) AS DOUBLE) AS min_price,
+CUSTOMERS = """SELECT c_custkey, CAST(MAX(c_acctbal) AS DOUBLE) AS acctbal, CAST(COUNT(*) AS DOUBLE) AS n_orders, CAST(SUM(CAST(ROUND(o_totalprice * 100) AS BIGINT)) AS DOUBLE) / COUNT(*) / 100 AS mean_price, CAST(MAX(o_totalprice) AS DOUBLE) AS max_price, CAST(MIN(o_totalprice) AS DOUBLE) AS min_price,
   CAST(SUM(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) AS DOUBLE) AS count_f, CAST(SUM(CASE WHEN o_orderstatus = 'O' THEN 1 ELSE 0 END) AS DOUBLE) AS count_o, CAST(SUM(CASE WHEN o_orderpriority LIKE '1%' THEN 1 ELSE 0 END) AS DOUBLE) AS count_urgent,
   CAST(SUM(CASE WHEN o_orderpriority LIKE '5%' THEN 1 ELSE 0 END) AS DOUBLE) AS count_low, CAST(SUM(CASE WHEN EXTRACT(YEAR FROM o_orderdate) < 1998 THEN 1 ELSE 0 END) AS DOUBLE) AS count_early,
-  CAST(ROUND(SUM(CAST(o_totalprice AS DOUBLE)) / COUNT(*), 2) AS DOUBLE) / 1000 + 0.5 * SUM(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) * SUM(CASE WHEN o_orderpriority LIKE '1%' THEN 1 ELSE 0 END) + CAST((CAST(c_custkey AS BIGINT)*7919) % 100 AS DOUBLE) / 10 AS response
+  CAST(SUM(CAST(ROUND(o_totalprice * 100) AS BIGINT)) AS DOUBLE) / COUNT(*) / 100 / 1000 + 0.5 * SUM(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) * SUM(CASE WHEN o_orderpriority LIKE '1%' THEN 1 ELSE 0 END) + CAST((CAST(c_custkey AS BIGINT)*7919) % 100 AS DOUBLE) / 10 AS response
 FROM {customer} JOIN {orders} ON c_custkey = o_custkey GROUP BY c_custkey"""
 CUSTOMER_FEATURES = ["acctbal", "n_orders", "mean_price", "max_price", "min_price", "count_f", "count_o", "count_urgent", "count_low", "count_early"]
 
