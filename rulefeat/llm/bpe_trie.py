@@ -12,13 +12,14 @@ import hashlib
 import json
 import unicodedata
 from array import array
+from collections.abc import Iterator
 from functools import lru_cache
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import ship_package
+from ..storage import SMALL_BATCHES, materialise, settings, ship_package, trim_memory
 from .token_count import SPACES, Merger, byte_letters
 
 REMEMBERED = 400_000
@@ -54,7 +55,7 @@ class TrieEncoder:
         self.words = regex.compile(split["pattern"]["Regex"].replace(r"[^\s", "[^" + SPACES))
         self.parts: dict[int, list[int]] = {}
         self.fits: dict[tuple[int, int], bool] = {}
-        self.known: dict[str, tuple[bytes, str, int]] = {}
+        self.known: dict[str, tuple[bytes, str]] = {}
 
     def symbols(self, token: int) -> list[int]:
         """Initial symbols of a token."""
@@ -125,7 +126,12 @@ class TrieEncoder:
         self.remember(word, out)
 
     def remember(self, word: str, ids: list[int]) -> None:
-        self.known[word] = (array("I", ids).tobytes(), " ".join(map(self.names.__getitem__, ids)), len(ids))
+        self.known[word] = (array("I", ids).tobytes(), " ".join(map(self.names.__getitem__, ids)))
+
+    def rest(self) -> None:
+        """Between tasks: forget the words, and keep what is known of token pairs."""
+        self.known.clear()
+        trim_memory()
 
     def segment(self, text: str) -> list[str]:
         """Words of a text without special strings, in the vocabulary's normal form."""
@@ -152,16 +158,15 @@ class TrieEncoder:
             self.encode_words(new)
         out = []
         for parts in split:
-            ids, names, n = [], [], 0
+            found = []
             for p in parts:
                 if isinstance(p, str):
-                    found = [(array("I", [special[p]]).tobytes(), p, 1)]
+                    found.append((array("I", [special[p]]).tobytes(), p))
                 else:
-                    found = list(map(known.__getitem__, p))
-                ids.extend([x[0] for x in found])
-                names.extend([x[1] for x in found])
-                n += sum([x[2] for x in found])
-            out.append((b"".join(ids), " ".join(names), n))
+                    found.extend(map(known.__getitem__, p))
+            ids, names = zip(*found) if found else ((), ())
+            joined = b"".join(ids)
+            out.append((joined, " ".join(names), len(joined) // 4))
         if len(known) > REMEMBERED:
             known.clear()
         return out
@@ -207,14 +212,15 @@ def encoded_digests(docs: DataFrame, vocabulary_path: str, text_col: str = "text
     spec = _spec(docs, vocabulary_path)
 
     @F.pandas_udf("n_tokens long, ids_sha256 string, decoded_sha256 string")
-    def digests(texts: pd.Series) -> pd.DataFrame:
-        own, rows, sha = encoder(spec.value), [], hashlib.sha256
-        for some in slices(texts):
-            for ids, decoded, n in own.encode_all(some):
-                rows.append((n, sha(ids).hexdigest(), sha(decoded.encode("utf-8", "replace")).hexdigest()))
-        return pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"])
-
-    return docs.select(F.col(id_col).alias("doc_id"), digests(F.col(text_col).cast("string")).alias("e")).select("doc_id", "e.*")
+    def digests(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        own, sha = encoder(spec.value), hashlib.sha256
+        for texts in batches:
+            rows = [(n, sha(ids).hexdigest(), sha(decoded.encode("utf-8", "replace")).hexdigest()) for some in slices(texts) for ids, decoded, n in own.encode_all(some)]
+            yield pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"])
+        own.rest()
+
+    with settings(docs.sparkSession, SMALL_BATCHES | {"spark.sql.execution.arrow.maxRecordsPerBatch": "2000"}):
+        return materialise(docs.select(F.col(id_col).alias("doc_id"), digests(F.col(text_col).cast("string")).alias("e")).select("doc_id", "e.*"), "encoded")
 
 
 def encode_column(docs: DataFrame, vocabulary_path: str, text_col: str = "text", ids_col: str = "token_ids") -> DataFrame:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..storage import SMALL_BATCHES, drop_path, materialise, scratch_path, settings, ship_package
+from ..storage import SMALL_BATCHES, drop_path, materialise, scratch_path, settings, ship_package, trim_memory
 
 SLOTS, KICKS = 4, 500
 FILTER_BYTES = 64 << 20  # of all filters together; beyond it lines meet the exact table by a shuffle join
@@ -143,6 +143,7 @@ def _references(docs: DataFrame, text_col: str, id_col: str, least: int, filters
                             keep[of] = loaded[s].contains(both[of, 0].view(np.uint64), both[of, 1].view(np.uint64))
                     both, at = both[keep], at[keep]
                 yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), part.column(0).take(pa.array(at))], ["h1", "h2", "doc_id"])
+        trim_memory()
 
     id_type = dict(docs.select(id_col).dtypes)[id_col]
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(keys, f"h1 long, h2 long, doc_id {id_type}")

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import SMALL_BATCHES, materialise, settings, ship_package
+from ..storage import SMALL_BATCHES, materialise, settings, ship_package, trim_memory
 
 UNIT, FILL = 576, 255
 LEAST_CHUNK, MOST_CHUNK, CUT_BITS = 256, 8192, 10
@@ -172,6 +172,8 @@ def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id
                         rows.append((3, None, media, seq, d, None if away else c, head if seq == 0 else None, *[None] * 7))
                 columns = list(zip(*rows)) or [[]] * len(names)
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types)], names)
+        written.clear()
+        trim_memory()
 
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string

@@ -11,12 +11,13 @@ tree is walked by one shuffle join, and the pairs found are exact at any size.
 from __future__ import annotations
 
 import itertools
+from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import materialise, ship_package
+from ..storage import materialise, ship_package, trim_memory
 from .components import connected
 
 #: Vantage word: the fractional bits of the golden ratio, as a signed long.
@@ -48,14 +49,19 @@ def fingerprint(text: str | None, width: int = SHINGLE) -> int:
     return int(bits.view(np.int64)[0])
 
 
-def fingerprints(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", width: int = SHINGLE) -> DataFrame:
-    ship_package(docs.sparkSession)
-
+def fingerprint_column(text_col: str, width: int = SHINGLE) -> Column:
     @F.pandas_udf("long")
-    def of(texts: pd.Series) -> pd.Series:
-        return pd.Series([fingerprint(t, width) for t in texts], dtype="int64")
+    def of(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for texts in batches:
+            yield pd.Series([fingerprint(t, width) for t in texts], dtype="int64")
+        trim_memory()
 
-    return docs.select(F.col(id_col).alias("doc_id"), of(F.col(text_col).cast("string")).alias("fp"))
+    return of(F.col(text_col).cast("string"))
+
+
+def fingerprints(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", width: int = SHINGLE) -> DataFrame:
+    ship_package(docs.sparkSession)
+    return docs.select(F.col(id_col).alias("doc_id"), fingerprint_column(text_col, width).alias("fp"))
 
 
 def _blocks(levels: int) -> list[int]:
@@ -131,15 +137,7 @@ def keep_one_of_each(docs: DataFrame, text_col: str = "text", id_col: str = "doc
         heads = found.where("doc_id = component_id").select(F.col("doc_id").alias("__id"))
         return docs.join(heads, docs[id_col] == heads["__id"], "left_semi")
     named = found.select(F.col("fp").alias("__fp"), F.col("component_id").alias("__component"), F.col("root").alias("__root")).distinct()
-    marked = docs.select("*", fingerprints_of(text_col).alias("__own"))
+    marked = docs.select("*", fingerprint_column(text_col).alias("__own"))
     heads = marked.join(named, F.col("__own") == F.col("__fp")).where(F.col(id_col).eqNullSafe(F.col("__component")))
     rank = F.struct((-F.length(F.coalesce(F.col(text_col), F.lit("")))).alias("a"), F.xxhash64(text_col).alias("b"))
     return heads.groupBy("__root").agg(F.min_by(F.struct(*docs.columns), rank).alias("__row")).select("__row.*")
-
-
-def fingerprints_of(text_col: str, width: int = SHINGLE) -> Column:
-    @F.pandas_udf("long")
-    def of(texts: pd.Series) -> pd.Series:
-        return pd.Series([fingerprint(t, width) for t in texts], dtype="int64")
-
-    return of(F.col(text_col).cast("string"))

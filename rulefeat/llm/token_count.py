@@ -4,13 +4,14 @@ from __future__ import annotations
 
 import heapq
 import json
+from collections.abc import Iterator
 from functools import lru_cache
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import ship_package
+from ..storage import ship_package, trim_memory
 
 #: The pre-tokenising pattern of the byte-level vocabularies.
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -121,9 +122,12 @@ def token_counts(docs: DataFrame, vocabulary_path: str, limit: int = 512, text_c
         spec = docs.sparkSession.sparkContext.broadcast(f.read())
 
     @F.pandas_udf("long")
-    def counted(texts: pd.Series) -> pd.Series:
-        count = counter(spec.value).count
-        return pd.Series([count(t) for t in texts], dtype="int64")
+    def counted(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        own = counter(spec.value)
+        for texts in batches:
+            yield pd.Series([own.count(t) for t in texts], dtype="int64")
+        own.known.clear()
+        trim_memory()
 
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     return docs.select(F.col(id_col).alias("doc_id"), F.octet_length(text).cast("long").alias("n_bytes"), counted(text).alias("n_tokens")).withColumn("over_limit", F.col("n_tokens") > limit)

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import ship_package
+from ..storage import ship_package, trim_memory
 
 BITS = 20
 #: At most so many labelled rows are learnt from; beyond, those with the least hashes of their ids.
@@ -106,6 +106,7 @@ def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", i
         for batch in batches:
             found = [own.coordinates(t.as_py()).astype(np.int32) for t in batch.column(0)]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.int32())), *batch.columns[1:]], ["at", "label", "turn", "tie"])
+        trim_memory()
 
     made = chosen.repartition("turn").mapInArrow(to_coordinates, "at array<int>, label int, turn long, tie long")
 
@@ -114,7 +115,7 @@ def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", i
         for b in batches:
             flat, ends = b.column(0).flatten().to_numpy(), b.column(0).offsets.to_numpy()
             ends = ends - ends[0]
-            examples.extend(flat[s:e].astype(np.int64) for s, e in zip(ends[:-1], ends[1:]))
+            examples.extend(flat[s:e] for s, e in zip(ends[:-1], ends[1:]))  # views: a batch's coordinates stay one buffer
             labels.extend(b.column(1).to_pylist())
             turns.extend(zip(b.column(2).to_pylist(), b.column(3).to_pylist(), b.column(1).to_pylist()))
         order = sorted(range(len(turns)), key=turns.__getitem__)
@@ -123,6 +124,8 @@ def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", i
             m = train_ftrl(examples, y, bits, **rates)
         else:
             m = FtrlModel(bits, 0.0 if not labels else 4.0 * (2 * y[0] - 1), np.zeros(0, np.int64), np.zeros(0))
+        examples.clear()
+        trim_memory()
         yield pa.RecordBatch.from_arrays([pa.array([m.bias]), pa.array([m.at], pa.list_(pa.int64())), pa.array([m.weights], pa.list_(pa.float64()))], ["bias", "at", "weights"])
 
     got = made.repartition(1).mapInArrow(learn, "bias double, at array<long>, weights array<double>").first()
@@ -136,9 +139,11 @@ def score_column(docs: DataFrame, model: FtrlModel, text_col: str = "text") -> C
     small = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
+    def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         m, own = small.value, Hasher(small.value.bits)
-        return pd.Series([m.score(own.coordinates(t)) for t in texts], dtype="float64")
+        for texts in batches:
+            yield pd.Series([m.score(own.coordinates(t)) for t in texts], dtype="float64")
+        trim_memory()
 
     return score(F.col(text_col).cast("string"))
 
