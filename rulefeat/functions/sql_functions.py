@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .measures import EPS
 
@@ -18,7 +19,7 @@ SQL_BODIES = [
 ]
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def label_entropy(y: pd.Series) -> float:
     """Entropy of a group's labels (a convenience: the count-based form scales, this one gathers a group)."""
     import numpy as np
@@ -27,7 +28,7 @@ def label_entropy(y: pd.Series) -> float:
     return float(-(share * np.log(share)).sum()) if len(share) else 0.0
 
 
-@F.udtf(returnType="a int, b int")
+@F.udtf(returnType=T.StructType([T.StructField("a", T.IntegerType()), T.StructField("b", T.IntegerType())]))
 class PairsOf:
     """All pairs a < b of an array of item ids, for lateral use."""
 

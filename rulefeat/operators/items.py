@@ -46,6 +46,16 @@ def value_of(column: str, null_policy: str = "skip") -> Column:
     return F.coalesce(v, F.lit(MISSING)) if null_policy == "category" else v
 
 
+def _tagged(ordinal: int, column: str) -> Column:
+    """An item for each distinct element of a list column."""
+    return F.transform(F.array_distinct(F.coalesce(F.col(f"`{column}`"), F.array())), lambda v: F.struct(F.lit(ordinal).alias("f"), v.cast("string").alias("v")))
+
+
+def _looked_up(table: Column, column: str) -> Column:
+    """Ids of a list column's distinct elements, sorted."""
+    return F.array_sort(F.array_compact(F.transform(F.array_distinct(F.coalesce(F.col(f"`{column}`"), F.array())), lambda v: F.element_at(table, v.cast("string")))))
+
+
 def long_items(df: DataFrame, features: list[str] | tuple[str, ...], label: str, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip") -> DataFrame:
     """One row (f, v, y) for each record and feature with a value, with the columns of `by` and `weight`; records without a label have none.
 
@@ -55,7 +65,7 @@ def long_items(df: DataFrame, features: list[str] | tuple[str, ...], label: str,
     parts = []
     for i, c in enumerate(features, 1):
         if kinds[c].startswith("array"):
-            parts.append(F.transform(F.array_distinct(F.coalesce(F.col(f"`{c}`"), F.array())), lambda v, i=i: F.struct(F.lit(i).alias("f"), v.cast("string").alias("v"))))
+            parts.append(_tagged(i, c))
         else:
             parts.append(F.array(F.struct(F.lit(i).alias("f"), value_of(c, null_policy).alias("v"))))
     keys = [F.col(b) for b in by] + ([F.col(weight).alias("weight")] if weight else [])
@@ -73,7 +83,7 @@ def kept_ids(df: DataFrame, features, items: list[tuple[int, str]], null_policy:
         column = features[f - 1]
         table = F.create_map(*[x for v, at in values for x in (F.lit(v), F.lit(at))])
         if kinds[column].startswith("array"):
-            parts.append(F.array_sort(F.array_compact(F.transform(F.array_distinct(F.col(f"`{column}`")), lambda v, t=table: F.element_at(t, v.cast("string"))))))
+            parts.append(_looked_up(table, column))
         else:
             parts.append(F.array(F.element_at(table, value_of(column, null_policy))))
     return F.array_compact(F.concat(*parts)) if parts else F.array().cast("array<int>")
