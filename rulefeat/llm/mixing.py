@@ -63,7 +63,7 @@ def schedule(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", so
     # hash order is the shuffle; flipping the sign bit lets it be compared and cut like an unsigned number
     rows = materialise(read.withColumn("turn_hash", F.xxhash64("doc_id", F.lit(seed))), "mix-sizes")
     targets = materialise(source_targets(rows.select("source", "size"), weights, epochs), "mix-targets")
-    bits = max(4, min(30, int(rows.count() // ROWS_PER_BUCKET).bit_length()))
+    bits = max(8, min(30, int(rows.count() // ROWS_PER_BUCKET).bit_length()))
     rows = rows.withColumn("bucket", F.shiftright("turn_hash", 64 - bits))
     queue = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     sums = materialise(rows.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size")).select("source", "bucket", F.coalesce(F.sum("bucket_size").over(queue), F.lit(0)).alias("sent")), "mix-buckets")
