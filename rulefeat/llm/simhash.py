@@ -99,6 +99,11 @@ def overlapped(levels: int, radius: int) -> list[int]:
     return sorted(sum(x << (shift * i) for i, x in enumerate(d)) for d in half)
 
 
+def depth_for(n: int) -> int:
+    """Levels of a tree over n fingerprints. Eight have about 2^20 leaves in use and ask 72 others a point, sixteen about 2^32 and 272; the pairs are the same."""
+    return 8 if n <= 1 << 22 else 16
+
+
 def near_pairs(points: DataFrame, radius: int = 2, levels: int = 8) -> DataFrame:
     """points(fp), distinct longs, to all pairs (u, v) with u <> v at `radius` differing bits or fewer, each once."""
     homes = points.select("fp", leaf(F.col("fp"), levels).alias("leaf"))
@@ -111,7 +116,7 @@ def near_pairs(points: DataFrame, radius: int = 2, levels: int = 8) -> DataFrame
     return inside.select("u", "v").unionByName(across.select("u", "v"))
 
 
-def near_components(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", radius: int = 2, levels: int = 8, width: int = SHINGLE) -> DataFrame:
+def near_components(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", radius: int = 2, levels: int | None = None, width: int = SHINGLE) -> DataFrame:
     """One row per input row: doc_id, fingerprint (16 hex digits), component_id, and as longs fp and root (the component's least fingerprint).
 
     component_id is the smallest id reachable over links of `radius` bits or fewer. Texts without words (null, empty, white space)
@@ -120,7 +125,7 @@ def near_components(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     """
     marked = materialise(fingerprints(docs, text_col, id_col, width), "fingerprints")
     points = materialise(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "points")
-    roots = connected(near_pairs(points.select("fp"), radius, levels))
+    roots = connected(near_pairs(points.select("fp"), radius, levels or depth_for(points.count())))
     rooted = points.join(roots, points.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     ids = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
     named = rooted.join(ids, "root").select("fp", "component_id", "root")
