@@ -59,8 +59,9 @@ def settings(spark: SparkSession, wanted: dict[str, str]):
                 spark.conf.set(k, v)
 
 
+ROWS_PER_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 #: Batches of few rows to and from Python, for columns of whole texts or payloads.
-SMALL_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": "500"}
+SMALL_BATCHES = {ROWS_PER_BATCH: "500"}
 
 
 def materialise(df: DataFrame, label: str, compression: str = "zstd") -> DataFrame:
@@ -96,7 +97,13 @@ def trim_memory() -> None:
 
 
 def ship_package(spark: SparkSession) -> None:
-    """Give the executors this package as a zip file, once per application."""
+    """Make the session ready for Python operators over whole texts.
+
+    The executors get this package as a zip file, once per application; and where batches to Python are left at Spark's
+    default of ten thousand rows, they become a thousand, so that a worker's memory doesn't hang on the length of texts.
+    """
+    if spark.conf.get(ROWS_PER_BATCH, "10000") == "10000":
+        spark.conf.set(ROWS_PER_BATCH, "1000")
     app = spark.sparkContext.applicationId
     if app in _SHIPPED:
         return
