@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import ship_package, trim_memory
+from ..storage import SMALL_BATCHES, settings, ship_package, trim_memory
 
 BITS = 20
 #: At most so many labelled rows are learnt from; beyond, those with the least hashes of their ids.
@@ -128,7 +128,8 @@ def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", i
         trim_memory()
         yield pa.RecordBatch.from_arrays([pa.array([m.bias]), pa.array([m.at], pa.list_(pa.int64())), pa.array([m.weights], pa.list_(pa.float64()))], ["bias", "at", "weights"])
 
-    got = made.repartition(1).mapInArrow(learn, "bias double, at array<long>, weights array<double>").first()
+    with settings(labelled.sparkSession, SMALL_BATCHES):
+        got = made.repartition(1).mapInArrow(learn, "bias double, at array<long>, weights array<double>").first()
     if got is None:
         return FtrlModel(bits, 0.0, np.zeros(0, np.int64), np.zeros(0))
     return FtrlModel(bits, got["bias"], np.array(got["at"], np.int64), np.array(got["weights"], float))
