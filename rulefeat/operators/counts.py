@@ -32,12 +32,12 @@ def candidates(top_singles: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     return a.join(b, [*by, "y"]).where("f1 < f2").select(*by, "f1", "v1", "f2", "v2", "y")
 
 
-def pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]], by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", plan: str = "auto") -> DataFrame:
-    """(by..., f1, v1, f2, v2, y, supp) of all pairs of the listed items of different features, for every class.
+def pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]], by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", plan: str = "auto", kept: DataFrame | None = None) -> DataFrame:
+    """(by..., f1, v1, f2, v2, y, supp) of all pairs of the listed items of different features, for every class; with `kept`, of each group's own items.
 
     All three plans give the same rows; "auto" chooses by the number of items and features.
     """
-    return pair_plans.count_pairs(df, features, label, items, by, weight, null_policy, plan)
+    return pair_plans.count_pairs(df, features, label, items, by, weight, null_policy, plan, kept)
 
 
 def value_cube(df: DataFrame, columns: list[str]) -> DataFrame:

@@ -79,7 +79,7 @@ def mine(df: DataFrame, label: str, features, d_freq: int, per_class: bool, by:
     first = materialise(cut(singles), "top-singles")
     items = [(r[0], r[1]) for r in first.select("f1", "v1").distinct().collect()]  # at most d_freq rows for each group of `by`
     if items:
-        pair_counts = materialise(counts.pairs(only, features, label, items, by, weight, null_policy, plan), "pairs")
+        pair_counts = materialise(counts.pairs(only, features, label, items, by, weight, null_policy, plan, first.select(*by, "f1", "v1").distinct() if by else None), "pairs")
         candidates = counts.candidates(first, by)
         named = pair_counts.select(*by, F.lit(2).alias("size"), *ANTECEDENT, "y", "supp")
         wanted = named.join(candidates, [*by, *ANTECEDENT, "y"], "left_semi").select(*named.columns)

@@ -30,7 +30,8 @@ def choose_plan(n_items: int, n_features: int, weighted: bool = False, grouped:
     return "explode"
 
 
-def count_pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]], by=(), weight=None, null_policy="skip", plan="auto") -> DataFrame:
+def count_pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]], by=(), weight=None, null_policy="skip", plan="auto", kept: DataFrame | None = None) -> DataFrame:
+    """kept(by..., f1, v1): which of the items count in which group, where groups have different ones (a budget's number of rows for each group)."""
     items = sorted(set(items))
     if plan == "auto":
         plan = choose_plan(len(items), len(features), weight is not None, bool(by))
@@ -40,6 +41,10 @@ def count_pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]
         raise ValueError("the bits plan counts one group")
     labelled = df.where(F.col(label).isNotNull())
     ids = labelled.select(*by, F.col(label).cast("string").alias("y"), *([F.col(weight).alias("weight")] if weight else []), kept_ids(df, features, items, null_policy).alias("ids"))
+    if kept is not None and by and items:
+        place = F.create_map(*[x for i, (f, v) in enumerate(items) for x in (F.lit(f"{f}={v}"), F.lit(i))])
+        named_ids = kept.select(*by, F.element_at(place, F.concat_ws("=", F.col("f1").cast("string"), "v1")).alias("id"))
+        ids = ids.join(named_ids.groupBy(*by).agg(F.collect_set("id").alias("own")), list(by)).withColumn("ids", F.array_intersect("ids", "own")).drop("own")
     counted = {"explode": _explode, "gram": _gram, "bits": _bits}[plan](ids, items, by, weight)
     # ids back to items: a literal lookup of bounded size
     f_of = F.array(*[F.lit(f) for f, _ in items]) if items else F.array().cast("array<int>")
