@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from ..storage import materialise, scratch_path, settings
 
 WHITE = r"[\x20\x09-\x0D]+"
+HIT_BITS = 24  # at most 512 words of 4 KiB
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 STATE_SETTINGS = {
     "spark.sql.streaming.stateStore.providerClass": ROCKS,
@@ -75,6 +76,17 @@ class DedupState:
         )
 
 
+def _perhaps(rows: DataFrame, hits: DataFrame) -> DataFrame:
+    """The rows whose key may be among hits, by a table of 2^HIT_BITS bits of keys' first bits: of fixed size, so it is broadcast. It leaves out no hit."""
+    # Spark's bitmaps number bits from 1, and hold 2^15 of them in a word
+    place = (F.conv(F.hex(F.substring("key", 1, 4)), 16, 10).cast("long").bitwiseAND((1 << HIT_BITS) - 1) + 1).alias("place")
+    words = hits.select(place).groupBy(F.bitmap_bucket_number("place").alias("word")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("place")).alias("bits"))
+    spot = F.bitmap_bit_position("place")
+    byte = F.conv(F.hex(F.expr("substring(bits, cast(bitmap_bit_position(place) div 8 as int) + 1, 1)")), 16, 10).cast("int")
+    marked = rows.select("*", place).withColumn("word", F.bitmap_bucket_number("place")).join(F.broadcast(words), "word")
+    return marked.where(F.floor(byte / F.pow(F.lit(2.0), spot % 8)) % 2 == 1).select(*rows.columns)
+
+
 def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", key_bytes: int = 32, bytes_per_batch: int = 64 << 30) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256.
 
@@ -98,7 +110,7 @@ def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id",
     # full bytes on hits: all members of a group are equal exactly when the least and the greatest are
     hits = winners.where("group_size > 1").select("key")
     unequal = materialise(
-        read.select("key", "plain").join(hits, "key").groupBy("key").agg(F.min("plain").alias("low"), F.max("plain").alias("high")).where("low <> high").select("key"),
+        _perhaps(read.select("key", "plain"), hits).join(hits, "key").groupBy("key").agg(F.min("plain").alias("low"), F.max("plain").alias("high")).where("low <> high").select("key"),
         "dedup-unequal",
     )
     sure = keyed.join(winners, "key")
