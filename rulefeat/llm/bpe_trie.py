@@ -14,6 +14,7 @@ import unicodedata
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import islice
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -22,7 +23,7 @@ from pyspark.sql import functions as F
 from ..storage import ship_package, trim_memory
 from .token_count import SPACES, Merger, byte_letters
 
-REMEMBERED = 400_000
+REMEMBERED, COMMON = 400_000, 60_000
 #: Longer words are merged on their own, by the heap.
 LONGEST_BRANCH = 256
 
@@ -129,10 +130,14 @@ class TrieEncoder:
         self.known[word] = (array("I", ids).tobytes(), " ".join(map(self.names.__getitem__, ids)))
 
     def rest(self) -> None:
-        """Between tasks: forget the words, and keep what is known of token pairs."""
-        self.known.clear()
+        """Between tasks: forget most words, and keep what is known of token pairs."""
+        self.forget()
         trim_memory()
 
+    def forget(self) -> None:
+        """Keep the words met first, which are the common ones."""
+        self.known = dict(islice(self.known.items(), COMMON))
+
     def segment(self, text: str) -> list[str]:
         """Words of a text without special strings, in the vocabulary's normal form."""
         # white space parts words and is in none, so it needn't be made even;
@@ -168,7 +173,7 @@ class TrieEncoder:
             joined = b"".join(ids)
             out.append((joined, " ".join(names), len(joined) // 4))
         if len(known) > REMEMBERED:
-            known.clear()
+            self.forget()
         return out
 
     def encode(self, text: str | None) -> tuple[bytes, str, int]:
