@@ -10,6 +10,7 @@ from __future__ import annotations
 import gc
 import hashlib
 import json
+import re
 import unicodedata
 from array import array
 from collections.abc import Iterator
@@ -46,17 +47,21 @@ class TrieEncoder:
         self.names = {i: t for t, i in self.vocabulary.items()} | {t["id"]: t["content"] for t in j["added_tokens"]}
         self.length = {i: len(t) - len(self.end) * (t != self.end and t.endswith(self.end)) for t, i in self.vocabulary.items()}
         self.closing = {t.removesuffix(self.end): i for t, i in self.vocabulary.items() if t != self.end and t.endswith(self.end)}
-        # the longest token for each three last letters bounds the search at a node
+        # the longest token for each four last letters bounds the search at a node
         self.reach, self.reach_end = {}, {}
         for reach, names in ((self.reach, self.vocabulary), (self.reach_end, self.closing)):
             for t in names:
-                reach[t[-3:]] = max(reach.get(t[-3:], 2), len(t))
+                reach[t[-4:]] = max(reach.get(t[-4:], 3), len(t))
         special = sorted(((t["content"], t["id"]) for t in j["added_tokens"]), key=lambda x: -len(x[0]))
         self.special, self.special_ids = regex.compile("(" + "|".join(regex.escape(t) for t, _ in special) + ")"), dict(special)
         self.words = regex.compile(split["pattern"]["Regex"].replace(r"[^\s", "[^" + SPACES))
+        # the same for ASCII texts, where letters are a-z and digits 0-9, by the faster engine
+        plain = split["pattern"]["Regex"].replace(r"\p{L}", "a-z").replace(r"\p{N}", "0-9").replace(r"[^\s", r"[^\t\n\x0b\f\r ")
+        self.ascii_words = re.compile(plain)
         self.parts: dict[int, list[int]] = {}
         self.fits: dict[tuple[int, int], bool] = {}
-        self.known: dict[str, tuple[bytes, str]] = {}
+        self.ids_of: dict[str, bytes] = {}
+        self.names_of: dict[str, str] = {}
 
     def symbols(self, token: int) -> list[int]:
         """Initial symbols of a token."""
@@ -82,7 +87,7 @@ class TrieEncoder:
         """The one token that ends the encoding of path; lasts has those of its prefixes by length."""
         depth, fits = len(path), self.fits
         get, reach = (self.closing.get, self.reach_end) if ends else (self.vocabulary.get, self.reach)
-        for at in range(max(0, depth - reach.get(path[-3:], 2)), depth):
+        for at in range(max(0, depth - reach.get(path[-4:], 3)), depth):
             if (token := get(path[at:])) is not None:
                 before = lasts[at]
                 if (good := fits.get((before, token))) is None:
@@ -92,7 +97,7 @@ class TrieEncoder:
         raise ValueError(f"no token ends {path!r}")
 
     def encode_words(self, words: set[str]) -> None:
-        """Fill self.known for the words."""
+        """Fill ids_of and names_of for the words."""
         root: dict = {}
         letters, last_token, finish = self.letters, self.last_token, self.finish
         for w in words:
@@ -127,7 +132,7 @@ class TrieEncoder:
         self.remember(word, out)
 
     def remember(self, word: str, ids: list[int]) -> None:
-        self.known[word] = (array("I", ids).tobytes(), " ".join(map(self.names.__getitem__, ids)))
+        self.ids_of[word], self.names_of[word] = array("I", ids).tobytes(), " ".join(map(self.names.__getitem__, ids))
 
     def rest(self) -> None:
         """Between tasks: forget most words, and keep what is known of token pairs."""
@@ -136,12 +141,14 @@ class TrieEncoder:
 
     def forget(self) -> None:
         """Keep the words met first, which are the common ones."""
-        self.known = dict(islice(self.known.items(), COMMON))
+        self.ids_of, self.names_of = (dict(islice(d.items(), COMMON)) for d in (self.ids_of, self.names_of))
 
     def segment(self, text: str) -> list[str]:
         """Words of a text without special strings, in the vocabulary's normal form."""
         # white space parts words and is in none, so it needn't be made even;
         # letter by letter: str.lower() has another small sigma at the end of words
+        if text.isascii():
+            return self.ascii_words.findall(text.lower())
         return self.words.findall(unicodedata.normalize("NFC", text).replace("Σ", "σ").lower())
 
     def encode_all(self, texts) -> list[tuple[bytes, str, int]]:
@@ -156,23 +163,18 @@ class TrieEncoder:
             gc.enable()
 
     def _encode_all(self, texts) -> list[tuple[bytes, str, int]]:
-        special, known, split = self.special_ids, self.known, []
+        special, split, out = self.special_ids, [], []
         for text in texts:
             split.append([p if p in special else self.segment(p) for p in self.special.split(text or "") if p])
-        if new := {w for parts in split for p in parts if not isinstance(p, str) for w in p if w not in known}:
+        words = [p for parts in split for p in parts if not isinstance(p, str)]
+        if new := set().union(*words).difference(self.ids_of):
             self.encode_words(new)
-        out = []
+        ids_of, names_of = self.ids_of.__getitem__, self.names_of.__getitem__
         for parts in split:
-            found = []
-            for p in parts:
-                if isinstance(p, str):
-                    found.append((array("I", [special[p]]).tobytes(), p))
-                else:
-                    found.extend(map(known.__getitem__, p))
-            ids, names = zip(*found) if found else ((), ())
-            joined = b"".join(ids)
-            out.append((joined, " ".join(names), len(joined) // 4))
-        if len(known) > REMEMBERED:
+            ids = b"".join([array("I", [special[p]]).tobytes() if isinstance(p, str) else b"".join(map(ids_of, p)) for p in parts])
+            names = [p if isinstance(p, str) else " ".join(map(names_of, p)) for p in parts]
+            out.append((ids, " ".join([n for n in names if n]), len(ids) // 4))
+        if len(self.ids_of) > REMEMBERED:
             self.forget()
         return out
 
