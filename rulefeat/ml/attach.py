@@ -14,6 +14,8 @@ MODES = ("rules", "label_plus_rules", "onehot_plus_interactions", "binned_plus_r
 
 def codes(df: DataFrame, columns) -> dict[str, list[str]]:
     """Sorted distinct values of each column: one aggregate, as many values as categories (assumed few)."""
+    if not columns:
+        return {}
     row = df.agg(*[F.array_sort(F.collect_set(value_of(c))).alias(f"c{i}") for i, c in enumerate(columns)]).first()
     return {c: list(row[f"c{i}"]) for i, c in enumerate(columns)}
 
