@@ -78,13 +78,14 @@ class DedupState:
 
 def _perhaps(rows: DataFrame, hits: DataFrame) -> DataFrame:
     """The rows whose key may be among hits, by a table of 2^HIT_BITS bits of keys' first bits: of fixed size, so it is broadcast. It leaves out no hit."""
+    # never null, so that no filter for nulls works the key out a second time below the join
+    place = F.coalesce(F.conv(F.hex(F.substring("key", 1, 4)), 16, 10).cast("long"), F.lit(0)).bitwiseAND((1 << HIT_BITS) - 1).alias("place")
     # Spark's bitmaps number bits from 1, and hold 2^15 of them in a word
-    place = (F.conv(F.hex(F.substring("key", 1, 4)), 16, 10).cast("long").bitwiseAND((1 << HIT_BITS) - 1) + 1).alias("place")
-    words = hits.select(place).groupBy(F.bitmap_bucket_number("place").alias("word")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("place")).alias("bits"))
-    spot = F.bitmap_bit_position("place")
-    byte = F.conv(F.hex(F.expr("substring(bits, cast(bitmap_bit_position(place) div 8 as int) + 1, 1)")), 16, 10).cast("int")
-    marked = rows.select("*", place).withColumn("word", F.bitmap_bucket_number("place")).join(F.broadcast(words), "word")
-    return marked.where(F.floor(byte / F.pow(F.lit(2.0), spot % 8)) % 2 == 1).select(*rows.columns)
+    one_on = F.col("place") + 1
+    words = hits.select(place).groupBy(F.bitmap_bucket_number(one_on).alias("word")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(one_on)).alias("bits"))
+    marked = rows.select("*", place).join(F.broadcast(words), F.shiftright("place", 15) + 1 == F.col("word"))
+    byte = F.conv(F.hex(F.expr("substring(bits, cast(shiftright(place & 32767, 3) as int) + 1, 1)")), 16, 10).cast("int")
+    return marked.where(F.expr("shiftleft(1, cast(place & 7 as int))").bitwiseAND(byte) != 0).select(*rows.columns)
 
 
 def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", key_bytes: int = 32, bytes_per_batch: int = 64 << 30) -> DataFrame:
@@ -97,7 +98,7 @@ def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id",
     """
     spark = docs.sparkSession
     read = docs.select(F.col(id_col).alias("doc_id"), F.length(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).alias("n_chars"), squeezed(F.col(text_col)).alias("plain"))
-    read = read.withColumn("digest", F.unhex(F.sha2("plain", 256))).withColumn("key", F.substring("digest", 1, key_bytes))
+    read = read.withColumn("digest", F.unhex(F.sha2("plain", 256))).withColumn("key", F.coalesce(F.substring("digest", 1, key_bytes), F.lit(b"")))
     # a third of all rows may share a text: rows are counted before anything is shuffled by it
     keyed = materialise(read.groupBy("key", "digest", "doc_id", "n_chars").agg(F.count(F.lit(1)).alias("copies")), "dedup-keyed")
     state = DedupState(spark, bytes_per_batch=bytes_per_batch)
@@ -137,7 +138,7 @@ def drop_copies(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id")
     found = exact_dedup(docs, text_col, id_col)
     one = F.length(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
     kept = found.where("kept").select(F.col("doc_id").alias("__id"), F.col("n_chars").alias("__n"), "text_sha256")
-    marked = docs.select("*", F.sha2(squeezed(F.col(text_col)), 256).alias("__sha"), one.alias("__len"))
+    marked = docs.select("*", F.coalesce(F.sha2(squeezed(F.col(text_col)), 256), F.lit("")).alias("__sha"), one.alias("__len"))
     stay = marked.join(kept, marked[id_col].eqNullSafe(kept["__id"]) & (marked["__len"] == kept["__n"]) & (marked["__sha"] == kept["text_sha256"]), "left_semi")
     if not found.groupBy("doc_id", "text_sha256", "n_chars").count().where("count > 1").isEmpty():
         columns = [F.col(c) for c in docs.columns]

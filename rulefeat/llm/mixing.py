@@ -94,7 +94,7 @@ def mix(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", source_
     taken = plan.where("size > 0").select("doc_id", "source", "size", whole.alias("copies"), (F.col("sent_before") + F.col("size")).alias("ends"), "target", "source_size").where("copies > 0")
     taken = taken.groupBy("doc_id", "source", "size").agg(F.max("copies").alias("copies"), F.min("ends").alias("ends"), F.any_value("target").alias("target"), F.any_value("source_size").alias("source_size"))
     own = taken.select(F.col("doc_id").alias("__id"), F.col("source").alias("__source"), F.col("size").alias("__size"), F.col("copies").alias("__copies"), F.col("ends").alias("__ends"), F.col("target").alias("__target"), F.col("source_size").alias("__all"))
-    sized = docs.select("*", word_count(F.col(text_col)).alias("__words"))
+    sized = docs.select("*", F.coalesce(word_count(F.col(text_col)), F.lit(0)).alias("__words"))
     met = sized.join(own, sized[id_col].eqNullSafe(own["__id"]) & sized[source_col].eqNullSafe(own["__source"]) & (sized["__words"] == own["__size"]))
     each = met.withColumn("__turn", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__copies") - 1)))
     finish = (F.col("__turn") * F.col("__all") + F.col("__ends")) / F.col("__target")
