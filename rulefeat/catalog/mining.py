@@ -24,20 +24,23 @@ LONG = "CAST({} AS BIGINT)"
 
 
 #: Results show a missing second item as feature 0 with an empty value.
-SECOND = [F.coalesce("f2", F.lit(0)).alias("f2"), F.coalesce("v2", F.lit("")).alias("v2")]
 SECOND_SQL = "coalesce(f2, 0) AS f2, coalesce(v2, '') AS v2"
 
 
+def second() -> list:
+    return [F.coalesce("f2", F.lit(0)).alias("f2"), F.coalesce("v2", F.lit("")).alias("v2")]
+
+
 def sets_out(df: DataFrame) -> DataFrame:
-    return df.select("size", "f1", "v1", *SECOND, "y", "supp", F.col("rank").cast("long").alias("rank"))
+    return df.select("size", "f1", "v1", *second(), "y", "supp", F.col("rank").cast("long").alias("rank"))
 
 
 def rules_out(df: DataFrame) -> DataFrame:
-    return df.select("size", "f1", "v1", *SECOND, "y", "supp", "supp_x", F.round("conf", 6).alias("conf"), F.round("lift", 6).alias("lift"), "log_rconf", F.col("rank").cast("long").alias("rank"))
+    return df.select("size", "f1", "v1", *second(), "y", "supp", "supp_x", F.round("conf", 6).alias("conf"), F.round("lift", 6).alias("lift"), "log_rconf", F.col("rank").cast("long").alias("rank"))
 
 
 def features_out(df: DataFrame) -> DataFrame:
-    return df.select(F.col("feature_id").cast("long").alias("feature_id"), "size", "f1", "v1", *SECOND)
+    return df.select(F.col("feature_id").cast("long").alias("feature_id"), "size", "f1", "v1", *second())
 
 
 def star(spark: SparkSession, sf: str) -> DataFrame:
@@ -131,7 +134,7 @@ _THRESHOLD = q.mined(PARTS, PARTS_F, 1_000_000, False) + ", thr AS (SELECT * FRO
 @query("class_rules_threshold", f"{_THRESHOLD} SELECT size, f1, v1, {SECOND_SQL}, y, supp, CAST(supp_x AS BIGINT) AS supp_x, round(conf, 6) AS conf, round(lift, 6) AS lift FROM thr")
 def class_rules_threshold(spark, sf):
     r = selectors.select_by_threshold(parts(spark, sf), "y", PARTS_F, 0.02, 0.5).rules
-    return r.select("size", "f1", "v1", *SECOND, "y", "supp", "supp_x", F.round("conf", 6).alias("conf"), F.round("lift", 6).alias("lift"))
+    return r.select("size", "f1", "v1", *second(), "y", "supp", "supp_x", F.round("conf", 6).alias("conf"), F.round("lift", 6).alias("lift"))
 
 
 @query("threshold_features", f"{_THRESHOLD}, ff AS (SELECT {q.FEATURES_OUT} FROM (SELECT DISTINCT size, f1, v1, f2, v2 FROM thr) d) SELECT feature_id, size, f1, v1, {SECOND_SQL} FROM ff")
@@ -264,7 +267,7 @@ def _planted(spark, sf, constant: bool) -> DataFrame:
     out = None
     for name, per_class, score, redundancy, margin in METHODS:
         rules = selectors.recut(runs[per_class], 5, score, redundancy, margin).rules
-        one = rules.groupBy("f1", "v1", "f2", "v2", "y").agg(F.count(F.lit(1)).alias("occurrences")).select(F.lit(name).alias("method"), "f1", "v1", *SECOND, "y", "occurrences")
+        one = rules.groupBy("f1", "v1", "f2", "v2", "y").agg(F.count(F.lit(1)).alias("occurrences")).select(F.lit(name).alias("method"), "f1", "v1", *second(), "y", "occurrences")
         out = one if out is None else out.unionByName(one)
     return out
 
