@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ..storage import ship_package, trim_memory
 from .token_count import SPACES, Merger, byte_letters
 
-REMEMBERED, COMMON = 400_000, 60_000
+REMEMBERED, COMMON = 250_000, 60_000
 #: Longer words are merged on their own, by the heap.
 LONGEST_BRANCH = 256
 
@@ -77,7 +77,7 @@ class TrieEncoder:
     def follows(self, first: int, second: int) -> bool:
         """Whether the two tokens are the encoding of their joint text (first -1: the second of its own)."""
         if (found := self.fits.get((first, second))) is None:
-            if len(self.fits) > 4 * REMEMBERED:
+            if len(self.fits) > 2 * REMEMBERED:
                 self.fits.clear()
             tokens = [second] if first < 0 else [first, second]
             found = self.fits[first, second] = self.merger.merge([s for t in tokens for s in self.symbols(t)]) == tokens
