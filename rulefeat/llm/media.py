@@ -2,8 +2,8 @@
 
 A payload is cut where a rolling gear hash of its last 32 bytes has `CUT_BITS` leading zeros. The stored form of a payload is a head with its ordered list of chunks
 (digest and length) and the chunks themselves; chunks that several payloads
-share stand in a chunk table, written once for each digest, and the payload refers to them. Reading back joins the references to the
-chunk table, checks each chunk against its digest, and puts the payload together in the order of the list.
+share stand under their digest, once for each task that meets them, and the payload refers to them; all other chunks stand with their payload. `store_media` writes that table,
+`read_media` rebuilds every payload from it: it joins the references to the shared chunks, checks each chunk against its digest, and puts the payload together in the order of the list.
 """
 
 from __future__ import annotations
@@ -15,7 +15,6 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -130,18 +129,21 @@ def may_be_shared(bits: np.ndarray, digest: bytes) -> bool:
     return bool(bits[at >> 3] >> (at & 7) & 1)
 
 
-def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """One row per input row: doc_id and the columns of RESULT, from the bytes read back.
+#: The media table. kind 0: a payload of its own (doc_id, head, its chunks one after the other). 1: a row (doc_id) whose payload is `media`. 2: a shared chunk under its digest.
+#: 3: a payload with shared chunks (media, head, its own chunks one after the other). 4: a shared chunk (digest) at place seq of `media`.
+STORED = "kind int, doc_id {id_type}, media binary, seq int, digest binary, chunk binary, head binary"
 
-    A null text is an empty one, whose payload is one unit of fill bytes. Null ids and repeated rows count like others; other columns aren't read; an empty table gives an empty result.
-    A stored form depends on the text alone.
+
+def store_media(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", path: str | None = None) -> DataFrame:
+    """The media table of docs (STORED), written to `path` (a folder that goes with the driver if None) and read again.
+
+    Every payload's head and chunks are in it: chunks that several payloads share under their digest, all others with their payload.
     """
     spark = docs.sparkSession
     ship_package(spark)
     with settings(spark, SMALL_BATCHES):
         shared = spark.sparkContext.broadcast(_shared_bits(docs, text_col))
-    id_type = dict(docs.select(id_col).dtypes)[id_col]
-    schema = f"kind int, doc_id {id_type}, media binary, seq int, digest binary, chunk binary, head binary, " + RESULT
+    schema = STORED.format(id_type=dict(docs.select(id_col).dtypes)[id_col])
 
     def store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = np.frombuffer(shared.value, np.uint8)
@@ -155,45 +157,99 @@ def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id
                     head = head_of(n_bytes, [(d, len(c)) for d, c in chunks])
                     apart = [may_be_shared(bits, d) for d, _ in chunks]
                     if not any(apart):
-                        rows.append((0, doc_id, None, None, None, None, None, *read_back(head, [c for _, c in chunks])))
+                        rows.append((0, doc_id, None, None, None, payload, head))
                         continue
                     media = digest_of(head)
-                    rows.append((1, doc_id, media, *[None] * 4, *[None] * 7))
+                    rows.append((1, doc_id, media, None, None, None, None))
                     if media in written:  # a text that this task has stored before
                         continue
-                    for d, c in ((media, None), *chunks):
-                        if len(written) > 200_000:
-                            written.clear()
-                        if d not in written and (c is None or may_be_shared(bits, d)):
-                            written.add(d)
-                            if c is not None:
-                                rows.append((2, None, None, None, d, c, None, *[None] * 7))
+                    if len(written) > 200_000:
+                        written.clear()
+                    written.add(media)
+                    rows.append((3, None, media, None, None, b"".join(c for (_, c), away in zip(chunks, apart) if not away), head))
                     for seq, ((d, c), away) in enumerate(zip(chunks, apart)):
-                        rows.append((3, None, media, seq, d, None if away else c, head if seq == 0 else None, *[None] * 7))
+                        if away:
+                            rows.append((4, None, media, seq, d, None, None))
+                            if d not in written:
+                                written.add(d)
+                                rows.append((2, None, None, None, d, c, None))
                 columns = list(zip(*rows)) or [[]] * len(names)
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types)], names)
         written.clear()
         trim_memory()
 
+    names, types = _arrow(schema)
+    with settings(spark, SMALL_BATCHES):
+        return materialise(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(store, schema), "media", path=path)
+
+
+def _arrow(schema: str) -> tuple[list[str], list[pa.DataType]]:
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
     arrow = to_arrow_schema(_parse_datatype_string(schema))
-    names, types = arrow.names, arrow.types
-    with settings(spark, SMALL_BATCHES):
-        stored = materialise(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(store, schema), "media")
-
-    table = stored.where("kind = 2").groupBy("digest").agg(F.any_value("chunk").alias("chunk"))
-    pieces = stored.where("kind = 3").groupBy("media", "seq").agg(F.any_value("digest").alias("digest"), F.any_value("chunk").alias("own"), F.any_value("head").alias("head"))
-    away = pieces.where("own is null").select("media", "seq", "digest", "head").join(table, "digest").select("media", "seq", "head", "chunk")
-    here = pieces.where("own is not null").select("media", "seq", "head", F.col("own").alias("chunk"))
+    return arrow.names, arrow.types
+
+
+def split_chunks(head: bytes, own: bytes, away: dict[int, bytes]) -> list[bytes]:
+    """The stored chunks in the head's order: those of `away` at their places, the others off `own`; raises if `own` isn't used up."""
+    at, parts = 0, []
+    for seq, (_, length) in enumerate(parse_head(head)[1]):
+        if seq in away:
+            parts.append(away[seq])
+        else:
+            parts.append(own[at : at + length])
+            at += length
+    if at != len(own):
+        raise ValueError("a stored payload has bytes that its head doesn't name")
+    return parts
+
+
+def read_media(stored: DataFrame, payload: bool = False) -> DataFrame:
+    """One row per stored row: doc_id and the columns of RESULT (and, if asked, the payload rebuilt), from the table's rows and nothing else."""
+    ship_package(stored.sparkSession)
+    id_type = dict(stored.dtypes)["doc_id"]
+    fields, made = (FIELDS + ["payload"], RESULT + ", payload binary") if payload else (FIELDS, RESULT)
+
+    def fields_of(head: bytes, own: bytes, away: dict[int, bytes]) -> tuple:
+        parts = split_chunks(head, own, away)
+        out = read_back(head, parts)
+        return (*out, b"".join(parts)) if payload else out
+
+    alone_names, alone_types = _arrow(f"doc_id {id_type}, {made}")
+    media_names, media_types = _arrow(f"media binary, {made}")
+
+    def alone_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for start in range(0, batch.num_rows, 256):
+                part = batch.slice(start, 256)
+                rows = [(i, *fields_of(head.as_py(), own.as_py(), {})) for i, head, own in zip(part.column(0).to_pylist(), part.column(1), part.column(2))]
+                columns = list(zip(*rows)) or [[]] * len(alone_names)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, alone_types)], alone_names)
+        trim_memory()
 
-    def assemble(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("seq")
-        return pd.DataFrame([(rows["media"].iloc[0], *read_back(rows["head"].iloc[0], rows["chunk"].tolist()))], columns=["media", *FIELDS])
+    def assemble(own: pa.Table, away: pa.Table) -> pa.Table:
+        if not own.num_rows:
+            raise ValueError("a stored payload lacks its head")
+        at = dict(zip(away.column("seq").to_pylist(), away.column("chunk").to_pylist()))
+        row = (own.column("media")[0].as_py(), *fields_of(own.column("head")[0].as_py(), own.column("chunk")[0].as_py(), at))
+        return pa.Table.from_arrays([pa.array([x], t) for x, t in zip(row, media_types)], media_names)
 
-    whole = away.unionByName(here).groupBy("media").applyInPandas(assemble, "media binary, " + RESULT)
-    fields = [F.col(f) for f in FIELDS]
-    alone = stored.where("kind = 0").select("doc_id", *fields)
+    # tasks that hold the same text store it each: of rows of one digest any will do, as the digest check sees to their bytes
+    table = stored.where("kind = 2").groupBy("digest").agg(F.any_value("chunk").alias("chunk"))
+    places = stored.where("kind = 4").select("media", "seq", "digest").distinct()
+    away = places.join(table, "digest").select(F.col("media").alias("media"), "seq", "chunk")
+    own = stored.where("kind = 3").select(F.col("media").alias("media"), "head", "chunk")  # an alias: both sides of the cogroup come from one table
+    whole = own.groupBy("media").cogroup(away.groupBy("media")).applyInArrow(assemble, f"media binary, {made}")
+    alone = stored.where("kind = 0").select("doc_id", "head", "chunk").mapInArrow(alone_rows, f"doc_id {id_type}, {made}")
     joined = stored.where("kind = 1").select("doc_id", "media").join(whole, "media").select("doc_id", *fields)
     return alone.unionByName(joined)
+
+
+def media_columns(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", path: str | None = None) -> DataFrame:
+    """One row per input row: doc_id and the columns of RESULT, all from the media table as it is read again; with `path` that table stays there.
+
+    A null text is an empty one, whose payload is one unit of fill bytes. Null ids and repeated rows count like others; other columns aren't read; an empty table gives an empty result.
+    A stored form depends on the text alone.
+    """
+    return read_media(store_media(docs, text_col, id_col, path))

@@ -64,10 +64,10 @@ ROWS_PER_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 SMALL_BATCHES = {ROWS_PER_BATCH: "500"}
 
 
-def materialise(df: DataFrame, label: str, compression: str = "zstd") -> DataFrame:
-    """Write df to the shared folder and read it back: lineage ends there, any executor can be lost."""
+def materialise(df: DataFrame, label: str, compression: str = "zstd", path: str | None = None) -> DataFrame:
+    """Write df to the shared folder (or to `path`, where it stays) and read it back: lineage ends there, any executor can be lost."""
     spark = df.sparkSession
-    path = scratch_path(spark, label)
+    path = path or scratch_path(spark, label)
     df.write.option("compression", compression).parquet(path)
     back = spark.read.schema(df.schema).parquet(path)
     back._scratch_path = path

@@ -10,6 +10,7 @@ from collections import defaultdict
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 pytest.importorskip("rulefeat.llm")
 
@@ -337,6 +338,19 @@ def test_media_round_trip(docs, empty):
     assert media.media_columns(empty).count() == 0
 
 
+def test_media_are_rebuilt_from_the_stored_table_alone(spark, docs, tmp_path):
+    path = f"file://{tmp_path}/media"
+    media.store_media(docs, path=path)
+    stored = spark.read.parquet(path)
+    rebuilt = media.read_media(stored, payload=True).collect()
+    assert sorted(((r["doc_id"], bytes(r["payload"])) for r in rebuilt), key=str) == sorted(((i, media.payload_of(t)[1]) for i, t in pairs(docs)), key=str)
+    assert {0, 1, 2, 3, 4} == {r["kind"] for r in stored.select("kind").distinct().collect()}
+    for kind in (0, 2):  # a payload of its own, a shared chunk
+        worse = stored.withColumn("chunk", F.when(F.col("kind") == kind, F.encode(F.repeat(F.lit("?"), F.octet_length("chunk")), "utf-8")).otherwise(F.col("chunk")))
+        with pytest.raises(Exception, match="damaged"):
+            media.read_media(worse).collect()
+
+
 def test_chunk_cuts_follow_the_content():
     rng = np.random.default_rng(5)
     body = bytes(rng.integers(0, 256, 60_000, dtype=np.uint8))
