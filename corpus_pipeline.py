@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rulefeat.llm import bpe_trie, exact_dedup, mixing, simhash, toxicity
+from rulefeat.llm import bpe_trie, exact_dedup, mixing, near_join, toxicity
 from rulefeat.storage import materialise
 
 
@@ -17,7 +17,7 @@ def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_one_of_each(docs)
+    return near_join.keep_one_of_near(docs)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

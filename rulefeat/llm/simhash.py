@@ -137,12 +137,16 @@ def keep_one_of_each(docs: DataFrame, text_col: str = "text", id_col: str = "doc
 
     Where several rows of a component bear that id (or no row of it has an id), the one with the longest text, then the least hash, stays.
     """
-    found = near_components(docs, text_col, id_col)
+    return keep_least(docs, near_components(docs, text_col, id_col), fingerprint_column(text_col), text_col, id_col)
+
+
+def keep_least(docs: DataFrame, found: DataFrame, own: Column, text_col: str, id_col: str) -> DataFrame:
+    """docs with one row of each component of found(doc_id, component_id, fp, root); own is a row's fp."""
     if found.groupBy("doc_id").count().where("count > 1 or doc_id is null").isEmpty():
         heads = found.where("doc_id = component_id").select(F.col("doc_id").alias("__id"))
         return docs.join(heads, docs[id_col] == heads["__id"], "left_semi")
     named = found.select(F.col("fp").alias("__fp"), F.col("component_id").alias("__component"), F.col("root").alias("__root")).distinct()
-    marked = docs.select("*", fingerprint_column(text_col).alias("__own"))
+    marked = docs.select("*", own.alias("__own"))
     heads = marked.join(named, F.col("__own") == F.col("__fp")).where(F.col(id_col).eqNullSafe(F.col("__component")))
     rank = F.struct((-F.length(F.coalesce(F.col(text_col), F.lit("")))).alias("a"), F.xxhash64(text_col).alias("b"))
     return heads.groupBy("__root").agg(F.min_by(F.struct(*docs.columns), rank).alias("__row")).select("__row.*")

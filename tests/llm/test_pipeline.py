@@ -45,6 +45,41 @@ def test_stages_on_odd_rows(spark, sf, tmp_path):
         assert corpus_pipeline.STAGES[-1][1](spark, docs, sf).count() == docs.count()
 
 
+def slow_groups(texts, width=5):
+    """Group numbers by brute force: chains of pairs with a similarity of 0.8 or more."""
+    sets = []
+    for t in texts:
+        w = [x for x in re.split(r"[\x20\x09-\x0D]+", "".join(c.lower() if c.isascii() else c for c in t or "")) if x]
+        sets.append({tuple(w[i : i + width]) for i in range(max(1, len(w) - width + 1))} if w else {()})
+    group = list(range(len(texts)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if group[i] != group[j] and 5 * len(a & sets[j]) >= 4 * len(a | sets[j]):
+                old, new = max(group[i], group[j]), min(group[i], group[j])
+                group = [new if g == old else g for g in group]
+    return group
+
+
+def test_edited_copies_leave_one_as_by_brute_force(spark):
+    import random
+
+    draw, texts = random.Random(8), []
+    for size in [3, 5, 8, 30, 60, 100, 200, 400] * 3:
+        base = [f"w{draw.randrange(3000)}" for _ in range(size)] + ["a", "line", "that", "many", "texts", "have", "at", "their", "end"]
+        texts.append(" ".join(base))
+        for edits in (0, 1, 2, 4, 8):
+            copy = list(base)
+            for _ in range(edits):
+                copy[draw.randrange(len(copy))] = f"e{draw.randrange(10**6)}"
+            texts.append(("  " if edits else " ").join(copy))
+    texts += [None, "", " \n", "One two", "one TWO"]
+    want = sorted(set(slow_groups(texts)))
+    assert 40 < len(want) < len(texts) - 40
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    stage = dict(corpus_pipeline.STAGES)["simhash_near_dedup"]
+    assert sorted(r["doc_id"] for r in stage(spark, docs, "").collect()) == want
+
+
 def test_stage_names():
     assert [n for n, _ in corpus_pipeline.STAGES] == ["toxicity", "exact_dedup", "simhash_near_dedup", "source_mix", "bpe_encode"]
     assert corpus_pipeline.ORACLE_SQL is None and re and hashlib
