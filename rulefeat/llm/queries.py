@@ -73,6 +73,34 @@ SELECT doc_id, first_value(doc_id) OVER best AS keep_id, count(*) OVER (PARTITIO
 FROM g WINDOW best AS (PARTITION BY plain ORDER BY n DESC, doc_id)
 """
 
+OP3_SQL = r"""
+WITH d AS (
+  SELECT row_number() OVER () AS rid, doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS size,
+         substr(md5(concat(coalesce(CAST(doc_id AS VARCHAR), ''), ':7:', coalesce(text, ''))), 1, 16) AS turn FROM documents
+), s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) AS queue FROM d GROUP BY source
+), w AS (SELECT *, CAST(CASE (queue - 1) % 3 WHEN 0 THEN 5 WHEN 1 THEN 2 ELSE 1 END AS DOUBLE) AS weight, 3 * source_size AS cap FROM s
+), l AS (
+  SELECT *, row_number() OVER by_level AS place,
+         CAST(sum(source_size) OVER () - coalesce(sum(cap) OVER (by_level ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS DOUBLE)
+         / (sum(weight) OVER () - coalesce(sum(weight) OVER (by_level ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS level
+  FROM w WINDOW by_level AS (ORDER BY cap / weight, source NULLS LAST)
+), f AS (SELECT place, level FROM l WHERE cap > weight * level ORDER BY place LIMIT 1
+), t AS (
+  SELECT l.source, queue, source_size, CASE WHEN f.place IS NULL OR l.place < f.place THEN CAST(cap AS DOUBLE) ELSE weight * f.level END AS target FROM l LEFT JOIN f ON true
+), q AS (
+  SELECT d.*, queue, source_size, target, CAST(sum(size) OVER (PARTITION BY queue ORDER BY turn, doc_id NULLS LAST, size, rid) - size AS BIGINT) AS before
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
+), c AS (SELECT q.*, copy, copy * source_size + before AS begins FROM q, (VALUES (0), (1), (2)) v(copy) WHERE size > 0 AND target > 0
+), words AS (
+  SELECT rid, queue, turn, doc_id, size, copy, CAST(0 AS BIGINT) AS spot, size AS n, CAST(begins + size AS DOUBLE) / target AS finish FROM c WHERE begins + size <= target
+  UNION ALL
+  SELECT rid, queue, turn, doc_id, size, copy, spot, 1, CAST(begins + spot + 1 AS DOUBLE) / target
+  FROM (SELECT *, unnest(range(0, size)) AS spot FROM c WHERE begins + size > target AND begins < target + 1000)
+), o AS (SELECT *, sum(n) OVER (ORDER BY finish, queue, turn, doc_id NULLS LAST, size, copy, spot, rid) AS sent FROM words
+), g AS (SELECT rid, sum(greatest(0, least(n, (SELECT sum(size) FROM d) - (sent - n)))) AS taken FROM o GROUP BY rid)
+SELECT doc_id, CAST(size AS BIGINT) AS size, source_size, target, CAST(coalesce(taken, 0) AS BIGINT) AS taken FROM q LEFT JOIN g USING (rid)
+"""
+
 OP4_SQL = r"""
 WITH l AS (
   SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS pos FROM documents
@@ -86,4 +114,4 @@ FROM m GROUP BY doc_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_dedup": OP1_SQL, "op4_line_dedup": OP4_SQL}
+    return {"op1_exact_dedup": OP1_SQL, "op3_source_mix": OP3_SQL, "op4_line_dedup": OP4_SQL}
