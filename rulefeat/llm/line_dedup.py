@@ -4,26 +4,27 @@ A line's key (stripped, A-Z lowered) is held as a 128-bit hash. The reference ta
 key, the documents that hold it: inserting documents appends their references, deleting
 documents appends the same with a negative sign, so any deletion undoes its insertion. Keys that enough documents hold are repeated keys;
 their hashes are in cuckoo filters, one for each shard of the key space, which learn and forget keys as counts pass the threshold.
-Lines of a text are looked up in the filters first; only what a filter lets through meets the exact table.
+The filters are a table with a row a shard; there are as many shards as keep a filter small. Lines are sent to their shard, whose filter comes before them in the same
+partition, and only what it lets through meets the exact table. A shard with many lines is dealt out to several partitions, each with a copy of its filter.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..storage import SMALL_BATCHES, drop_path, materialise, scratch_path, settings, ship_package, trim_memory
+from ..storage import ROWS_PER_BATCH, SMALL_BATCHES, drop_path, materialise, scratch_path, settings, ship_package, trim_memory
+from .marks import marked
 
 SLOTS, KICKS = 4, 500
-FILTER_BYTES = 64 << 20  # of all filters together; beyond it lines meet the exact table by a shuffle join
-SHARDS = 64  # a power of two
+#: Repeated keys of a shard at most (on average), and lines that one partition looks up in a copy of its filter.
+SHARD_KEYS, SHARD_LINES = 1 << 15, 1 << 20
 
 
 class CuckooFilter:
@@ -63,6 +64,23 @@ class CuckooFilter:
         key = (mark, min(at, int(self._other(np.uint64(at), np.uint16(mark)))))
         self.spill[key] = self.spill.get(key, 0) + 1
 
+    def insert_all(self, keys: np.ndarray) -> None:
+        """Insert rows (h1, h2): all that find a free slot in one of their buckets at once, the others one by one."""
+        mark, *both = self._place(keys[:, 0], keys[:, 1])
+        left = np.arange(len(keys))
+        for bucket in both:
+            at = bucket[left]
+            order = np.argsort(at, kind="stable")
+            left, at = left[order], at[order].astype(np.int64)
+            turn = np.arange(len(at)) - np.searchsorted(at, at)  # which of its bucket's newcomers
+            free = self.table[at] == 0
+            slot = np.argsort(~free, axis=1, kind="stable")
+            fits = turn < free.sum(axis=1)
+            self.table[at[fits], slot[fits, turn[fits]]] = mark[left[fits]]
+            left = left[~fits]
+        for h1, h2 in keys[left]:
+            self.insert(h1, h2)
+
     def delete(self, h1: int, h2: int) -> bool:
         """Forget one insertion of the key; false if it wasn't there."""
         mark, first, second = (x.item() for x in map(np.asarray, self._place(np.uint64(h1), np.uint64(h2))))
@@ -112,20 +130,10 @@ def line_keys(text: str | None, least: int) -> list[bytes | None]:
     return out
 
 
-def shard_of(h1: np.ndarray, shards: int) -> np.ndarray:
-    return h1 & (shards - 1)
-
-
-@lru_cache(4)
-def _loaded(raw: tuple) -> dict[int, CuckooFilter]:
-    return {s: CuckooFilter.load(b) for s, b in raw}
-
-
-def _references(docs: DataFrame, text_col: str, id_col: str, least: int, filters=None, shards: int = SHARDS) -> DataFrame:
-    """(h1, h2, doc_id), each key once for each row of docs; with filters (a broadcast) only keys that these let through."""
+def _references(docs: DataFrame, text_col: str, id_col: str, least: int) -> DataFrame:
+    """(h1, h2, doc_id), each key once for each row of docs."""
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        loaded = _loaded(filters.value) if filters else None
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
                 part = batch.slice(start, 256)
@@ -134,30 +142,40 @@ def _references(docs: DataFrame, text_col: str, id_col: str, least: int, filters
                     new = {k for k in line_keys(text.as_py(), least) if k}
                     found.extend(new)
                     rows.extend([i] * len(new))
-                both, at = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2), np.array(rows, np.int64)
-                if loaded is not None:
-                    shard, keep = shard_of(both[:, 0], shards), np.zeros(len(at), bool)
-                    for s in np.unique(shard):
-                        if s in loaded:
-                            of = shard == s
-                            keep[of] = loaded[s].contains(both[of, 0].view(np.uint64), both[of, 1].view(np.uint64))
-                    both, at = both[keep], at[keep]
-                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), part.column(0).take(pa.array(at))], ["h1", "h2", "doc_id"])
+                both = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2)
+                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), part.column(0).take(pa.array(rows, pa.int64()))], ["h1", "h2", "doc_id"])
         trim_memory()
 
     id_type = dict(docs.select(id_col).dtypes)[id_col]
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(keys, f"h1 long, h2 long, doc_id {id_type}")
 
 
+def _probed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (shard, salt, filter, h1, h2, doc_id), each shard's filter before its lines: the lines that it lets through. One filter is held at a time."""
+    shard, have = None, None
+    for batch in batches:
+        of, keep = batch.column(0).to_numpy(), np.zeros(batch.num_rows, bool)
+        heads = np.flatnonzero(np.asarray(batch.column(2).is_valid()))
+        both = np.stack([batch.column(i).fill_null(0).to_numpy() for i in (3, 4)], axis=1).view(np.uint64)
+        for low, high in zip([0, *heads.tolist()], [*heads.tolist(), batch.num_rows]):
+            if low < high and batch.column(2)[low].is_valid:
+                shard, have, low = of[low], CuckooFilter.load(batch.column(2)[low].as_py()), low + 1
+            own = np.flatnonzero(of[low:high] == shard) + low if have is not None else np.zeros(0, np.int64)
+            if len(own):
+                keep[own] = have.contains(both[own, 0], both[own, 1])
+        yield batch.select([3, 4, 5]).filter(pa.array(keep))
+    trim_memory()
+
+
 class LineIndex:
     """The state of incremental line dedup in a shared folder: log of references, counts, filters."""
 
-    def __init__(self, spark: SparkSession, folder: str | None = None, least: int = 20, threshold: int = 3, shards: int = SHARDS, filter_bytes: int = FILTER_BYTES):
+    def __init__(self, spark: SparkSession, folder: str | None = None, least: int = 20, threshold: int = 3, shard_keys: int = SHARD_KEYS, shard_lines: int = SHARD_LINES):
         self.spark, self.folder = spark, folder or scratch_path(spark, "lines")
-        self.least, self.threshold, self.shards, self.filter_bytes = least, threshold, shards, filter_bytes
-        self.rounds, self.deletions = 0, False
+        self.least, self.threshold, self.shard_keys, self.shard_lines = least, threshold, shard_keys, shard_lines
+        self.rounds, self.deletions, self.shards = 0, False, 0
         self.repeated: DataFrame | None = None  # (h1, h2, n, top_id) of the keys at the threshold or beyond
-        self.filters: dict[int, bytes] | None = {}  # None: they outgrew their bound
+        self.filters: DataFrame | None = None  # (shard, filter)
         ship_package(spark)
 
     def insert(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> LineIndex:
@@ -183,52 +201,69 @@ class LineIndex:
             log = log.groupBy("h1", "h2", "doc_id").agg(F.sum("sign").alias("sign")).where("sign > 0")
         return log.groupBy("h1", "h2").agg(F.sum("sign").alias("n"), F.max("doc_id").alias("top_id"))
 
+    def _shard(self) -> Column:
+        return F.col("h1").bitwiseAND(F.lit(self.shards - 1).cast("long")).cast("int")
+
     def _refresh(self) -> None:
         """Recount, and bring the filters up to date with the keys that passed the threshold either way."""
         before, self.repeated = self.repeated, materialise(self.counts().where(F.col("n") >= self.threshold), "repeated-keys")
-        if self.repeated.count() * 2 / 0.4 > self.filter_bytes:  # two bytes a key, a filter at least two fifths full
-            self.filters = None
-            return
+        wanted = 1 << max(0, (self.repeated.count() - 1) // self.shard_keys).bit_length()
         up, down = F.lit(1).alias("move"), F.lit(-1).alias("move")
-        now = self.repeated.select("h1", "h2")
-        if self.filters and before is not None:
+        now, grown = self.repeated.select("h1", "h2"), wanted > self.shards
+        self.shards = max(wanted, self.shards)
+        if before is not None and not grown:
             then = before.select("h1", "h2")
             moves = now.join(then, ["h1", "h2"], "left_anti").select("*", up).unionByName(then.join(now, ["h1", "h2"], "left_anti").select("*", down))
             changed = self._built(moves, self.filters)
-            if None not in changed.values():
-                self.filters = self.filters | changed
+            if changed.where("filter IS NULL").isEmpty():  # all had room
+                self.filters = changed
                 return
-        self.filters = self._built(now.select("*", up), {})
+        self.filters = self._built(now.select("*", up), None)
 
-    def _built(self, moves: DataFrame, old: dict[int, bytes]) -> dict[int, bytes | None]:
-        """New filters of the shards that moves(h1, h2, move) touches; None for one that has no room left."""
-        kept = self.spark.sparkContext.broadcast(old)
+    def _built(self, moves: DataFrame, old: DataFrame | None) -> DataFrame:
+        """The filters after moves(h1, h2, move); a null one has no room left. A shard's keys go to one task: there are as many shards as keep them few."""
 
-        def build(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-            shard = int(key[0])
-            into, out = (rows.loc[rows["move"] == m, ["h1", "h2"]].to_numpy(np.int64).view(np.uint64) for m in (1, -1))
-            have = CuckooFilter.load(kept.value[shard]) if shard in kept.value else CuckooFilter(len(into))
+        def build(moved: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
+            shard = int((moved if len(moved) else held)["shard"].iloc[0])
+            into, out = (moved.loc[moved["move"] == m, ["h1", "h2"]].to_numpy(np.int64).view(np.uint64) for m in (1, -1))
+            have = CuckooFilter.load(bytes(held["filter"].iloc[0])) if len(held) else CuckooFilter(len(into))
             for a, b in out:
                 have.delete(a, b)
-            full = np.count_nonzero(have.table) + sum(have.spill.values()) + len(into)
-            if full > 0.95 * have.table.size:
+            if np.count_nonzero(have.table) + sum(have.spill.values()) + len(into) > 0.95 * have.table.size:
                 return pd.DataFrame({"shard": [shard], "filter": [None]})
-            for a, b in into:
-                have.insert(a, b)
+            have.insert_all(into)
             return pd.DataFrame({"shard": [shard], "filter": [have.dump()]})
 
-        sharded = moves.withColumn("shard", F.col("h1").bitwiseAND(F.lit(self.shards - 1).cast("long")).cast("int"))
-        return {r["shard"]: r["filter"] and bytes(r["filter"]) for r in sharded.groupBy("shard").applyInPandas(build, "shard int, filter binary").collect()}
+        held = old if old is not None else self.spark.createDataFrame([], "shard int, filter binary")
+        sharded = moves.withColumn("shard", self._shard())
+        with settings(self.spark, SMALL_BATCHES):
+            return materialise(sharded.groupBy("shard").cogroup(held.groupBy("shard")).applyInPandas(build, "shard int, filter binary"), "filters")
+
+    def maybe(self, references: DataFrame) -> DataFrame:
+        """Of references(h1, h2, doc_id) those that the filters let through."""
+        id_type = dict(references.dtypes)["doc_id"]
+        # repeated keys alone can make a shard large; the others are spread evenly over the shards
+        loads = self.repeated.groupBy(self._shard().alias("shard")).agg(F.ceil(F.sum("n") / self.shard_lines).cast("int").alias("salts"))
+        heads = self.filters.join(loads, "shard").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
+        none = F.lit(None)
+        rows = references.withColumn("shard", self._shard()).join(loads.where("salts > 1"), "shard", "left")
+        rows = rows.withColumn("salt", F.coalesce(F.pmod(F.xxhash64("doc_id", "h2"), "salts"), F.lit(0)).cast("int"))
+        both = heads.select("shard", "salt", "filter", none.cast("long").alias("h1"), none.cast("long").alias("h2"), none.cast(id_type).alias("doc_id")).unionByName(
+            rows.select("shard", "salt", none.cast("binary").alias("filter"), "h1", "h2", "doc_id")
+        )
+        routed = both.repartition("shard", "salt").sortWithinPartitions("shard", "salt", F.col("filter").isNull())
+        return routed.mapInArrow(_probed, f"h1 long, h2 long, doc_id {id_type}")
 
     def dropped(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
         """(doc_id, drops): for the documents that lose lines, the keys of those."""
-        small = self.spark.sparkContext.broadcast(tuple(sorted(self.filters.items()))) if self.filters is not None else None
-        maybe = _references(docs, text_col, id_col, self.least, small, self.shards).distinct()
+        maybe = self.maybe(_references(docs, text_col, id_col, self.least))
         sure = maybe.join(self.repeated.select("h1", "h2", "top_id"), ["h1", "h2"]).where(~F.col("doc_id").eqNullSafe(F.col("top_id")))
-        return sure.groupBy("doc_id").agg(F.collect_list(F.struct("h1", "h2")).alias("drops"))
+        drops = sure.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("drops"))
+        with settings(self.spark, {ROWS_PER_BATCH: "2000"}):
+            return materialise(drops, "dropped-lines")
 
     def apply(self, docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-        """docs with columns __kept (the text without its dropped lines), __n_lines and __n_dropped."""
+        """docs with columns __kept (the text without its dropped lines), __n_lines and __n_dropped. Only documents that may lose lines move."""
         least = self.least
         drops = self.dropped(docs, text_col, id_col).withColumnRenamed("doc_id", "__id")
 
@@ -246,8 +281,13 @@ class LineIndex:
                 out.append(("\n".join(stay), len(lines), len(lines) - len(stay)))
             return pd.DataFrame(out, columns=["kept", "n_lines", "n_dropped"])
 
-        joined = docs.join(drops, docs[id_col].eqNullSafe(drops["__id"]), "left").withColumn("__cut", cut(F.col(text_col).cast("string"), F.col("drops")))
-        return joined.select(*docs.columns, F.col("__cut.kept").alias("__kept"), F.col("__cut.n_lines").alias("__n_lines"), F.col("__cut.n_dropped").alias("__n_dropped"))
+        columns = [F.col(f"`{c}`") for c in docs.columns]
+        told = marked(docs, F.xxhash64(F.col(id_col)), drops, F.xxhash64("__id"))
+        text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+        whole = told.where("NOT __maybe").select(*columns, text.alias("__kept"), (F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1).cast("long").alias("__n_lines"), F.lit(0).cast("long").alias("__n_dropped"))
+        some = told.where("__maybe")
+        joined = some.join(drops, some[id_col].eqNullSafe(drops["__id"]), "left").withColumn("__cut", cut(F.col(text_col).cast("string"), F.col("drops")))
+        return whole.unionByName(joined.select(*columns, F.col("__cut.kept").alias("__kept"), F.col("__cut.n_lines").alias("__n_lines"), F.col("__cut.n_dropped").alias("__n_dropped")))
 
     def forget(self) -> None:
         drop_path(self.spark, self.folder)
