@@ -42,9 +42,15 @@ class Merger:
             self.ranks[vocabulary[a], vocabulary[b]] = (rank, vocabulary[a + b])
 
     def merge(self, symbols: list[int]) -> list[int]:
-        """Symbols after all merges, each time of the lowest rank and leftmost; n log n for any length."""
-        n, ranks = len(symbols), self.ranks
-        symbols, after, before = list(symbols), list(range(1, n + 1)), list(range(-1, n - 1))
+        """Symbols after all merges."""
+        symbols = list(symbols)
+        self.run(symbols)
+        return [s for s in symbols if s >= 0]
+
+    def run(self, symbols: list[int]) -> int:
+        """Merge in place, each time the pair of the lowest rank and leftmost, and tell the number of merges; a symbol that goes becomes -1. n log n for any length."""
+        n, ranks, merges = len(symbols), self.ranks, 0
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
         heap = []
         for i in range(n - 1):
             if found := ranks.get((symbols[i], symbols[i + 1])):
@@ -57,6 +63,7 @@ class Merger:
             if symbols[i] < 0 or j >= n or ranks.get((symbols[i], symbols[j])) != (rank, joined):
                 continue
             symbols[i], symbols[j] = joined, -1
+            merges += 1
             after[i] = k = after[j]
             if k < n:
                 before[k] = i
@@ -64,7 +71,7 @@ class Merger:
                     heapq.heappush(heap, (found[0], i, found[1]))
             if (h := before[i]) >= 0 and (found := ranks.get((symbols[h], joined))):
                 heapq.heappush(heap, (found[0], h, found[1]))
-        return [s for s in symbols if s >= 0]
+        return merges
 
 
 class TokenCounter:
@@ -86,7 +93,8 @@ class TokenCounter:
 
     def word(self, piece: str) -> int:
         """Initial symbols minus merges."""
-        return len(self.merger.merge([self.symbol[b] for b in piece.encode("utf-8", "replace")]))
+        symbols = [self.symbol[b] for b in piece.encode("utf-8", "replace")]
+        return len(symbols) - self.merger.run(symbols)
 
     def plain(self, text: str) -> int:
         known, pieces = self.known, self.pieces.findall(text)
