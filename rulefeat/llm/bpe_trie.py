@@ -2,7 +2,8 @@
 
 In a merge-ordered BPE with one merge per token, a sequence of tokens is the encoding of its text exactly when every two neighbours
 are the encoding of theirs; so the encoding of a word is that of a shorter prefix and one last token. Going depth first through
-a trie of the distinct words, each node gets its prefix's last token once, for all the words that share the prefix; an encoding is read back along the last tokens.
+a trie of the distinct words, each prefix gets its last token once, for all the words that share it; an encoding is read back along the last tokens.
+The trie's edges are strings and it is gone through without recursion, so words may be as long as texts.
 """
 
 from __future__ import annotations
@@ -17,7 +18,9 @@ from collections.abc import Iterator
 from functools import lru_cache
 from itertools import islice
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,8 +28,8 @@ from ..storage import ship_package, trim_memory
 from .token_count import SPACES, Merger, byte_letters
 
 REMEMBERED, COMMON = 250_000, 60_000
-#: Longer words are merged on their own, by the heap.
-LONGEST_BRANCH = 256
+#: Longer words aren't remembered between batches.
+LONG_WORD = 256
 
 
 class TrieEncoder:
@@ -45,6 +48,7 @@ class TrieEncoder:
             raise ValueError("a token with two merges")
         self.merger, self.letters = Merger(model["merges"], self.vocabulary), byte_letters()
         self.names = {i: t for t, i in self.vocabulary.items()} | {t["id"]: t["content"] for t in j["added_tokens"]}
+        self.width = max(map(len, self.vocabulary))
         self.length = {i: len(t) - len(self.end) * (t != self.end and t.endswith(self.end)) for t, i in self.vocabulary.items()}
         self.closing = {t.removesuffix(self.end): i for t, i in self.vocabulary.items() if t != self.end and t.endswith(self.end)}
         # the longest token for each four last letters bounds the search at a node
@@ -61,7 +65,6 @@ class TrieEncoder:
         self.parts: dict[int, list[int]] = {}
         self.fits: dict[tuple[int, int], bool] = {}
         self.ids_of: dict[str, bytes] = {}
-        self.names_of: dict[str, str] = {}
 
     def symbols(self, token: int) -> list[int]:
         """Initial symbols of a token."""
@@ -83,56 +86,60 @@ class TrieEncoder:
             found = self.fits[first, second] = self.merger.merge([s for t in tokens for s in self.symbols(t)]) == tokens
         return found
 
-    def last_token(self, path: str, ends: bool, lasts: list[int]) -> int:
-        """The one token that ends the encoding of path; lasts has those of its prefixes by length."""
-        depth, fits = len(path), self.fits
+    def last_token(self, tail: str, depth: int, ends: bool, lasts: list[int]) -> int:
+        """The one token that ends the encoding of a path of `depth` letters, of which tail has the last; lasts has those of its prefixes by length."""
+        fits, have = self.fits, len(tail)
         get, reach = (self.closing.get, self.reach_end) if ends else (self.vocabulary.get, self.reach)
-        for at in range(max(0, depth - reach.get(path[-4:], 3)), depth):
-            if (token := get(path[at:])) is not None:
-                before = lasts[at]
+        for at in range(max(0, have - reach.get(tail[-4:], 3)), have):
+            if (token := get(tail[at:])) is not None:
+                before = lasts[depth - have + at]
                 if (good := fits.get((before, token))) is None:
                     good = self.follows(before, token)
                 if good:
                     return token
-        raise ValueError(f"no token ends {path!r}")
+        raise ValueError(f"no token ends {tail!r}")
 
-    def encode_words(self, words: set[str]) -> None:
-        """Fill ids_of and names_of for the words."""
-        root: dict = {}
-        letters, last_token, finish = self.letters, self.last_token, self.finish
+    def grow(self, words: set[str]) -> list:
+        """The trie of the words' letters without the last one: a node is [letters of the edge to it, children by first letter, (last letter, word) of the words that end below it]."""
+        root, letters = ["", {}, []], self.letters
         for w in words:
             mapped = w if w.isascii() and w.isprintable() else "".join([letters[b] for b in w.encode("utf-8", "replace")])
-            if len(mapped) > LONGEST_BRANCH:
-                start = [self.vocabulary[c] for c in mapped[:-1]] + [self.vocabulary[mapped[-1] + self.end]]
-                self.remember(w, self.merger.merge(start))
-                continue
-            node = root
-            for c in mapped[:-1]:
-                below = node.get(c)
-                if below is None:
-                    below = node[c] = {}
-                node = below
-            node[mapped[-1], w] = None  # the last symbol bears the end mark, so no word goes on below it
-        lasts, stack = [-1], [(root, "")]  # lasts follows the branch from the root
+            body, node, at = mapped[:-1], root, 0  # the last symbol bears the end mark, so no word goes on below it
+            while at < len(body):
+                child = node[1].get(body[at])
+                if child is None:
+                    child = node[1][body[at]] = [body[at:], {}, []]
+                elif not body.startswith(child[0], at):
+                    edge, k = child[0], 1
+                    while k < len(edge) and at + k < len(body) and edge[k] == body[at + k]:
+                        k += 1
+                    child[0] = edge[k:]
+                    child = node[1][body[at]] = [edge[:k], {edge[k]: child}, []]
+                node, at = child, at + len(child[0])
+            node[2].append((mapped[-1], w))
+        return root
+
+    def encode_words(self, words: set[str]) -> None:
+        """Fill ids_of for the words."""
+        width, last_token = self.width, self.last_token
+        lasts, stack = [-1], [(self.grow(words), 0, "")]  # lasts follows the branch from the root
         while stack:
-            node, path = stack.pop()
-            if path:
-                lasts[len(path) :] = [last_token(path, False, lasts)]
-            for key, below in node.items():
-                if below is not None:
-                    stack.append((below, path + key))
-                else:
-                    finish(key[1], path + key[0], lasts)
-
-    def finish(self, word: str, path: str, lasts: list[int]) -> None:
-        out, at, length = [token := self.last_token(path, True, lasts)], len(path), self.length
+            (edge, children, ended), depth, tail = stack.pop()
+            del lasts[depth + 1 :]
+            for c in edge:
+                tail, depth = (tail + c)[-width:], depth + 1
+                lasts.append(last_token(tail, depth, False, lasts))
+            for c, word in ended:
+                self.finish(word, (tail + c)[-width:], depth + 1, lasts)
+            for below in children.values():
+                stack.append((below, depth, tail))
+
+    def finish(self, word: str, tail: str, depth: int, lasts: list[int]) -> None:
+        out, at, length = [token := self.last_token(tail, depth, True, lasts)], depth, self.length
         while at := at - length[token]:
             out.append(token := lasts[at])
         out.reverse()
-        self.remember(word, out)
-
-    def remember(self, word: str, ids: list[int]) -> None:
-        self.ids_of[word], self.names_of[word] = array("I", ids).tobytes(), " ".join(map(self.names.__getitem__, ids))
+        self.ids_of[word] = array("I", out).tobytes()
 
     def rest(self) -> None:
         """Between tasks: forget most words, and keep what is known of token pairs."""
@@ -141,7 +148,7 @@ class TrieEncoder:
 
     def forget(self) -> None:
         """Keep the words met first, which are the common ones."""
-        self.ids_of, self.names_of = (dict(islice(d.items(), COMMON)) for d in (self.ids_of, self.names_of))
+        self.ids_of = dict(islice(((w, ids) for w, ids in self.ids_of.items() if len(w) <= LONG_WORD), COMMON))
 
     def segment(self, text: str) -> list[str]:
         """Words of a text without special strings, in the vocabulary's normal form."""
@@ -151,8 +158,8 @@ class TrieEncoder:
             return self.ascii_words.findall(text.lower())
         return self.words.findall(unicodedata.normalize("NFC", text).replace("Σ", "σ").lower())
 
-    def encode_all(self, texts) -> list[tuple[bytes, str, int]]:
-        """For each text its ids as little-endian unsigned 32-bit integers, the decoded text, and the number of ids.
+    def encode_all(self, texts) -> list[bytes]:
+        """For each text its ids as little-endian unsigned 32-bit integers.
 
         The new words of all the texts go into one trie. Nothing here forms cycles, so the collector rests meanwhile.
         """
@@ -162,23 +169,21 @@ class TrieEncoder:
         finally:
             gc.enable()
 
-    def _encode_all(self, texts) -> list[tuple[bytes, str, int]]:
+    def _encode_all(self, texts) -> list[bytes]:
         special, split, out = self.special_ids, [], []
         for text in texts:
             split.append([p if p in special else self.segment(p) for p in self.special.split(text or "") if p])
         words = [p for parts in split for p in parts if not isinstance(p, str)]
         if new := set().union(*words).difference(self.ids_of):
             self.encode_words(new)
-        ids_of, names_of = self.ids_of.__getitem__, self.names_of.__getitem__
+        ids_of = self.ids_of.__getitem__
         for parts in split:
-            ids = b"".join([array("I", [special[p]]).tobytes() if isinstance(p, str) else b"".join(map(ids_of, p)) for p in parts])
-            names = [p if isinstance(p, str) else " ".join(map(names_of, p)) for p in parts]
-            out.append((ids, " ".join([n for n in names if n]), len(ids) // 4))
+            out.append(b"".join([array("I", [special[p]]).tobytes() if isinstance(p, str) else b"".join(map(ids_of, p)) for p in parts]))
         if len(self.ids_of) > REMEMBERED:
             self.forget()
         return out
 
-    def encode(self, text: str | None) -> tuple[bytes, str, int]:
+    def encode(self, text: str | None) -> bytes:
         return self.encode_all([text])[0]
 
     def decode(self, ids: bytes) -> str:
@@ -210,6 +215,14 @@ def _spec(docs: DataFrame, vocabulary_path: str):
         return docs.sparkSession.sparkContext.broadcast(f.read())
 
 
+def _digests(own: TrieEncoder, ids: bytes) -> tuple[int, str, str]:
+    """Number of ids, their digest, and that of the text that they decode to."""
+    return len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(own.decode(ids).encode("utf-8", "replace")).hexdigest()
+
+
+DIGESTS = ("n_tokens", "ids_sha256", "decoded_sha256")
+
+
 def encoded_digests(docs: DataFrame, vocabulary_path: str, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """One row per input row: doc_id, n_tokens, ids_sha256, decoded_sha256.
 
@@ -220,25 +233,37 @@ def encoded_digests(docs: DataFrame, vocabulary_path: str, text_col: str = "text
 
     @F.pandas_udf("n_tokens long, ids_sha256 string, decoded_sha256 string")
     def digests(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        own, sha = encoder(spec.value), hashlib.sha256
+        own = encoder(spec.value)
         for texts in batches:
-            rows = [(n, sha(ids).hexdigest(), sha(decoded.encode("utf-8", "replace")).hexdigest()) for some in slices(texts) for ids, decoded, n in own.encode_all(some)]
-            yield pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"])
+            yield pd.DataFrame([_digests(own, ids) for some in slices(texts) for ids in own.encode_all(some)], columns=list(DIGESTS))
         own.rest()
 
     return docs.select(F.col(id_col).alias("doc_id"), digests(F.col(text_col).cast("string")).alias("e")).select("doc_id", "e.*")
 
 
-def encode_column(docs: DataFrame, vocabulary_path: str, text_col: str = "text", ids_col: str = "token_ids") -> DataFrame:
-    """docs with a column of token ids (array<int>; an empty one for null and empty texts); an existing column of that name is replaced."""
+def encode_column(docs: DataFrame, vocabulary_path: str, text_col: str = "text", ids_col: str = "token_ids", digests: bool = False) -> DataFrame:
+    """docs with a column of token ids (array<int>; an empty one for null and empty texts), and if asked n_tokens, ids_sha256 and decoded_sha256.
+
+    Columns of docs by those names are replaced.
+    """
     spec = _spec(docs, vocabulary_path)
+    extra = DIGESTS if digests else ()
 
-    @F.pandas_udf("array<int>")
-    def ids_of(texts: pd.Series) -> pd.Series:
+    @F.arrow_udf("ids array<int>" + (", n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else ""))
+    def encoded(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         own = encoder(spec.value)
-        return pd.Series([list(array("I", e[0])) for some in slices(texts) for e in own.encode_all(some)])
+        for texts in batches:
+            found = [ids for some in slices(texts.to_pylist()) for ids in own.encode_all(some)]
+            ends = np.cumsum([0, *(len(i) // 4 for i in found)]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(found), "<i4")))
+            rows = [_digests(own, ids) for ids in found] if digests else []
+            told = [pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int64(), pa.string(), pa.string())[: len(extra)])]
+            yield pa.StructArray.from_arrays([lists, *told], ["ids", *extra])
+        own.rest()
 
-    return docs.withColumn(ids_col, ids_of(F.col(text_col).cast("string")))
+    kept = [F.col(f"`{c}`") for c in docs.columns if c not in (ids_col, *extra)]
+    made = docs.select(*kept, encoded(F.col(text_col).cast("string")).alias("__encoded"))
+    return made.select(*kept, F.col("__encoded.ids").alias(ids_col), *[F.col(f"__encoded.{c}").alias(c) for c in extra])
 
 
 def decode_column(docs: DataFrame, vocabulary_path: str, ids_col: str = "token_ids", text_col: str = "decoded") -> DataFrame:
