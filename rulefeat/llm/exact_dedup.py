@@ -14,9 +14,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..storage import materialise, scratch_path, settings
+from .marks import marked
 
 WHITE = r"[\x20\x09-\x0D]+"
-HIT_BITS = 24  # at most 512 words of 4 KiB
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 STATE_SETTINGS = {
     "spark.sql.streaming.stateStore.providerClass": ROCKS,
@@ -76,18 +76,6 @@ class DedupState:
         )
 
 
-def _perhaps(rows: DataFrame, hits: DataFrame) -> DataFrame:
-    """The rows whose key may be among hits, by a table of 2^HIT_BITS bits of keys' first bits: of fixed size, so it is broadcast. It leaves out no hit."""
-    # never null, so that no filter for nulls works the key out a second time below the join
-    place = F.coalesce(F.conv(F.hex(F.substring("key", 1, 4)), 16, 10).cast("long"), F.lit(0)).bitwiseAND((1 << HIT_BITS) - 1).alias("place")
-    # Spark's bitmaps number bits from 1, and hold 2^15 of them in a word
-    one_on = F.col("place") + 1
-    words = hits.select(place).groupBy(F.bitmap_bucket_number(one_on).alias("word")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(one_on)).alias("bits"))
-    marked = rows.select("*", place).join(F.broadcast(words), F.shiftright("place", 15) + 1 == F.col("word"))
-    byte = F.conv(F.hex(F.expr("substring(bits, cast(shiftright(place & 32767, 3) as int) + 1, 1)")), 16, 10).cast("int")
-    return marked.where(F.expr("shiftleft(1, cast(place & 7 as int))").bitwiseAND(byte) != 0).select(*rows.columns)
-
-
 def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", key_bytes: int = 32, bytes_per_batch: int = 64 << 30) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256.
 
@@ -110,10 +98,11 @@ def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id",
 
     # full bytes on hits: all members of a group are equal exactly when the least and the greatest are
     hits = winners.where("group_size > 1").select("key")
-    unequal = materialise(
-        _perhaps(read.select("key", "plain"), hits).join(hits, "key").groupBy("key").agg(F.min("plain").alias("low"), F.max("plain").alias("high")).where("low <> high").select("key"),
-        "dedup-unequal",
-    )
+    first_bits = F.conv(F.hex(F.substring("key", 1, 4)), 16, 10)
+    perhaps = marked(read.select("key", "plain"), first_bits, hits, first_bits).where("__maybe")
+    # each task takes the least and the greatest of its own before any text moves: a hot text moves twice a task, not once a row
+    ends = perhaps.groupBy("key").agg(F.min("plain").alias("low"), F.max("plain").alias("high")).where("low <> high")
+    unequal = materialise(ends.join(hits, "key", "left_semi").select("key"), "dedup-unequal")
     sure = keyed.join(winners, "key")
     if not unequal.isEmpty():
         sure = sure.join(unequal, "key", "left_anti")
@@ -133,14 +122,18 @@ def exact_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id",
 def drop_copies(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """docs without the rows that exact_dedup() drops, all columns kept.
 
-    Rows repeated under one id (null ids included) with equal texts of equal length are reduced to one of them.
+    Rows repeated under one id (null ids included) with equal texts of equal length are reduced to one of them. Only rows whose id may be among those of
+    dropped rows are met with the decisions; the others stay where they are.
     """
-    found = exact_dedup(docs, text_col, id_col)
+    found = materialise(exact_dedup(docs, text_col, id_col), "dedup-decisions")
+    name = F.xxhash64(F.col(id_col))
+    told = marked(docs, name, found.where("NOT kept"), F.xxhash64("doc_id"))
+    sure, unsure = told.where("NOT __maybe").drop("__maybe"), told.where("__maybe").drop("__maybe")
     one = F.length(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
-    kept = found.where("kept").select(F.col("doc_id").alias("__id"), F.col("n_chars").alias("__n"), "text_sha256")
-    marked = docs.select("*", F.coalesce(F.sha2(squeezed(F.col(text_col)), 256), F.lit("")).alias("__sha"), one.alias("__len"))
-    stay = marked.join(kept, marked[id_col].eqNullSafe(kept["__id"]) & (marked["__len"] == kept["__n"]) & (marked["__sha"] == kept["text_sha256"]), "left_semi")
+    kept = found.where("kept").select(F.col("doc_id").alias("__id"), F.col("n_chars").alias("__n"), F.col("text_sha256").alias("__digest"))
+    keyed = unsure.select("*", F.coalesce(F.sha2(squeezed(F.col(text_col)), 256), F.lit("")).alias("__sha"), one.alias("__len"))
+    stay = keyed.join(kept, keyed[id_col].eqNullSafe(kept["__id"]) & (keyed["__len"] == kept["__n"]) & (keyed["__sha"] == kept["__digest"]), "left_semi")
     if not found.groupBy("doc_id", "text_sha256", "n_chars").count().where("count > 1").isEmpty():
-        columns = [F.col(c) for c in docs.columns]
-        stay = stay.groupBy("__sha", "__len", id_col).agg(F.any_value(F.struct(*columns)).alias("__row")).select("__row.*")
-    return stay.select(*docs.columns)
+        columns = [F.col(f"`{c}`") for c in docs.columns]
+        stay = stay.groupBy("__sha", "__len", F.col(id_col).alias("__own")).agg(F.any_value(F.struct(*columns)).alias("__row")).select("__row.*")
+    return sure.unionByName(stay.select(*docs.columns))

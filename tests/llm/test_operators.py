@@ -222,10 +222,12 @@ def test_line_dedup_matches_brute_force(docs, empty):
     assert line_dedup.dedup_lines(docs).columns == docs.columns
 
 
-def test_line_dedup_without_filters_and_reversible(spark, docs):
+def test_line_dedup_with_many_shards_and_reversible(spark, docs):
     own = docs.select("doc_id", "text").where("doc_id is not null")
-    wide = line_dedup.LineIndex(spark, filter_bytes=0).insert(own)
-    assert wide.filters is None
+    wide = line_dedup.LineIndex(spark, threshold=1, shard_keys=1, shard_lines=1).insert(own)
+    assert wide.shards > 8 and wide.filters.count() > 4
+    assert wide.maybe(line_dedup._references(own, "text", "doc_id", 20)).count() == line_dedup._references(own, "text", "doc_id", 20).count()
+    wide = line_dedup.LineIndex(spark, shard_keys=1, shard_lines=2).insert(own)
     index = line_dedup.LineIndex(spark).insert(own)
     show = lambda x: sorted(((r["doc_id"], r["__kept"]) for r in x.apply(own).collect()), key=str)
     assert show(wide) == show(index)
@@ -247,6 +249,10 @@ def test_cuckoo_filter_inserts_and_deletes():
         f.insert(a, b)
     f = line_dedup.CuckooFilter.load(f.dump())
     assert f.contains(keys[:, 0], keys[:, 1]).all()
+    g = line_dedup.CuckooFilter(2000)
+    g.insert_all(keys[:1000])
+    g.insert_all(keys[1000:])
+    assert g.contains(keys[:, 0], keys[:, 1]).all() and np.count_nonzero(g.table) + sum(g.spill.values()) == 3000
     for a, b in keys[:1500]:
         assert f.delete(a, b)
     assert f.contains(keys[1500:, 0], keys[1500:, 1]).all()
