@@ -27,7 +27,7 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return bpe_trie.encoded_digests(docs, public_tokenizers.path("word_bpe_49k.json"))
+    return bpe_trie.encode_column(docs, public_tokenizers.path("word_bpe_49k.json"), digests=True)
 
 
 STAGES = [
