@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from ..storage import ROWS_PER_BATCH, SMALL_BATCHES, materialise, settings, ship_package, trim_memory
 from .components import connected
-from .simhash import depth_for, fingerprint, keep_least, near_pairs
+from .simhash import choose_tree, fingerprint, keep_least, near_pairs
 
 WIDTH = 5
 #: Least similarity, as a fraction.
@@ -190,7 +190,7 @@ def alike_pairs(docs: DataFrame, text_col: str, id_col: str) -> tuple[DataFrame,
     shared = _shared(marked)
 
     prints = materialise(marked.groupBy("fp").agg(F.min("node").alias("node")), "points")
-    tree = near_pairs(prints.select("fp"), 2, depth_for(prints.count()))
+    tree = near_pairs(prints.select("fp"), 2, *choose_tree(prints, 2))
     ends = tree.join(prints.select(F.col("fp").alias("u"), F.col("node").alias("a")), "u").join(prints.select(F.col("fp").alias("v"), F.col("node").alias("b")), "v").select("a", "b")
     one_print = marked.select(F.col("fp").alias("fp"), F.col("node").alias("a")).join(prints.select("fp", F.col("node").alias("b")), "fp").select("a", "b")
     side = lambda df, s: df.select("shingle", F.col("node").alias(s), *[F.col(c).alias(f"{c}_{s}") for c in df.columns if c in ("pos", "n", "root")])

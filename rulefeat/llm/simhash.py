@@ -1,11 +1,12 @@
 """SimHash near-duplicates through vantage-point trees over the fingerprints.
 
-The tree has one level for each of `levels` disjoint blocks of bits. Its vantage point at a level is the block of
-a fixed 64-bit word; a node's children are the rings of equal Hamming distance to it. Distances over blocks add up to the
+The tree has one level for each of `levels` disjoint blocks of bits. The vantage points of its levels are the blocks of one of the fingerprints;
+a node's children are the rings of equal Hamming distance to its level's vantage point. Distances over blocks add up to the
 Hamming distance, so by the triangle bound the ring numbers of two fingerprints within radius r differ by at most r in
 all levels together. A leaf (a path of ring numbers) is a shard; a fingerprint is stored in its own
 and queries the shards whose boundary its ball overlaps. Both are equi-join keys, so the
-tree is walked by one shuffle join, and the pairs found are exact at any size.
+tree is walked by one shuffle join, and the pairs found are exact at any size. The number of levels and the vantage point are those
+of the least expected cost, by how a sample of the fingerprints falls into leaves.
 """
 
 from __future__ import annotations
@@ -19,9 +20,12 @@ from pyspark.sql import functions as F
 
 from ..storage import materialise, ship_package, trim_memory
 from .components import connected
+from .marks import marked
 
-#: Vantage word: the fractional bits of the golden ratio, as a signed long.
-VANTAGE = 0x9E3779B97F4A7C15 - (1 << 64)
+#: Levels to choose from, and how many fingerprints are tried as vantage points.
+DEPTHS, CANDIDATES = (6, 8, 10, 12, 16, 21), 4
+#: Fingerprints by which a tree is chosen, at most about so many; all fingerprints are stored and asked for in it.
+TRIAL = 50_000
 SHINGLE, SEED, CHUNK = 3, 42, 1 << 16
 
 
@@ -77,11 +81,11 @@ def _bits_per_ring(levels: int) -> int:
     return max(bin(m).count("1") for m in _blocks(levels)).bit_length()
 
 
-def leaf(fp: Column, levels: int) -> Column:
-    """Path of ring numbers of a fingerprint, packed in a long with one spare ring on both sides' account."""
+def leaf(fp: Column, levels: int, vantage: int = 0) -> Column:
+    """Path of ring numbers of a fingerprint, packed in a long with one spare ring on both sides' account; vantage is a signed long."""
     shift, parts = _bits_per_ring(levels), []
     for i, mask in enumerate(_blocks(levels)):
-        ring = F.bit_count(fp.bitwiseXOR(F.lit(VANTAGE)).bitwiseAND(F.lit(_signed(mask)))).cast("long")
+        ring = F.bit_count(fp.bitwiseXOR(F.lit(vantage).cast("long")).bitwiseAND(F.lit(_signed(mask)).cast("long"))).cast("long")
         parts.append(F.shiftleft(ring, shift * i))
     out = parts[0]
     for p in parts[1:]:
@@ -99,14 +103,35 @@ def overlapped(levels: int, radius: int) -> list[int]:
     return sorted(sum(x << (shift * i) for i, x in enumerate(d)) for d in half)
 
 
-def depth_for(n: int) -> int:
-    """Levels of a tree over n fingerprints. Eight have about 2^20 leaves in use and ask 72 others a point, sixteen about 2^32 and 272; the pairs are the same."""
-    return 8 if n <= 1 << 22 else 16
+def choose_tree(points: DataFrame, radius: int = 2) -> tuple[int, int]:
+    """(levels, vantage) of points(fp). A point asks overlapped() shards, and is compared with what its shards hold.
 
+    How many that is follows from the share of pairs of sampled points that fall into one leaf; the sample is of the least hashes, bounded by TRIAL.
+    The pairs found are the same with any tree.
+    """
+    n = points.count()
+    if n < 2:
+        return DEPTHS[0], 0
+    drawn = materialise(points.where(F.pmod(F.xxhash64("fp"), F.lit(1 << 30)) < int(min(1.0, TRIAL / n) * (1 << 30))).select("fp"), "tree-sample")
+    vantages = [r["fp"] for r in drawn.orderBy(F.xxhash64("fp")).limit(CANDIDATES).collect()] or [0]
+    trees = [(d, v) for d in DEPTHS for v in vantages]
+    fallen = drawn.select(F.explode(F.array(*[F.struct(F.lit(i).alias("tree"), leaf(F.col("fp"), d, v).alias("leaf")) for i, (d, v) in enumerate(trees)])).alias("t"))
+    held = fallen.groupBy("t.tree", "t.leaf").agg(F.count(F.lit(1)).alias("c")).groupBy("tree").agg(F.sum(F.col("c") * (F.col("c") - 1)).alias("same"), F.sum("c").alias("m")).collect()
+
+    def cost(r) -> float:
+        asked = len(overlapped(trees[r["tree"]][0], radius)) + 1
+        met = n * r["same"] / max(1, r["m"] * (r["m"] - 1))  # points in a point's own leaf; its neighbours hold about as many
+        return asked * (1 + 0.1 * met)  # a comparison is some ten times cheaper than a shuffled question
+
+    return min(((cost(r), *trees[r["tree"]]) for r in held), default=(0, DEPTHS[0], 0))[1:]
 
-def near_pairs(points: DataFrame, radius: int = 2, levels: int = 8) -> DataFrame:
-    """points(fp), distinct longs, to all pairs (u, v) with u <> v at `radius` differing bits or fewer, each once."""
-    homes = points.select("fp", leaf(F.col("fp"), levels).alias("leaf"))
+
+def near_pairs(points: DataFrame, radius: int = 2, levels: int = 8, vantage: int = 0) -> DataFrame:
+    """points(fp), distinct longs, to all pairs (u, v) with u <> v at `radius` differing bits or fewer, each once.
+
+    Copies were one point before, so a leaf holds different fingerprints only; a leaf that is large all the same is split by the engine's skew join.
+    """
+    homes = points.select("fp", leaf(F.col("fp"), levels, vantage).alias("leaf"))
     close = F.bit_count(F.col("u").bitwiseXOR(F.col("v"))) <= radius
     stored = homes.select(F.col("fp").alias("v"), "leaf")
     inside = homes.select(F.col("fp").alias("u"), "leaf").join(stored, "leaf").where((F.col("u") < F.col("v")) & close)
@@ -125,7 +150,8 @@ def near_components(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     """
     marked = materialise(fingerprints(docs, text_col, id_col, width), "fingerprints")
     points = materialise(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "points")
-    roots = connected(near_pairs(points.select("fp"), radius, levels or depth_for(points.count())))
+    chosen, vantage = choose_tree(points, radius)
+    roots = connected(near_pairs(points.select("fp"), radius, levels or chosen, vantage))
     rooted = points.join(roots, points.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     ids = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
     named = rooted.join(ids, "root").select("fp", "component_id", "root")
@@ -137,16 +163,18 @@ def keep_one_of_each(docs: DataFrame, text_col: str = "text", id_col: str = "doc
 
     Where several rows of a component bear that id (or no row of it has an id), the one with the longest text, then the least hash, stays.
     """
-    return keep_least(docs, near_components(docs, text_col, id_col), fingerprint_column(text_col), text_col, id_col)
+    return keep_least(docs, materialise(near_components(docs, text_col, id_col), "near-components"), fingerprint_column(text_col), text_col, id_col)
 
 
 def keep_least(docs: DataFrame, found: DataFrame, own: Column, text_col: str, id_col: str) -> DataFrame:
-    """docs with one row of each component of found(doc_id, component_id, fp, root); own is a row's fp."""
+    """docs with one row of each component of found(doc_id, component_id, fp, root), a stored table; own is a row's fp. Where ids are unique, only rows that may go move."""
     if found.groupBy("doc_id").count().where("count > 1 or doc_id is null").isEmpty():
-        heads = found.where("doc_id = component_id").select(F.col("doc_id").alias("__id"))
-        return docs.join(heads, docs[id_col] == heads["__id"], "left_semi")
+        gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__id"))
+        told = marked(docs, F.xxhash64(F.col(id_col)), gone, F.xxhash64("__id"))
+        some = told.where("__maybe").select(*[F.col(f"`{c}`") for c in docs.columns])
+        return told.where("NOT __maybe").select(*some.columns).unionByName(some.join(gone, some[id_col] == gone["__id"], "left_anti"))
     named = found.select(F.col("fp").alias("__fp"), F.col("component_id").alias("__component"), F.col("root").alias("__root")).distinct()
-    marked = docs.select("*", own.alias("__own"))
-    heads = marked.join(named, F.col("__own") == F.col("__fp")).where(F.col(id_col).eqNullSafe(F.col("__component")))
+    held = docs.select("*", own.alias("__own"))
+    heads = held.join(named, F.col("__own") == F.col("__fp")).where(F.col(id_col).eqNullSafe(F.col("__component")))
     rank = F.struct((-F.length(F.coalesce(F.col(text_col), F.lit("")))).alias("a"), F.xxhash64(text_col).alias("b"))
-    return heads.groupBy("__root").agg(F.min_by(F.struct(*docs.columns), rank).alias("__row")).select("__row.*")
+    return heads.groupBy("__root").agg(F.min_by(F.struct(*[F.col(f"`{c}`") for c in docs.columns]), rank).alias("__row")).select("__row.*")

@@ -377,7 +377,7 @@ def test_license_rules(docs, empty):
     book = license_rules.rule_book()
     mit = "MIT License\n\nThe MIT License (MIT)\nPermission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use.\nThe above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.\nTHE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING ANYTHING."
     assert [n for _, _, n in book.find(mit)] == ["MIT"]
-    assert [n for _, _, n in book.find("This work is licensed under the GNU General Public License, version 3.")] == ["GPL-3"]
+    assert [n for _, _, n in book.find("This work is licensed under the GNU General Public License, version 3.")] == ["GPL-3.0"]
     assert book.find("a plain sentence about a license plate.") == []
 
 
