@@ -239,7 +239,8 @@ def read_media(stored: DataFrame, payload: bool = False) -> DataFrame:
     table = stored.where("kind = 2").groupBy("digest").agg(F.any_value("chunk").alias("chunk"))
     places = stored.where("kind = 4").select("media", "seq", "digest").distinct()
     away = places.join(table, "digest").select(F.col("media").alias("media"), "seq", "chunk")
-    own = stored.where("kind = 3").select(F.col("media").alias("media"), "head", "chunk")  # an alias: both sides of the cogroup come from one table
+    # each task that met a text stored it: one of those rows is enough, so a hot text's group stays one row and its places
+    own = stored.where("kind = 3").groupBy(F.col("media").alias("media")).agg(F.any_value(F.struct("head", "chunk")).alias("own")).select("media", "own.head", "own.chunk")
     whole = own.groupBy("media").cogroup(away.groupBy("media")).applyInArrow(assemble, f"media binary, {made}")
     alone = stored.where("kind = 0").select("doc_id", "head", "chunk").mapInArrow(alone_rows, f"doc_id {id_type}, {made}")
     joined = stored.where("kind = 1").select("doc_id", "media").join(whole, "media").select("doc_id", *fields)

@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import materialise, ship_package, trim_memory
+from ..storage import materialise, release, ship_package, trim_memory
 from .components import connected
 from .marks import marked
 
@@ -117,6 +117,7 @@ def choose_tree(points: DataFrame, radius: int = 2) -> tuple[int, int]:
     trees = [(d, v) for d in DEPTHS for v in vantages]
     fallen = drawn.select(F.explode(F.array(*[F.struct(F.lit(i).alias("tree"), leaf(F.col("fp"), d, v).alias("leaf")) for i, (d, v) in enumerate(trees)])).alias("t"))
     held = fallen.groupBy("t.tree", "t.leaf").agg(F.count(F.lit(1)).alias("c")).groupBy("tree").agg(F.sum(F.col("c") * (F.col("c") - 1)).alias("same"), F.sum("c").alias("m")).collect()
+    release(drawn)
 
     def cost(r) -> float:
         asked = len(overlapped(trees[r["tree"]][0], radius)) + 1

@@ -1,7 +1,7 @@
 """Toxicity scores: logistic regression by FTRL-proximal over hashed word n-grams and skip-grams.
 
 Rates are per coordinate, and L1 keeps most weights at zero, so that the model is a short list of (coordinate, weight)
-of bounded size, which is broadcast for scoring. Training reads a bounded sample of labelled rows.
+of bounded size, which is broadcast for scoring. Training reads a bounded sample of labelled rows, bounded in coordinates too.
 """
 
 from __future__ import annotations
@@ -13,14 +13,16 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..storage import SMALL_BATCHES, settings, ship_package, trim_memory
+from ..storage import SMALL_BATCHES, materialise, release, settings, ship_package, trim_memory
 
 BITS = 20
 #: At most so many labelled rows are learnt from; beyond, those with the least hashes of their ids.
 SAMPLE = 20_000
+#: Coordinates of all learnt rows together at most (four bytes each); the first rows by hash that fit are learnt from, each whole.
+COORDINATES = 1 << 25
 WORDS = re.compile(r"\w+")
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -91,10 +93,10 @@ def is_held_out(id_col: str, folds: int = 5) -> Column:
     return F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")) % folds == 0
 
 
-def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", id_col: str = "doc_id", sample: int = SAMPLE, bits: int = BITS, **rates) -> FtrlModel:
+def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", id_col: str = "doc_id", sample: int = SAMPLE, bits: int = BITS, coordinates: int = COORDINATES, **rates) -> FtrlModel:
     """Learn from labelled rows whose id isn't held out; rows without text or label teach nothing.
 
-    Coordinates are made on the executors; one task then goes through at most `sample` of them in the order of their ids' hashes, and sends back the weights that aren't zero.
+    Coordinates are made on the executors; one task then goes through at most `sample` rows and `coordinates` coordinates in the order of the ids' hashes, and sends back the weights that aren't zero.
     Without examples of both labels the model knows the share of label 1 only (1/2 without any rows).
     """
     ship_package(labelled.sparkSession)
@@ -108,7 +110,12 @@ def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", i
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.int32())), *batch.columns[1:]], ["at", "label", "turn", "tie"])
         trim_memory()
 
-    made = chosen.repartition("turn").mapInArrow(to_coordinates, "at array<int>, label int, turn long, tie long")
+    with settings(labelled.sparkSession, SMALL_BATCHES):
+        made = materialise(chosen.repartition("turn").mapInArrow(to_coordinates, "at array<int>, label int, turn long, tie long"), "coordinates")
+    order = Window.orderBy("turn", "tie", "label").rowsBetween(Window.unboundedPreceding, 0)  # over `sample` rows of three numbers
+    sizes = made.select("turn", "tie", "label", F.sum(F.size("at").cast("long")).over(order).alias("so_far"))
+    last = sizes.where(F.col("so_far") <= coordinates).agg(F.max(F.struct("turn", "tie", "label")).alias("last")).first()["last"]
+    learnt = made.where(F.struct("turn", "tie", "label") <= F.struct(*[F.lit(x).cast(t) for x, t in zip(last, ("long", "long", "int"))]) if last else F.lit(False))
 
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         examples, labels, turns = [], [], []
@@ -129,7 +136,8 @@ def fit(labelled: DataFrame, text_col: str = "text", label_col: str = "toxic", i
         yield pa.RecordBatch.from_arrays([pa.array([m.bias]), pa.array([m.at], pa.list_(pa.int64())), pa.array([m.weights], pa.list_(pa.float64()))], ["bias", "at", "weights"])
 
     with settings(labelled.sparkSession, SMALL_BATCHES):
-        got = made.repartition(1).mapInArrow(learn, "bias double, at array<long>, weights array<double>").first()
+        got = learnt.repartition(1).mapInArrow(learn, "bias double, at array<long>, weights array<double>").first()
+    release(made)
     if got is None:
         return FtrlModel(bits, 0.0, np.zeros(0, np.int64), np.zeros(0))
     return FtrlModel(bits, got["bias"], np.array(got["at"], np.int64), np.array(got["weights"], float))
@@ -149,29 +157,29 @@ def score_column(docs: DataFrame, model: FtrlModel, text_col: str = "text") -> C
     return score(F.col(text_col).cast("string"))
 
 
-def sampled_labels(labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
-    """(doc_id, toxic) of at most `sample` labelled rows that aren't held out, in the order of their ids' hashes."""
-    usable = labels.where(~is_held_out("doc_id") & F.col("toxic").isNotNull() & F.col("doc_id").isNotNull())
-    return usable.select("doc_id", "toxic", F.xxhash64("doc_id").alias("turn")).orderBy("turn", "doc_id", "toxic").limit(sample)
+def sampled_labels(labels: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", label_col: str = "toxic") -> DataFrame:
+    """(id, label) of at most `sample` labelled rows that aren't held out, in the order of their ids' hashes."""
+    usable = labels.where(~is_held_out(id_col) & F.col(label_col).isNotNull() & F.col(id_col).isNotNull())
+    return usable.select(F.col(id_col).alias("id"), F.col(label_col).alias("label"), F.xxhash64(id_col).alias("turn")).orderBy("turn", "id", "label").limit(sample).select("id", "label")
 
 
-def labelled_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Texts with labels; the sample's ids and labels are broadcast (its bound is theirs), so no other text moves."""
-    return docs.select("doc_id", "text").join(F.broadcast(labels.select("doc_id", "toxic")), "doc_id")
+def trained(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic", **rates) -> FtrlModel:
+    """The model of docs' texts with labels' labels; the sample's ids and labels are broadcast (its bound is theirs), so no other text moves."""
+    chosen = sampled_labels(labels, sample, id_col, label_col)
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+    return fit(texts.join(F.broadcast(chosen), "id"), "text", "label", "id", sample, **rates)
 
 
-def toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, model: FtrlModel | None = None) -> DataFrame:
+def toxicity(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, model: FtrlModel | None = None, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> DataFrame:
     """One row per input row: doc_id, held_out, score, predicted.
 
     Null texts score like empty ones; the id only tells whether a label may be learnt from (a null id is like an empty one). Repeated rows are repeated; an empty table gives an empty result.
     """
-    if model is None:
-        model = fit(labelled_documents(docs, sampled_labels(labels, sample)), sample=sample)
-    scored = docs.select("doc_id", is_held_out("doc_id").alias("held_out"), score_column(docs, model).alias("score"))
+    model = model or trained(docs, labels, sample, text_col, id_col, label_col)
+    scored = docs.select(F.col(id_col).alias("doc_id"), is_held_out(id_col).alias("held_out"), score_column(docs, model, text_col).alias("score"))
     return scored.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
 
-def drop_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+def drop_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> DataFrame:
     """docs without the rows predicted toxic; all columns are kept."""
-    model = fit(labelled_documents(docs, sampled_labels(labels, sample)), sample=sample)
-    return docs.where(score_column(docs, model) < 0.5)
+    return docs.where(score_column(docs, trained(docs, labels, sample, text_col, id_col, label_col), text_col) < 0.5)

@@ -2,6 +2,7 @@
 
 import base64
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -182,6 +183,55 @@ def test_mix_meets_targets(docs, empty):
     assert mixing.schedule(empty).count() == 0
 
 
+def slow_mix(data, target, epochs=3):
+    """Words taken of each row, given the targets: queues in the order of a hash, words sent one by one after the target, all in the order of finish times."""
+    sizes, rows = defaultdict(int), []
+    for n, (i, t, source) in enumerate(data):
+        size = len([w for w in re.split(r"[\x20\x09-\x0D]+", t or "") if w])
+        sizes[source] += size
+        rows.append((source, hashlib.md5(f"{'' if i is None else i}:7:{t or ''}".encode()).digest()[:8], i is None, i or 0, size, n))
+    sent, items = defaultdict(int), []
+    names = sorted((x for x in sizes if x is not None)) + [None]
+    for e in range(epochs):
+        for source, turn, _, i, size, n in sorted(rows, key=lambda r: (names.index(r[0]), r[1:])):
+            start = sent[source]
+            sent[source] += size
+            whole = size and start + size <= target[source]
+            for at, words in [(0, size)] if whole else [(k, 1) for k in range(size)]:
+                if target[source]:
+                    items.append(((start + at + words) / target[source], names.index(source), turn, i, e, at, n, words))
+    left, taken = sum(sizes.values()), [0] * len(rows)
+    for *_, n, words in sorted(items):
+        taken[n] += min(words, left)
+        left -= min(words, left)
+    return taken
+
+
+def test_mix_equals_brute_force_row_by_row(spark):
+    draw = random.Random(9)
+    for sources in (2, 4):
+        data = [(i if draw.random() < 0.9 else None, " ".join(["w"] * draw.choice([0, 1, 3, 9, 40])) + f" {i}" * (i % 3), draw.choice([None, "b", "a", "c"][:sources])) for i in range(80)]
+        df = spark.createDataFrame(data, "doc_id long, text string, source string")
+        got = mixing.schedule(df).collect()
+        target, sizes = {r["source"]: r["target"] for r in got}, defaultdict(int)
+        for _, t, source in data:
+            sizes[source] += len((t or "").split())
+        assert target == pytest.approx(slow_targets(sizes))
+        want = slow_mix(data, target)
+        assert sorted((str(r["doc_id"]), r["size"], r["taken"]) for r in got) == sorted((str(i), len((t or "").split()), w) for (i, t, _), w in zip(data, want))
+        assert sum(want) == sum(len((t or "").split()) for _, t, _ in data)
+
+
+def test_mix_of_rows_that_are_alike(spark):
+    same = [(None, "one two three", "a")] * 50 + [(7, "four five", "b")] * 2 + [(i, "x y", "b") for i in range(10, 40)]
+    df = spark.createDataFrame(same, "doc_id long, text string, source string")
+    total = sum(len(t.split()) for _, t, _ in same)
+    assert sum(r["taken"] for r in mixing.schedule(df).collect()) == total
+    out = mixing.mix(df).collect()
+    assert abs(sum(len(r["text"].split()) for r in out) - total) <= 3
+    assert max(sum(r["doc_id"] == i for r in out) for i in range(10, 40)) <= 3
+
+
 def test_targets_reshare_step_by_step(spark):
     for sizes in ({"a": 1, "b": 100, "c": 50, "d": 7, "e": 900}, {"a": 10, "b": 10}, {"a": 0, "b": 5, None: 1}, {"z": 4}):
         df = spark.createDataFrame([(s, n) for s, n in sizes.items()], "source string, size long")
@@ -322,6 +372,45 @@ def test_toxicity_learns_and_scores(spark, sf, empty):
     assert {r["score"] for r in toxicity.toxicity(docs.limit(3), none).collect()} == {0.5}
 
 
+def test_ftrl_equals_its_naive_form():
+    rng = np.random.default_rng(4)
+    examples = [np.unique(rng.integers(0, 40, 12)) for _ in range(60)]
+    labels = np.array([float(3 in e or 7 in e) for e in examples])
+    alpha, beta, l1, l2 = 0.9, 1.0, 0.5, 0.2
+    model = toxicity.train_ftrl(examples, labels, 6, alpha, beta, l1, l2, passes=3, seed=5)
+    z, n, order = {}, {}, np.random.default_rng(5)
+
+    def weight(i):
+        free = i == "bias"
+        zi = z.get(i, 0.0)
+        if not free and abs(zi) <= l1:
+            return 0.0
+        return -(zi - (0 if free else math.copysign(l1, zi))) / ((beta + math.sqrt(n.get(i, 0.0))) / alpha + (0 if free else l2))
+
+    for _ in range(3):
+        for k in order.permutation(60):
+            seen = ["bias", *examples[k].tolist()]
+            w = {i: weight(i) for i in seen}
+            g = 1 / (1 + math.exp(-sum(w.values()))) - labels[k]
+            for i in seen:
+                sigma = (math.sqrt(n.get(i, 0.0) + g * g) - math.sqrt(n.get(i, 0.0))) / alpha
+                z[i], n[i] = z.get(i, 0.0) + g - sigma * w[i], n.get(i, 0.0) + g * g
+    want = {i: weight(i) for i in range(64) if weight(i)}
+    assert model.bias == pytest.approx(weight("bias")) and dict(zip(model.at.tolist(), model.weights.tolist())) == pytest.approx(want) and 0 < len(want) < 40
+
+
+def test_toxicity_sample_is_bounded_in_coordinates(spark):
+    rows = [(i, f"word{i % 7} " + ("bad" if i % 2 else "good"), i % 2) for i in range(200)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    whole, none = toxicity.fit(df), toxicity.fit(df, coordinates=2)
+    assert len(whole.at) and none.bias == 0.0 and not len(none.at)
+    few = toxicity.fit(df, coordinates=40)  # three coordinates a row
+    assert len(few.at) <= len(whole.at)
+    clash = df.select(F.col("doc_id").alias("key"), F.col("text").alias("body"), F.lit("x").alias("label"), F.lit(1).alias("turn"), F.lit(2).alias("score"))
+    got = toxicity.toxicity(clash, df.select(F.col("doc_id").alias("key"), F.col("toxic").alias("bad")), text_col="body", id_col="key", label_col="bad")
+    assert got.columns == ["doc_id", "held_out", "score", "predicted"] and got.where("predicted = doc_id % 2").count() == 200
+
+
 def test_toxicity_takes_odd_rows(docs, spark):
     labels = spark.createDataFrame([(1, 1), (2, 0), (3, 1), (8, None), (None, 1), (1, 1)], "doc_id long, toxic int")
     got = toxicity.toxicity(docs, labels).collect()
@@ -329,6 +418,28 @@ def test_toxicity_takes_odd_rows(docs, spark):
     assert toxicity.drop_toxic(docs, labels).columns == docs.columns
 
 
+def test_long_texts_take_every_operator(spark):
+    """Texts of two megabytes, with and without white space."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    words = random.Random(3)
+    texts = ["a" * 2_000_000, " ".join(f"w{words.randrange(10**6)}" for _ in range(250_000)), "\n".join(f"line {i % 1000} of a very long text" for i in range(70_000))]
+    df = spark.createDataFrame([(i, t, "s") for i, t in enumerate(texts)], "doc_id long, text string, source string")
+    assert {r["text_sha256"] for r in exact_dedup.exact_dedup(df).collect()} == {hashlib.sha256(plain(t).encode()).hexdigest() for t in texts}
+    assert {(r["doc_id"], int(r["fingerprint"], 16)) for r in simhash.near_components(df).collect()} == {(i, slow_fingerprint(t)) for i, t in enumerate(texts)}
+    assert sum(r["taken"] for r in mixing.schedule(df).collect()) == sum(len(t.split()) for t in texts)
+    assert sorted(map(tuple, line_dedup.line_report(df).collect())) == slow_lines(list(enumerate(texts)))
+    lib = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    assert [r["n_tokens"] for r in token_count.token_counts(df, public_tokenizers.path("byte_bpe_50k.json")).orderBy("doc_id").collect()] == [len(lib.encode(t).ids) for t in texts]
+    lib = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    got = bpe_trie.encoded_digests(df, public_tokenizers.path("word_bpe_49k.json")).orderBy("doc_id").collect()
+    assert [r["ids_sha256"] for r in got] == [hashlib.sha256(np.array(lib.encode(t, add_special_tokens=False).ids, "<u4").tobytes()).hexdigest() for t in texts]
+    assert sorted(r["payload_bytes"] for r in media.media_columns(df).collect()) == sorted(-(-len(t) // 576) * 576 for t in texts)
+    none = spark.createDataFrame([], "doc_id long, toxic int")
+    assert toxicity.toxicity(df, none).count() == license_rules.license_scan(df).count() == secrets.secret_scan(df).count() == 3
+
+
 def test_media_round_trip(docs, empty):
     got = media.media_columns(docs).collect()
     want = []
@@ -409,12 +520,51 @@ def test_secrets_keep_base_spans(spark, docs, empty):
     assert secrets.secret_scan(docs).count() == docs.count() and secrets.secret_scan(empty).count() == 0
 
 
-def test_randomness_battery_tells_text_from_chance():
+OTHER_WORDS = """river stone green purple mountain window cloud summer castle garden simple complex forest tower silver golden shadow whisper ocean planet rocket marble copper velvet harbor lantern
+meadow orchid pepper quartz ribbon saddle temple umbrella violet walnut yellow zebra zeitung fenster voiture cheval libro perro""".split()
+
+
+def wordy(draw, style):
+    w = [draw.choice(OTHER_WORDS) for _ in range(draw.randrange(4, 7))]
+    return ("".join(x.capitalize() for x in w), "_".join(w), "-".join(w), "/".join(w), "".join(w), "_".join(w).upper())[style] + (str(draw.randrange(5000)) if draw.random() < 0.4 else "")
+
+
+def a_key(draw, kind):
+    raw = draw.randbytes(28)
+    return (base64.b64encode(raw).decode(), base64.urlsafe_b64encode(raw).decode(), raw.hex().upper(), base64.b32encode(raw).decode(), "".join(draw.choice("abcdefghijklmnopqrstuvwxyz0123456789") for _ in range(36)))[kind]
+
+
+@pytest.mark.parametrize("n_keys", [30, 600])
+def test_secrets_among_identifiers(spark, n_keys):
+    draw = random.Random(n_keys)
+    rows = [(i, "call " + wordy(draw, i % 6) + " here", 0) for i in range(3000)] + [(10_000 + i, "use " + a_key(draw, i % 5) + ", please", 1) for i in range(n_keys)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, secret int")
+    found = [r["doc_id"] >= 10_000 for r in secrets.secret_scan(df).where("n_random > 0").collect()]
+    assert sum(found) >= 0.9 * n_keys and sum(found) >= 0.9 * len(found)
+    assert secrets.secret_scan(df.where("secret = 0")).where("n_random > 0").count() <= 6
+
+
+def test_battery_equals_slow_formulas():
     draw = random.Random(2)
-    chance = [base64.b64encode(draw.randbytes(36)).decode() for _ in range(200)]
-    assert np.mean([secrets.combined(secrets.battery(s, "base64")) < 0.01 for s in chance]) < 0.05
-    wordy = ["thisIsALongIdentifierNameThatWordsMade" + str(i) for i in range(50)]
-    assert np.mean([secrets.combined(secrets.battery(s, "base64")) < 0.05 for s in wordy]) > 0.5
+    for encoding, alphabet in secrets.ALPHABETS.items():
+        value, cell, side, share = secrets.symbol_table(encoding)
+        s = "".join(draw.choice(alphabet) for _ in range(48))
+        got = secrets.battery([s, s[::-1]], encoding)
+        assert secrets.inferred(alphabet) == encoding or encoding in ("hex", "HEX")
+        x = sum((sum(cell[ord(c)] == k for c in s) - 48 * p) ** 2 / (48 * p) for k, p in enumerate(share))
+        df = len(share) - 1
+        t = ((x / df) ** (1 / 3) - (1 - 2 / (9 * df))) / (2 / (9 * df)) ** 0.5
+        assert got[0, 0] == pytest.approx(0.5 * math.erfc(t / 2**0.5))
+        a = sum(side[ord(c)] for c in s)
+        runs = 1 + sum(side[ord(p)] != side[ord(q)] for p, q in zip(s, s[1:]))
+        mean = 1 + 2 * a * (48 - a) / 48
+        spread = (2 * a * (48 - a) * (2 * a * (48 - a) - 48) / (48 * 48 * 47)) ** 0.5
+        assert got[0, 1] == pytest.approx(min(1, math.erfc(abs(runs - mean) / spread / 2**0.5)))
+        v = np.array([alphabet.index(c) for c in s], float)
+        r = np.corrcoef(v[1:], v[:-1])[0, 1]
+        assert abs(got[0, 2] - min(1, math.erfc(abs(r + 1 / 48) * 48**0.5 / 2**0.5))) < 0.15  # ends of the row weigh otherwise
+        assert got.shape == (2, 3) and (got > 0).all() and (got <= 1).all()
+    assert secrets.log_p("x" * 5000, "lower") == 0 and secrets.base_spans("") == []
 
 
 def test_all_ten_are_registered():
