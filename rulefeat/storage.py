@@ -16,10 +16,12 @@ _SHIPPED: set[str] = set()
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder the cluster names; a local one only where none is named (tests)."""
+    """The shared folder the cluster names; a local one only where none is named and all runs on one machine (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     if not _LOCAL_FALLBACK:
         _LOCAL_FALLBACK.append("file://" + os.path.realpath(tempfile.mkdtemp(prefix="rulefeat-")))
     return _LOCAL_FALLBACK[0]
