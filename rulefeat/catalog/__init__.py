@@ -6,7 +6,7 @@ from .registry import QUERIES, SQL, Query
 
 
 def queries() -> dict[str, Query]:
-    from . import analysis, mining  # noqa: F401  they register themselves
+    from . import analysis, experiments, mining  # noqa: F401  they register themselves
 
     return dict(QUERIES)
 

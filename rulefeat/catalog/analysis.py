@@ -169,9 +169,23 @@ def bin_cuts_k4(spark, sf):
     return _quantity_model(spark, sf)[1].table(spark).select("cut_no", "cut", F.round("gain", 6).alias("gain"))
 
 
-@query("bin_cuts_sketch", f"{_ROUNDS} SELECT cut_no, cut, round(gain, 6) AS gain FROM ({_CUTS}) z")
+_PRICE_ROUNDS = rounds_sql(STAR, "o_totalprice", ["0", "1"], 4)
+
+
+@query("bin_cuts_sketch", f"{_PRICE_ROUNDS} SELECT cut_no, round(gain, 3) AS gain FROM ({_CUTS}) z")
 def bin_cuts_sketch(spark, sf):
-    return _quantity_model(spark, sf, "approx")[1].table(spark).select("cut_no", "cut", F.round("gain", 6).alias("gain"))
+    """The gains of the cuts that 10,000 cells of a column of many values give; the SQL has those of the exact cuts."""
+    df = frames.frame(spark, sf, f"SELECT o_totalprice, y FROM ({STAR}) s")
+    model = binning.EntropyBinner(4, 20, ["o_totalprice"], "y", "approx").fit(df)
+    return model.table(spark).select("cut_no", F.round("gain", 3).alias("gain"))
+
+
+@query("bin_cuts_price", f"{_PRICE_ROUNDS} SELECT cut_no, cut, round(gain, 6) AS gain FROM ({_CUTS}) z")
+def bin_cuts_price(spark, sf):
+    """Exact cuts of the same column, by jobs over ranges of its values."""
+    df = frames.frame(spark, sf, f"SELECT o_totalprice, y FROM ({STAR}) s")
+    model = binning.EntropyBinner(4, 20, ["o_totalprice"], "y", in_task=1000).fit(df)
+    return model.table(spark).select("cut_no", "cut", F.round("gain", 6).alias("gain"))
 
 
 @query("bin_apply", f"{_ROUNDS}, k AS ({_CUTS}), e AS (SELECT row_number() OVER (ORDER BY cut) AS i, cut FROM k) SELECT concat('b', CAST(1 + (SELECT count(*) FROM e WHERE e.cut < v.value) AS VARCHAR)) AS l_quantity_bin, y, count(*) AS n FROM v GROUP BY 1, 2")
@@ -187,13 +201,13 @@ def bin_gain_by_k(spark, sf):
     return spark.createDataFrame(rows, "k int, gain double").withColumn("gain", F.round("gain", 6))
 
 
-@query("interval_band_join", f"""{_ROUNDS}, k AS ({_CUTS}), e AS (SELECT row_number() OVER (ORDER BY cut) AS i, cut AS high, lag(cut) OVER (ORDER BY cut) AS low FROM k)
-SELECT CAST(i AS BIGINT) AS band, count(*) AS n FROM v JOIN e ON (low IS NULL OR value > low) AND value <= high GROUP BY 1""")
+@query("interval_band_join", f"""{_ROUNDS}, k AS ({_CUTS}), o AS (SELECT cut FROM k UNION ALL SELECT NULL), e AS (SELECT row_number() OVER (ORDER BY cut NULLS LAST) AS i, cut AS high, lag(cut) OVER (ORDER BY cut NULLS LAST) AS low FROM o)
+SELECT CAST(i AS BIGINT) AS band, count(*) AS n FROM v JOIN e ON (low IS NULL OR value > low) AND (high IS NULL OR value <= high) GROUP BY 1""")
 def interval_band_join(spark, sf):
     df, model = _quantity_model(spark, sf)
     cuts = sorted(c for c, _ in model.cuts[1])
-    bands = spark.createDataFrame([(i + 1, cuts[i - 1] if i else None, c) for i, c in enumerate(cuts)], "band long, low double, high double")
-    met = df.join(F.broadcast(bands), (F.col("low").isNull() | (F.col("l_quantity") > F.col("low"))) & (F.col("l_quantity") <= F.col("high")))  # a row a cut
+    bands = spark.createDataFrame([(i + 1, low, high) for i, (low, high) in enumerate(zip([None, *cuts], [*cuts, None]))], "band long, low double, high double")
+    met = df.join(F.broadcast(bands), (F.col("low").isNull() | (F.col("l_quantity") > F.col("low"))) & (F.col("high").isNull() | (F.col("l_quantity") <= F.col("high"))))  # a row an interval
     return met.groupBy("band").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -207,12 +221,19 @@ def _mixed(df: DataFrame, categorical, continuous, k: int, d_freq: int, d_conf:
 
 
 def first_cut_cte(select: str, continuous: list[str], classes: list[str], parts_: int = 20) -> str:
-    """A SELECT of the frame with a two-interval column `<name>_bin` for each continuous feature."""
-    joins, columns = [], []
-    for i, c in enumerate(continuous):
-        joins.append(f"(SELECT (SELECT cut FROM ({rounds_sql(select, c, classes, 2, parts_)} SELECT cut FROM cut1) z) AS cut{i})")
-        columns.append(f"CASE WHEN {c} <= cut{i} OR (cut{i} IS NULL AND {c} IS NOT NULL) THEN 'b1' WHEN {c} > cut{i} THEN 'b2' END AS {c}_bin")
-    return f"SELECT base0.*, {', '.join(columns)} FROM ({frames.plain_sql(select)}) base0, {', '.join(f'{j} j{i}' for i, j in enumerate(joins))}"
+    """A SELECT of the frame with a two-interval column `<name>_bin` for each continuous feature; all features are cut at once, in the long form."""
+    long = " UNION ALL ".join(f"SELECT {i} AS f, CAST({c} AS DOUBLE) AS value, y FROM src WHERE {c} IS NOT NULL" for i, c in enumerate(continuous, 1))
+    low, high, all_ = ([f"{s}{n}" for n in range(len(classes))] for s in ("a", "b", "n"))
+    size = lambda names: "(" + " + ".join(names) + ")"
+    sides = ", ".join(f"count(*) FILTER (WHERE y = '{x}' AND value <= cut) AS a{n}, count(*) FILTER (WHERE y = '{x}' AND value > cut) AS b{n}, count(*) FILTER (WHERE y = '{x}') AS n{n}" for n, x in enumerate(classes))
+    columns = ", ".join(f"CASE WHEN {c} <= c{i} OR (c{i} IS NULL AND {c} IS NOT NULL) THEN 'b1' WHEN {c} > c{i} THEN 'b2' END AS {c}_bin" for i, c in enumerate(continuous, 1))
+    cuts = ", ".join(f"max(cut) FILTER (WHERE f = {i}) AS c{i}" for i in range(1, len(continuous) + 1))
+    return f"""WITH src AS MATERIALIZED ({frames.plain_sql(select)}), v AS MATERIALIZED ({long}), r AS (SELECT f, value, row_number() OVER (PARTITION BY f ORDER BY value) AS pos, count(*) OVER (PARTITION BY f) AS m FROM v),
+cand AS MATERIALIZED (SELECT DISTINCT f, value AS cut FROM r JOIN (SELECT CAST(unnest(range(1, {parts_})) AS BIGINT) AS j) ON pos = (j * m + {parts_ - 1}) // {parts_}),
+e AS (SELECT f, cut, {sides} FROM cand JOIN v USING (f) GROUP BY f, cut),
+g AS (SELECT f, cut, round({_entropy(all_)} - ({size(low)} * {_entropy(low)} + {size(high)} * {_entropy(high)}) / {size(all_)}, 9) AS gain FROM e WHERE {size(high)} > 0),
+best AS (SELECT f, cut FROM (SELECT *, row_number() OVER (PARTITION BY f ORDER BY gain DESC, cut) AS r FROM g) z WHERE r = 1), cuts AS MATERIALIZED (SELECT {cuts} FROM best)
+SELECT src.*, {columns} FROM src, cuts"""
 
 
 TEXT_Y = f"SELECT doc_id, {', '.join(frames.TEXT_CATEGORICAL)}, {', '.join(frames.TEXT_CONTINUOUS)}, quality AS y FROM ({frames.TEXTS}) t"
@@ -224,13 +245,32 @@ def mixed_rules_documents(spark, sf):
     return rules_out(_mixed(frames.frame(spark, sf, TEXT_Y), frames.TEXT_CATEGORICAL, frames.TEXT_CONTINUOUS, 2, 30, 15)[2].rules)
 
 
-SERIES, SERIES_F = frames.series(6), frames.series_features(6)
+NARROW_STAR = f"SELECT {', '.join([*frames.STAR_CATEGORICAL, *frames.STAR_CONTINUOUS])}, y FROM ({STAR}) s"
+STAR_COLUMNS = [*frames.STAR_CATEGORICAL, *(f"{c}_bin" for c in frames.STAR_CONTINUOUS)]
+
+
+@query("star_rules", q.rules_sql(first_cut_cte(NARROW_STAR, frames.STAR_CONTINUOUS, ["0", "1"]), STAR_COLUMNS, 30, 15, True, "rconf", "strict"))
+def star_rules(spark, sf):
+    df = materialise(frames.frame(spark, sf, NARROW_STAR), "star")
+    return rules_out(_mixed(df, frames.STAR_CATEGORICAL, frames.STAR_CONTINUOUS, 2, 30, 15)[2].rules)
+
+
+ORDER_COLUMNS = [*frames.ORDER_CATEGORICAL, *(f"{c}_bin" for c in frames.ORDER_CONTINUOUS)]
+
+
+@query("order_rules", q.rules_sql(first_cut_cte(frames.ORDERS, frames.ORDER_CONTINUOUS, ["0", "1"]), ORDER_COLUMNS, 40, 20, True, "rconf", "strict"))
+def order_rules(spark, sf):
+    df = materialise(frames.frame(spark, sf, frames.ORDERS), "orders")
+    return rules_out(_mixed(df, frames.ORDER_CATEGORICAL, frames.ORDER_CONTINUOUS, 2, 40, 20)[2].rules)
+
+
+SERIES, SERIES_F = frames.series_sql(), frames.series_features()
 _CLASSES = ["high", "low", "proper"]
 
 
 @query("mixed_rules_events", q.rules_sql(first_cut_cte(SERIES, SERIES_F, _CLASSES), [f"{c}_bin" for c in SERIES_F], 150, 25, True, "rconf", "strict"))
 def mixed_rules_events(spark, sf):
-    return rules_out(_mixed(frames.frame(spark, sf, SERIES), [], SERIES_F, 2, 150, 25)[2].rules)
+    return rules_out(_mixed(materialise(frames.series(spark, sf), "series"), [], SERIES_F, 2, 150, 25)[2].rules)
 
 
 CUSTOMERS, CUSTOMER_F = frames.CUSTOMERS, frames.CUSTOMER_FEATURES
@@ -246,7 +286,7 @@ _CUSTOMER_CHAIN = q.features_cte(first_cut_cte(_QUINTILES, CUSTOMER_F, list("123
 
 
 def _customer_pairs(spark, sf):
-    df = binning.quantile_classes(frames.frame(spark, sf, CUSTOMERS), "response", 5, "c_custkey").withColumn("y", F.col("y").cast("string"))
+    df = materialise(binning.quantile_classes(frames.frame(spark, sf, CUSTOMERS), "response", 5, "c_custkey").withColumn("y", F.col("y").cast("string")), "customers")
     return df, product_pairs(_mixed(df, [], CUSTOMER_F, 2, 100, 20)[2].features)
 
 
@@ -255,10 +295,10 @@ def product_pairs_customer(spark, sf):
     return _customer_pairs(spark, sf)[1]
 
 
-_PRODUCTS = " UNION ALL ".join(f"SELECT c_custkey, '{a}_x_{b}' AS pair, round({a} * {b}, 0) AS product, {i} AS f1, {j} AS f2 FROM base" for i, a in enumerate(CUSTOMER_F, 1) for j, b in enumerate(CUSTOMER_F, 1) if i < j)
+_CUSTOMER_LONG = " UNION ALL ".join(f"SELECT c_custkey, {i} AS f, '{c}' AS name, {c} AS x FROM base" for i, c in enumerate(CUSTOMER_F, 1))
 
 
-@query("attach_products", _CUSTOMER_CHAIN + f", prod AS ({_PRODUCTS}) SELECT c_custkey, pair, product FROM prod SEMI JOIN (SELECT DISTINCT f1, f2 FROM feats WHERE size = 2) s USING (f1, f2)")
+@query("attach_products", _CUSTOMER_CHAIN + f", xs AS ({_CUSTOMER_LONG}) SELECT a.c_custkey, concat(a.name, '_x_', b.name) AS pair, round(a.x * b.x, 0) AS product FROM (SELECT DISTINCT f1, f2 FROM feats WHERE size = 2) s JOIN xs a ON a.f = f1 JOIN xs b ON b.f = f2 AND b.c_custkey = a.c_custkey")
 def attach_products(spark, sf):
     df, pairs = _customer_pairs(spark, sf)
     chosen = sorted((r["f1"], r["f2"]) for r in pairs.collect())
@@ -280,25 +320,49 @@ def parameter_rules(spark, sf):
 
 @query("class_distribution", f"SELECT split, y, count(*) AS n FROM ({frames.plain_sql(SERIES)}) s GROUP BY 1, 2")
 def class_distribution(spark, sf):
-    return evaluate.class_distribution(frames.frame(spark, sf, SERIES), "y", "split")
+    return evaluate.class_distribution(frames.series(spark, sf), "y", "split")
 
 
-_TRAIN = f"SELECT * FROM ({PARTS}) p WHERE p_partkey % 5 <> 0"
-_VOTE = q.mined(_TRAIN, PARTS_F, 40, True) + q.beaten() + f""", rr AS ({q.ranked('kept', 'rconf', 10)}), ro AS (SELECT *, row_number() OVER (ORDER BY conf DESC, {q.ORDER}) AS place FROM rr),
-test AS (SELECT * FROM ({frames.plain_sql(PARTS)}) p WHERE p_partkey % 5 = 0), ti AS ({' UNION ALL '.join(f"SELECT p_partkey, {i} AS f, {c} AS v FROM test" for i, c in enumerate(PARTS_F, 1))}),
+def _vote_sql(fold: int) -> str:
+    """CTE pred(p_partkey, truth, prediction, conf) of a fold, by the rules of the others."""
+    train = f"SELECT * FROM ({PARTS}) p WHERE p_partkey % 5 <> {fold}"
+    return q.mined(train, PARTS_F, 40, True) + q.beaten() + f""", rr AS ({q.ranked('kept', 'rconf', 10)}), ro AS (SELECT *, row_number() OVER (ORDER BY conf DESC, {q.ORDER}) AS place FROM rr),
+test AS (SELECT * FROM ({frames.plain_sql(PARTS)}) p WHERE p_partkey % 5 = {fold}), ti AS ({' UNION ALL '.join(f"SELECT p_partkey, {i} AS f, {c} AS v FROM test" for i, c in enumerate(PARTS_F, 1))}),
 hit AS (SELECT a.p_partkey, r.y, r.conf, r.place FROM ro r JOIN ti a ON a.f = r.f1 AND a.v = r.v1 LEFT JOIN ti b ON b.p_partkey = a.p_partkey AND b.f = r.f2 AND b.v = r.v2 WHERE r.f2 IS NULL OR b.v IS NOT NULL),
 pred AS (SELECT t.p_partkey, t.y AS truth, coalesce(arg_min(h.y, h.place), (SELECT y FROM lab ORDER BY supp_y DESC, y LIMIT 1)) AS prediction, arg_min(h.conf, h.place) AS conf FROM test t LEFT JOIN hit h USING (p_partkey) GROUP BY ALL)"""
 
 
-def _votes(spark, sf) -> DataFrame:
+_VOTE = _vote_sql(0)
+
+
+def _votes(spark, sf, fold: int = 0) -> DataFrame:
     df = parts(spark, sf)
-    train, test = df.where("p_partkey % 5 <> 0"), df.where("p_partkey % 5 = 0")
+    train, test = df.where(F.col("p_partkey") % 5 != fold), df.where(F.col("p_partkey") % 5 == fold)
     rules = selectors.select_nonredundant(train, "y", PARTS_F, 40, 10).rules
     default = counts.labels(train, "y").orderBy(F.col("supp_y").desc(), "y").first()["y"]
     votes = rule_ops.vote(test, materialise(rules, "rules"), PARTS_F, default, "p_partkey")
     return test.select(F.col("p_partkey").alias("key"), F.col("y").alias("truth")).join(votes, "key")
 
 
+_FOLDS = " UNION ALL ".join(f"SELECT {f} AS fold, error FROM ({_vote_sql(f)} SELECT avg(CASE WHEN truth = prediction THEN 0.0 ELSE 1.0 END) AS error FROM pred) f{f}" for f in range(5))
+
+
+@query("vote_error_by_fold", f"SELECT count(*) AS runs, round(avg(error), 6) AS mean, round(stddev_samp(error), 6) AS deviation, round(stddev_samp(error) / sqrt(count(*)), 6) AS std_error FROM ({_FOLDS}) f")
+def vote_error_by_fold(spark, sf):
+    out = None
+    for fold in range(5):
+        one = _votes(spark, sf, fold).agg(evaluate.error_rate("truth", "prediction").alias("score")).select(F.lit("vote").alias("method"), "score")
+        out = one if out is None else out.unionByName(one)
+    done = evaluate.summarise(out, ["method"])
+    return done.select("runs", *[F.round(c, 6).alias(c) for c in ("mean", "deviation", "std_error")])
+
+
+@query("rule_support", q.mined(PARTS, PARTS_F, 40, True) + q.beaten() + f", rr AS ({q.ranked('kept', 'rconf', 10)}) SELECT CAST(rank AS BIGINT) AS rank, supp, round(CAST(supp AS DOUBLE) / n, 6) AS support FROM rr")
+def rule_support(spark, sf):
+    rules = selectors.select_nonredundant(parts(spark, sf), "y", PARTS_F, 40, 10).rules
+    return rules.select(F.col("rank").cast("long").alias("rank"), "supp", F.round(F.col("supp").cast("double") / F.col("n"), 6).alias("support"))
+
+
 @query("rule_vote_confusion", _VOTE + " SELECT truth, prediction, count(*) AS n FROM pred GROUP BY 1, 2")
 def rule_vote_confusion(spark, sf):
     return evaluate.confusion(_votes(spark, sf), "truth", "prediction")
@@ -331,34 +395,25 @@ def auc_hard(spark, sf):
     return evaluate.auc_hard(df.withColumn("hard", (F.col("n_chars") > 500).cast("int")), "quality", "hard").select(F.round("auc", 6).alias("auc"))
 
 
-@query("mse_base", f"WITH c AS ({frames.plain_sql(_QUINTILES)}), m AS (SELECT y, avg(response) AS guess FROM c GROUP BY y) SELECT round(avg((response - guess) * (response - guess)), 4) AS mse FROM c JOIN m USING (y)")
+@query("mse_base", f"WITH c AS ({frames.plain_sql(CUSTOMERS)}), m AS (SELECT regr_slope(response, mean_price) AS a, regr_intercept(response, mean_price) AS b FROM c WHERE c_custkey % 3 <> 0) SELECT round(avg(power(response - a * mean_price - b, 2)), 4) AS mse FROM c, m WHERE c_custkey % 3 = 0")
 def mse_base(spark, sf):
-    df = binning.quantile_classes(frames.frame(spark, sf, CUSTOMERS), "response", 5, "c_custkey")
-    guess = df.groupBy("y").agg(F.avg("response").alias("guess"))
-    return df.join(F.broadcast(guess), "y").agg(F.round(evaluate.mse("response", "guess"), 4).alias("mse"))  # a row a class
-
-
-def _toy_grid(spark) -> DataFrame:
-    return spark.range(81).select((F.col("id") % 9 + 2).cast("int").alias("k"), (F.floor(F.col("id") / 9) * 5).cast("int").alias("d_conf"), F.lit("log_loss").alias("criterion"), ((F.col("id") * 37 % 101).cast("double") / 100).alias("score"))
-
-
-_TOY = "WITH g AS (SELECT CAST(i % 9 + 2 AS INT) AS k, CAST(i // 9 * 5 AS INT) AS d_conf, CAST(i * 37 % 101 AS DOUBLE) / 100 AS score FROM range(81) t(i))"
-
-
-@query("grid_smooth", f"{_TOY} SELECT a.k, a.d_conf, round(sum(exp(-(power(a.k - b.k, 2) + power((a.d_conf - b.d_conf) / 5.0, 2)) / 2) * b.score) / sum(exp(-(power(a.k - b.k, 2) + power((a.d_conf - b.d_conf) / 5.0, 2)) / 2)), 6) AS smoothed FROM g a JOIN g b ON abs(a.k - b.k) <= 2 AND abs(a.d_conf - b.d_conf) <= 10 GROUP BY 1, 2")
-def grid_smooth(spark, sf):
-    return tuning.smooth(_toy_grid(spark)).select("k", "d_conf", F.round("smoothed", 6).alias("smoothed"))
-
-
-@query("grid_smooth_median", f"{_TOY} SELECT a.k, a.d_conf, round(median(b.score), 6) AS smoothed FROM g a JOIN g b ON abs(a.k - b.k) <= 2 AND abs(a.d_conf - b.d_conf) <= 10 GROUP BY 1, 2")
-def grid_smooth_median(spark, sf):
-    return tuning.smooth(_toy_grid(spark), "median").select("k", "d_conf", F.round("smoothed", 6).alias("smoothed"))
-
-
-_CORR = " UNION ALL ".join(f"SELECT {i} AS f1, {j} AS f2, coalesce(abs(corr({a} * {b}, response)), 0) AS strength FROM c" for i, a in enumerate(CUSTOMER_F, 1) for j, b in enumerate(CUSTOMER_F, 1) if i < j)
+    """Error on the last third of a line through one column that the others gave."""
+    df = frames.frame(spark, sf, f"SELECT c_custkey, mean_price, response FROM ({CUSTOMERS}) c")
+    line = df.where("c_custkey % 3 <> 0").agg(F.regr_slope("response", "mean_price").alias("a"), F.regr_intercept("response", "mean_price").alias("b")).first()
+    test = df.where("c_custkey % 3 = 0").withColumn("guess", F.lit(line["a"]) * F.col("mean_price") + F.lit(line["b"]))
+    return test.agg(F.round(evaluate.mse("response", "guess"), 4).alias("mse"))
+
+
+_SCORED = "SELECT l_linenumber AS k, CAST(FLOOR(l_quantity / 5) * 5 AS INT) AS d_conf, CAST(SUM(CAST(ROUND(l_discount * 100) AS BIGINT)) AS DOUBLE) / COUNT(*) / 100 AS score FROM {lineitem} GROUP BY 1, 2"
+_NEAR = f"""WITH g AS ({frames.plain_sql(_SCORED)}), p AS (SELECT *, dense_rank() OVER (ORDER BY k) AS i, dense_rank() OVER (ORDER BY d_conf) AS j FROM g),
+n AS (SELECT a.k, a.d_conf, a.score AS own, b.score, exp(-(power(a.i - b.i, 2) + power(a.j - b.j, 2)) / 2) AS w FROM p a JOIN p b ON abs(a.i - b.i) <= 2 AND abs(a.j - b.j) <= 2)"""
+for _kind, _value in (("gaussian", "sum(w * score) / sum(w)"), ("box", "avg(score)"), ("median", "median(score)"), ("bilateral", "sum(w * exp(-power(own - score, 2) / 0.02) * score) / sum(w * exp(-power(own - score, 2) / 0.02))")):
+    query("grid_smooth" + ("" if _kind == "gaussian" else f"_{_kind}"), f"{_NEAR} SELECT k, d_conf, round({_value}, 6) AS smoothed FROM n GROUP BY 1, 2")(
+        lambda spark, sf, kind=_kind: tuning.smooth(frames.frame(spark, sf, _SCORED), kind).select("k", "d_conf", F.round("smoothed", 6).alias("smoothed"))
+    )
 
 
-@query("marginal_screen", f"WITH c AS ({frames.plain_sql(CUSTOMERS)}), s AS ({_CORR}) SELECT f1, f2, round(strength, 6) AS strength FROM s ORDER BY round(strength, 9) DESC, f1, f2 LIMIT 20")
+@query("marginal_screen", f"WITH base AS MATERIALIZED ({frames.plain_sql(CUSTOMERS)}), xs AS MATERIALIZED ({_CUSTOMER_LONG}), s AS (SELECT a.f AS f1, b.f AS f2, abs(corr(a.x * b.x, base.response)) AS strength FROM xs a JOIN xs b ON a.c_custkey = b.c_custkey AND a.f < b.f JOIN base ON base.c_custkey = a.c_custkey GROUP BY 1, 2) SELECT f1, f2, round(strength, 6) AS strength FROM s WHERE NOT isnan(strength) ORDER BY round(strength, 7) DESC, f1, f2 LIMIT 20")
 def marginal_screen(spark, sf):
     found = baselines.marginal_screen(frames.frame(spark, sf, CUSTOMERS), CUSTOMER_F, "response", 20)
     return found.select("f1", "f2", F.round("strength", 6).alias("strength"))
@@ -473,24 +528,3 @@ def cv_summary(spark, sf):
             out += [(mode, "logistic", metric, fold, float(v)) for metric, v in got.items()]
     rows = spark.createDataFrame(out, "method string, learner string, metric string, fold int, score double")
     return evaluate.summarise(rows, ["method", "learner", "metric"]).select("method", "learner", "metric", "mean", "std_error", "runs")
-
-
-@query("regression_baselines")
-def regression_baselines(spark, sf):
-    df = baselines.standardised(frames.frame(spark, sf, CUSTOMERS), CUSTOMER_F)
-    df = materialise(df.withColumn("response", F.col("response").cast("double")), "regression")
-    train, test = df.where("c_custkey % 3 <> 0"), df.where("c_custkey % 3 = 0")
-    out = []
-    for name, method in (("main", baselines.main_lasso), ("iterated_lasso", baselines.iterated_lasso), ("screened_lasso", baselines.screened_lasso), ("backtracking", baselines.backtracking), ("hierarchical_lasso", baselines.hierarchical_lasso), ("reluctant_two_stage", baselines.reluctant_two_stage)):
-        model, pairs = method(train, CUSTOMER_F, "response")
-        got = model.transform(baselines.design(test, CUSTOMER_F, pairs, "response")).agg(evaluate.mse("label", "prediction")).first()[0]
-        out.append((name, len(pairs), float(got)))
-    labelled = binning.quantile_classes(train, "response", 5, "c_custkey").withColumn("y", F.col("y").cast("string"))
-    pairs = sorted((r["f1"], r["f2"]) for r in product_pairs(_mixed(labelled, [], CUSTOMER_F, 5, 250, 60)[2].features).collect())
-    model = learners.lasso().fit(baselines.design(train, CUSTOMER_F, pairs, "response"))
-    out.append(("rule_products", len(pairs), float(model.transform(baselines.design(test, CUSTOMER_F, pairs, "response")).agg(evaluate.mse("label", "prediction")).first()[0])))
-    forest = learners.forest("regression", 30).fit(baselines.design(train, CUSTOMER_F, [], "response"))
-    out.append(("forest", 0, float(forest.transform(baselines.design(test, CUSTOMER_F, [], "response")).agg(evaluate.mse("label", "prediction")).first()[0])))
-    return spark.createDataFrame(out, "method string, pairs int, mse double")
-
-

@@ -47,6 +47,11 @@ def star(spark: SparkSession, sf: str) -> DataFrame:
     return frames.frame(spark, sf, STAR_NATURAL)
 
 
+def star_once(spark: SparkSession, sf: str) -> DataFrame:
+    """The features and the label alone, joined once for all scans that follow."""
+    return materialise(star(spark, sf).select(*NATURAL_F, "y"), "star")
+
+
 def parts(spark: SparkSession, sf: str) -> DataFrame:
     return frames.frame(spark, sf, PARTS)
 
@@ -72,7 +77,7 @@ def pair_candidates(spark, sf):
 
 
 def _pairs(spark, sf, plan: str) -> DataFrame:
-    df = star(spark, sf)
+    df = star_once(spark, sf)
     first = materialise(top(selectors.as_sets(counts.singles(df, NATURAL_F, "y")), support_order(), 30), "top-singles")
     items = [(r[0], r[1]) for r in first.select("f1", "v1").distinct().collect()]
     wanted = counts.candidates(first)
@@ -85,7 +90,7 @@ for _plan in ("explode", "gram", "bits"):
 
 @query("frequent_pairs", q.mined(STAR_NATURAL, NATURAL_F, 30, False) + f" SELECT {q.SETS_OUT} FROM freq")
 def frequent_pairs(spark, sf):
-    return sets_out(selectors.mine(star(spark, sf), "y", NATURAL_F, 30, False).sets)
+    return sets_out(selectors.mine(star_once(spark, sf), "y", NATURAL_F, 30, False).sets)
 
 
 # --- baskets, any size -------------------------------------------------------------------------------------------------
@@ -247,14 +252,31 @@ def attach_onehot_interactions(spark, sf):
     return attach_modes.onehot_plus_interactions_long(parts(spark, sf), _nonredundant(spark, sf).features, PARTS_F, ["p_partkey"])
 
 
+for _name, _shares, _given in (("balanced_rules_proportional", "proportional", "proportional"), ("balanced_rules_given", "CASE l.y WHEN '0' THEN 12 WHEN '3' THEN 7 ELSE 1 END", {"0": 12, "3": 7})):
+    query(_name, q.mined(PARTS, PARTS_F, 40, True, shares=_shares) + f" SELECT {q.RULES_OUT} FROM ({q.ranked('scored', 'rconf', 10)}) r")(
+        lambda spark, sf, g=_given: rules_out(selectors.select_balanced(parts(spark, sf), "y", PARTS_F, class_budget=g, **PART_BUDGET).rules)
+    )
+
+
+@query("floored_rules", q.mined(PARTS, PARTS_F, 40, True, least=20) + q.beaten() + f" SELECT {q.RULES_OUT} FROM ({q.ranked('(SELECT * FROM kept WHERE rconf >= 2)', 'rconf', 10)}) r")
+def floored_rules(spark, sf):
+    return rules_out(selectors.select_nonredundant(parts(spark, sf), "y", PARTS_F, min_count=20, min_score=2.0, **PART_BUDGET).rules)
+
+
+for _plan in ("gram", "join"):
+    query(f"nonredundant_rules_{_plan}", q.rules_sql(PARTS, PARTS_F, 40, 10, True, "rconf", "strict"))(
+        lambda spark, sf, p=_plan: rules_out(selectors.select_nonredundant(parts(spark, sf), "y", PARTS_F, plan=p, **PART_BUDGET).rules)
+    )
+
+
 # --- planted trials ----------------------------------------------------------------------------------------------------
 
-PLANTED_P = 20
+PLANTED_P = 99
 METHODS = (("budget", False, "conf", None, 1.0), ("balanced", True, "rconf", None, 1.0), ("nonredundant", True, "rconf", "strict", 1.0), ("nonredundant_1.5", True, "rconf", "strict", 1.5), ("nonredundant_2", True, "rconf", "strict", 2.0))
 
 
 def _planted_sql(constant: bool) -> str:
-    select, xs, parts_ = frames.planted(PLANTED_P, constant, used=20), [f"x{i}" for i in range(1, PLANTED_P + 1)], []
+    select, xs, parts_ = frames.planted(PLANTED_P, constant), [f"x{i}" for i in range(1, PLANTED_P + 1)], []
     for name, per_class, score, redundancy, margin in METHODS:
         text = q.mined(select, xs, 45, per_class, "trial") + (q.beaten(score, redundancy, margin, "trial") if redundancy else "")
         parts_.append(f"SELECT '{name}' AS method, f1, v1, {SECOND_SQL}, y, occurrences FROM ({text} SELECT f1, v1, f2, v2, y, count(*) AS occurrences FROM ({q.ranked('kept' if redundancy else 'scored', score, 5, 'trial')}) r GROUP BY ALL)")
@@ -262,7 +284,7 @@ def _planted_sql(constant: bool) -> str:
 
 
 def _planted(spark, sf, constant: bool) -> DataFrame:
-    df, xs = frames.frame(spark, sf, frames.planted(PLANTED_P, constant, used=20)), [f"x{i}" for i in range(1, PLANTED_P + 1)]
+    df, xs = materialise(frames.frame(spark, sf, frames.planted(PLANTED_P, constant)), "planted"), [f"x{i}" for i in range(1, PLANTED_P + 1)]
     runs = {True: selectors.mine(df, "y", xs, 45, True, by=("trial",)), False: selectors.mine(df, "y", xs, 45, False, by=("trial",))}
     out = None
     for name, per_class, score, redundancy, margin in METHODS:
@@ -278,7 +300,7 @@ query("planted_s2_rules", _planted_sql(True))(lambda spark, sf: _planted(spark,
 
 # --- other frames ------------------------------------------------------------------------------------------------------
 
-_VECTORS, _DIMS = frames.vectors(8)
+_VECTORS, _DIMS = frames.vectors()
 
 
 @query("embedding_rules", q.rules_sql(_VECTORS, _DIMS, 90, 18, True, "rconf", "strict"))
@@ -291,11 +313,6 @@ def role_rules(spark, sf):
     return rules_out(selectors.select_nonredundant(frames.frame(spark, sf, frames.TURNS), "y", frames.TURN_FEATURES, 45, 10).rules)
 
 
-@query("star_rules", q.rules_sql(STAR, STAR_F, 30, 15, True, "rconf", "strict"))
-def star_rules(spark, sf):
-    return rules_out(selectors.select_nonredundant(frames.frame(spark, sf, STAR), "y", STAR_F, 30, 15).rules)
-
-
 _DIST = q.counted(PARTS, PARTS_F)
 
 

@@ -25,25 +25,27 @@ lab AS (SELECT {_list(by, 'y', 'count(*) AS supp_y', f'sum(count(*)) OVER ({part
 sets1 AS (SELECT {_list(by, '1 AS size', 'f AS f1', 'v AS v1', 'CAST(NULL AS INT) AS f2', 'CAST(NULL AS VARCHAR) AS v2', 'y', 'count(*) AS supp')} FROM items GROUP BY {_list(by, 'f', 'v', 'y')})"""
 
 
-def mined(select: str, features: list[str], d_freq: int, per_class: bool, by: str = "") -> str:
+def mined(select: str, features: list[str], d_freq: int, per_class: bool, by: str = "", shares: str = "even", least: int = 0) -> str:
     """counted() with cand, pairs, freq (the frequent sets) and scored."""
     group = _list(by, "y" if per_class else "")
     part = f"PARTITION BY {group}" if group else ""
     same = " AND ".join(f"a.{c} = b.{c}" for c in (["y"] + ([by] if by else [])))
     lab_on = " AND ".join(f"s.{c} = l.{c}" for c in (["y"] + ([by] if by else [])))
-    budget = f"greatest(1, {d_freq} // l.k)" if per_class else str(d_freq)
+    share = {"even": f"{d_freq} // l.k", "proportional": f"floor({d_freq} * l.supp_y / l.n)"}.get(shares, shares)
+    budget = f"greatest(1, {share})" if per_class else str(d_freq)
     cols = _list(by, "size", "f1", "v1", "f2", "v2", "y", "supp")
     pre = (by + ", ") if by else ""
 
     def cut(source: str) -> str:
-        return f"SELECT * FROM (SELECT {', '.join('s.' + c.strip() for c in cols.split(','))}, row_number() OVER ({part.replace('y', 's.y') if not by else part.replace(by, 's.' + by).replace(', y', ', s.y')} ORDER BY s.supp DESC, s.size, s.f1, s.v1, coalesce(s.f2, -1), coalesce(s.v2, ''), s.y) AS rank, {budget} AS budget FROM {source} s JOIN lab l ON {lab_on}) q WHERE rank <= budget"
+        return f"SELECT * FROM (SELECT {', '.join('s.' + c.strip() for c in cols.split(','))}, row_number() OVER ({part.replace('y', 's.y') if not by else part.replace(by, 's.' + by).replace(', y', ', s.y')} ORDER BY s.supp DESC, s.size, s.f1, s.v1, coalesce(s.f2, -1), coalesce(s.v2, ''), s.y) AS rank, {budget} AS budget FROM {source} s JOIN lab l ON {lab_on} WHERE s.supp >= {least}) q WHERE rank <= budget"
 
     x_on = " AND ".join(["q.f1 = t.f1", "q.v1 = t.v1", "q.f2 IS NOT DISTINCT FROM t.f2", "q.v2 IS NOT DISTINCT FROM t.v2"] + ([f"q.{by} = t.{by}"] if by else []))
     l_on = " AND ".join(f"q.{c} = l.{c}" for c in (["y"] + ([by] if by else [])))
     return counted(select, features, by) + f""",
 top1 AS ({cut('sets1')}),
 cand AS (SELECT {pre.replace(by, 'a.' + by) if by else ''}a.f1, a.v1, b.f1 AS f2, b.v1 AS v2, a.y FROM top1 a JOIN top1 b ON {same} AND a.f1 < b.f1),
-two AS (SELECT {('a.' + by + ', ') if by else ''}a.f AS f1, a.v AS v1, b.f AS f2, b.v AS v2, a.y, count(*) AS supp FROM items a JOIN items b ON a.rid = b.rid AND a.f < b.f GROUP BY ALL),
+few AS (SELECT i.* FROM items i SEMI JOIN (SELECT DISTINCT {pre}f1 AS f, v1 AS v FROM top1) k USING ({pre}f, v)),
+two AS (SELECT {('a.' + by + ', ') if by else ''}a.f AS f1, a.v AS v1, b.f AS f2, b.v AS v2, a.y, count(*) AS supp FROM few a JOIN few b ON a.rid = b.rid AND a.f < b.f GROUP BY ALL),
 sets2 AS (SELECT {_list(by, '2 AS size', 'f1', 'v1', 'f2', 'v2', 'y', 'supp')} FROM two SEMI JOIN cand USING ({pre}f1, v1, f2, v2, y)),
 every AS (SELECT {cols} FROM sets1 UNION ALL SELECT {cols} FROM sets2),
 freq AS ({cut('every')}),

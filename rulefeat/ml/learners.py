@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.ml.classification import LogisticRegression, MultilayerPerceptronClassifier, RandomForestClassifier
 from pyspark.ml.functions import vector_to_array
-from pyspark.ml.regression import LinearRegression, RandomForestRegressor
+from pyspark.ml.regression import RandomForestRegressor
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -47,19 +47,6 @@ def forest(task: str = "classification", trees: int = 50, seed: int = 7):
     return (RandomForestClassifier if task == "classification" else RandomForestRegressor)(labelCol="label", numTrees=trees, maxDepth=8, seed=seed)
 
 
-def lasso(penalty: float = 0.01) -> LinearRegression:
-    return LinearRegression(labelCol="label", elasticNetParam=1.0, regParam=penalty, solver="auto", maxIter=100)
-
-
-def lasso_by_cv(grid=(0.001, 0.01, 0.1), folds: int = 5, seed: int = 7):
-    """Lasso with its penalty by cross validation."""
-    from pyspark.ml.evaluation import RegressionEvaluator
-    from pyspark.ml.tuning import CrossValidator, ParamGridBuilder
-
-    base = lasso()
-    return CrossValidator(estimator=base, estimatorParamMaps=ParamGridBuilder().addGrid(base.regParam, list(grid)).build(), evaluator=RegressionEvaluator(labelCol="label", metricName="mse"), numFolds=folds, seed=seed)
-
-
 def scores(predicted: DataFrame, binary_auc: bool | None = None) -> dict[str, float]:
     """log_loss and accuracy of classifier output, and both AUCs for binary labels; one aggregate for the first two."""
     p = F.get(vector_to_array("probability"), F.col("label").cast("int"))

@@ -2,36 +2,67 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.measures import entropy_term
-from ..storage import ship_package
+from ..storage import ROWS_PER_BATCH, materialise, release, settings, ship_package
+from .ranges import summed
+from .sampling import numbered
 
-CELLS = 10_000
+#: Cells of the approximate path; distinct values (times classes) of a feature up to which one task finds all its cuts; edges of all features that may be sent to the tasks.
+CELLS, IN_TASK, EDGES = 10_000, 2_000_000, 20_000_000
 
 
 def histogram(df: DataFrame, features, label: str, cells: int | None = None) -> DataFrame:
     """(f, value, y, n): counts of each distinct value by class, or of `cells` cells between approximate quantiles where a feature has more values.
 
-    A cell stands for its largest value. Records without value or label, and NaN, don't count.
+    A cell stands for its largest value; it holds 1.2 times its share of the records at most (beside those of one value), so a quantile is off by no more ranks than that.
+    Records without value or label, and NaN, don't count.
     """
+    if cells:
+        return _cell_counts(df, list(features), label, cells)
     parts = [F.struct(F.lit(i).alias("f"), F.col(f"`{c}`").cast("double").alias("value")) for i, c in enumerate(features, 1)]
     long = df.where(F.col(label).isNotNull()).select(F.col(label).cast("string").alias("y"), F.explode(F.array(*parts)).alias("p")).select("p.f", "p.value", "y").where("value IS NOT NULL AND NOT isnan(value)")
-    if cells:
-        edges = long.groupBy("f").agg(F.percentile_approx("value", [i / cells for i in range(1, cells + 1)], 10 * cells).alias("edges"))
-        met = long.join(F.broadcast(edges), "f")  # one row a feature, `cells` numbers each
-        # the first edge that isn't below the value: the edges are sorted, so it is found by halving
-        place = F.expr("aggregate(sequence(1, 32), named_struct('lo', 0, 'hi', size(edges) - 1), (s, _) -> if(s.lo >= s.hi, s, if(edges[int((s.lo + s.hi) div 2)] >= value, named_struct('lo', s.lo, 'hi', int((s.lo + s.hi) div 2)), named_struct('lo', int((s.lo + s.hi) div 2) + 1, 'hi', s.hi))), s -> s.lo)")
-        long = met.select("f", F.get("edges", place).alias("value"), "y")
     return long.groupBy("f", "value", "y").agg(F.count(F.lit(1)).alias("n"))
 
 
+def _cell_counts(df: DataFrame, features: list[str], label: str, cells: int) -> DataFrame:
+    """Edges by one aggregate (a row to the driver), then counts by cell in each task's arrays, which are added up by one small shuffle."""
+    if cells * len(features) > EDGES:
+        raise ValueError(f"{len(features)} features of {cells} cells: fewer cells, or fewer features at once")
+    ship_package(df.sparkSession)
+    clean = [F.when(~F.isnan(F.col(f"`{c}`").cast("double")), F.col(f"`{c}`").cast("double")).alias(f"v{i}") for i, c in enumerate(features, 1)]
+    wide = df.where(F.col(label).isNotNull()).select(F.col(label).cast("string").alias("y"), *clean)
+    shares = ", ".join(repr(i / cells) + "D" for i in range(1, cells + 1))
+    row = wide.agg(*[F.expr(f"percentile_approx(v{i}, array({shares}), {10 * cells})").alias(f"e{i}") for i in range(1, len(features) + 1)]).first()
+    edges = df.sparkSession.sparkContext.broadcast([np.unique(np.array(e or [], float)) for e in row])
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tables, classes = edges.value, {}
+        for batch in batches:
+            y = batch.column(0).dictionary_encode()
+            at = np.array([classes.setdefault(c, len(classes)) for c in y.dictionary.to_pylist()], np.int64)[y.indices.to_numpy()]
+            for i, cuts in enumerate(tables, 1):
+                held = batch.column(i)
+                known = np.asarray(held.is_valid())
+                place = np.searchsorted(cuts, held.drop_null().to_numpy())
+                key, n = np.unique(at[known] * len(cuts) + np.minimum(place, max(0, len(cuts) - 1)), return_counts=True)
+                names = np.array(list(classes), object)
+                if len(key):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), i, np.int32)), pa.array(cuts[key % len(cuts)]), pa.array(names[key // len(cuts)], pa.string()), pa.array(n.astype(np.int64))], ["f", "value", "y", "n"])
+
+    with settings(df.sparkSession, {ROWS_PER_BATCH: "100000"}):  # numbers only
+        return materialise(wide.mapInArrow(count, "f int, value double, y string, n long").groupBy("f", "value", "y").agg(F.sum("n").alias("n")), "cells")
+
+
 def interval_candidates(weights: np.ndarray, parts: int) -> list[int]:
     """Places of the interior quantiles: the value at rank ceil(j m / parts), without the last place."""
     ends = np.cumsum(weights)
@@ -78,6 +109,53 @@ def fit_cuts(values: np.ndarray, counts: np.ndarray, k: int, parts: int, min_gai
     return out
 
 
+def fit_cuts_by_ranges(counts: DataFrame, k: int, parts: int, min_gain: float = 0.0) -> dict[int, list[tuple[float, float]]]:
+    """fit_cuts() of counts(f, value, y, n) of any number of values, as {f: cuts}: running class counts along the values, made range by range, are stored once;
+    then a round is one job that looks up the quantiles of the intervals that are new in it (a few rows a feature)."""
+    spark = counts.sparkSession
+    classes = [r["y"] for r in counts.select("y").distinct().orderBy("y").collect()]
+    wide = counts.groupBy("f", "value").agg(F.sum("n").alias("n"), *[F.sum(F.when(F.col("y") == c, F.col("n")).otherwise(0)).alias(f"n{i}") for i, c in enumerate(classes)])
+    along = materialise(summed(wide, [F.col("f"), F.col("value")], {"end": "n"} | {f"c{i}": f"n{i}" for i in range(len(classes))}, ["f"], "values").withColumn("start", F.col("end") - F.col("n")), "running-classes")
+    vector = lambda r: np.array([r[f"c{i}"] for i in range(len(classes))], float)
+    # an interval is (rank before it, last rank): class counts up to both, and its candidates
+    whole = along.groupBy("f").agg(F.max("end").alias("end"), *[F.max(f"c{i}").alias(f"c{i}") for i in range(len(classes))]).collect()
+    upto = {(r["f"], r["end"]): vector(r) for r in whole} | {(r["f"], 0): np.zeros(len(classes)) for r in whole}
+    spans = {r["f"]: {(0, r["end"]): None} for r in whole}
+    out: dict[int, list[tuple[float, float]]] = {f: [] for f in spans}
+    open_ = set(spans)
+    for _ in range(k - 1):
+        wanted = [(f, lo, hi, lo + -(-j * (hi - lo) // parts)) for f in open_ for (lo, hi), found in spans[f].items() if found is None for j in range(1, parts)]
+        if not open_:
+            break
+        if wanted:
+            asked = spark.createDataFrame(wanted, "f int, lo long, hi long, rank long")
+            met = along.join(F.broadcast(asked), "f").where("rank > start AND rank <= end AND end < hi").drop("rank").distinct().collect()  # at most parts - 1 rows an interval
+            for f, lo, hi, _ in wanted:
+                spans[f][lo, hi] = []
+            for r in met:
+                upto[r["f"], r["end"]] = vector(r)
+                spans[r["f"]][r["lo"], r["hi"]].append((r["value"], r["end"]))
+        for f in sorted(open_):
+            last = max(hi for _, hi in spans[f])
+            part = lambda a, b: float(_part(upto[f, b] - upto[f, a]))  # noqa: E731, B023
+            total, loss, best = part(0, last), {s: part(*s) for s in spans[f]}, None
+            left = sum(loss.values())
+            for lo, hi in sorted(spans[f]):
+                for value, end in sorted(spans[f][lo, hi]):
+                    gain = round((total - (left - loss[lo, hi] + part(lo, end) + part(end, hi))) / last, 12)
+                    if best is None or gain > best[0]:
+                        best = (gain, value, lo, end, hi)
+            if best is None or best[0] - (out[f][-1][1] if out[f] else 0.0) < min_gain:
+                open_ = open_ - {f}
+                continue
+            gain, value, lo, end, hi = best
+            del spans[f][lo, hi]
+            spans[f] |= {(lo, end): None, (end, hi): None}
+            out[f].append((float(value), gain))
+    release(along)
+    return out
+
+
 @dataclass
 class BinnerModel:
     features: list[str]
@@ -110,10 +188,11 @@ class EntropyBinner:
     """k intervals for each continuous feature by the label; `parts` quantiles are tried in every interval in each round (20 by default).
 
     quantiles="exact" keeps all distinct values; "approx" compresses each feature to `cells` cells first. All rounds of a feature
-    run in one task on its compressed counts, so there is no driver loop; k=0 or 1 leaves a feature whole.
+    run in one task on its counts, if these are no more than IN_TASK; else its rounds are jobs over ranges of its values, with the same cuts. k=0 or 1 leaves a feature whole.
     """
 
-    def __init__(self, k: int, parts: int = 20, features: list[str] | None = None, label: str = "y", quantiles: str = "exact", cells: int = CELLS, min_gain: float = 0.0):
+    def __init__(self, k: int, parts: int = 20, features: list[str] | None = None, label: str = "y", quantiles: str = "exact", cells: int = CELLS, min_gain: float = 0.0, in_task: int = IN_TASK):
+        self.in_task = in_task
         self.k, self.parts, self.features, self.label, self.quantiles, self.cells, self.min_gain = k, parts, list(features or []), label, quantiles, cells, min_gain
 
     def fit(self, df: DataFrame) -> BinnerModel:
@@ -121,7 +200,10 @@ class EntropyBinner:
             return BinnerModel(self.features, {})
         ship_package(df.sparkSession)
         counts = histogram(df, self.features, self.label, self.cells if self.quantiles == "approx" else None)
+        if self.quantiles != "approx":
+            counts = materialise(counts, "histogram")
         k, parts, min_gain = self.k, self.parts, self.min_gain
+        large = [r["f"] for r in counts.groupBy("f").agg(F.count(F.lit(1)).alias("rows")).where(F.col("rows") > self.in_task).select("f").collect()]
 
         def cut(rows: pd.DataFrame) -> pd.DataFrame:
             wide = rows.pivot_table(index="value", columns="y", values="n", fill_value=0, aggfunc="sum").sort_index()
@@ -129,10 +211,14 @@ class EntropyBinner:
             f = int(rows["f"].iloc[0])
             return pd.DataFrame([(f, i, c, g) for i, (c, g) in enumerate(found, 1)], columns=["f", "cut_no", "cut", "gain"])
 
-        rows = counts.groupBy("f").applyInPandas(cut, "f int, cut_no int, cut double, gain double").collect()  # (k - 1) rows a feature
+        small = counts.where(~F.col("f").isin(large)) if large else counts
+        rows = small.groupBy("f").applyInPandas(cut, "f int, cut_no int, cut double, gain double").collect()  # (k - 1) rows a feature
         cuts: dict[int, list] = {i: [] for i in range(1, len(self.features) + 1)}
         for r in sorted(rows, key=lambda r: (r["f"], r["cut_no"])):
             cuts[r["f"]].append((r["cut"], r["gain"]))
+        if large:
+            cuts |= fit_cuts_by_ranges(counts.where(F.col("f").isin(large)), k, parts, min_gain)
+        release(counts)
         return BinnerModel(self.features, cuts)
 
 
@@ -164,9 +250,14 @@ def first_cut(df: DataFrame, features, label: str, parts: int = 20) -> DataFrame
 
 
 def quantile_classes(df: DataFrame, response: str, classes: int = 5, tie: str | None = None, exact: bool = True) -> DataFrame:
-    """df with `y`, the response's class 1..classes by quantiles: exact ranks (a global order), or approximate cut points (no sort) for large tables."""
+    """df with `y`, the response's class 1..classes by quantiles: by exact ranks, numbered range by range (nulls come first), or by approximate cut points without a sort."""
     if exact:
-        return df.withColumn("y", F.ntile(classes).over(W.orderBy(F.col(response), *([F.col(tie)] if tie else []))))
+        rows = numbered(df, [response, *([tie] if tie else [])])
+        n = rows.count()
+        least, more = n // classes, n % classes  # the first `more` classes have one record more
+        first = more * (least + 1)
+        late = F.floor((F.col("at") - first) / max(1, least)) + more + 1
+        return rows.withColumn("y", F.when(F.col("at") < first, F.floor(F.col("at") / (least + 1)) + 1).otherwise(late).cast("int")).drop("at")
     cuts = df.stat.approxQuantile(response, [i / classes for i in range(1, classes)], 1e-4)
     out = F.lit(1)
     for c in cuts:

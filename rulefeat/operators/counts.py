@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..plans import pair_plans
 from .items import long_items
+from .ranking import join_on
 
 
 def labels(df: DataFrame, label: str, by: tuple[str, ...] = (), weight: str | None = None) -> DataFrame:
@@ -19,9 +20,9 @@ def labels(df: DataFrame, label: str, by: tuple[str, ...] = (), weight: str | No
     return per.withColumns({"n": F.sum("supp_y").over(every), "n_classes": F.count(F.lit(1)).over(every)})
 
 
-def singles(df: DataFrame, features, label: str, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip") -> DataFrame:
-    """(by..., f, v, y, supp): support of every item with every class."""
-    long = long_items(df, features, label, by, weight, null_policy)
+def singles(df: DataFrame, features, label: str, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", with_label: bool = False) -> DataFrame:
+    """(by..., f, v, y, supp): support of every item with every class; with_label adds the classes' own counts as feature 0."""
+    long = long_items(df, features, label, by, weight, null_policy, with_label)
     return long.groupBy(*by, "f", "v", "y").agg((F.sum("weight") if weight else F.count(F.lit(1))).cast("long").alias("supp"))
 
 
@@ -29,7 +30,7 @@ def candidates(top_singles: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """(by..., f1, v1, f2, v2, y): pairs of items of different features that are both frequent with the same class."""
     a = top_singles.select(*by, F.col("f1"), F.col("v1"), "y")
     b = top_singles.select(*by, F.col("f1").alias("f2"), F.col("v1").alias("v2"), "y")
-    return a.join(b, [*by, "y"]).where("f1 < f2").select(*by, "f1", "v1", "f2", "v2", "y")
+    return join_on(a, b, [*by, "y"]).where("f1 < f2").select(*by, "f1", "v1", "f2", "v2", "y")
 
 
 def pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]], by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", plan: str = "auto", kept: DataFrame | None = None) -> DataFrame:
@@ -40,6 +41,18 @@ def pairs(df: DataFrame, features, label: str, items: list[tuple[int, str]], by:
     return pair_plans.count_pairs(df, features, label, items, by, weight, null_policy, plan, kept)
 
 
+def pairs_of(df: DataFrame, features, label: str, kept: DataFrame, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", plan: str = "auto") -> tuple[DataFrame, int]:
+    """(pairs(), number of items) of the items of kept(by..., f1, v1).
+
+    Up to `pair_plans.LITERAL_ITEMS` different items go to the driver and become literals of one projection; more stay a table that the records' items are joined with.
+    """
+    distinct = kept.select("f1", "v1").distinct()
+    found = [(r[0], r[1]) for r in distinct.limit(pair_plans.LITERAL_ITEMS + 1).collect()]
+    if len(found) <= pair_plans.LITERAL_ITEMS and plan != "join":
+        return pairs(df, features, label, found, by, weight, null_policy, plan, kept.select(*by, "f1", "v1").distinct() if by else None), len(found)
+    return pair_plans.count_pairs_by_join(df, features, label, kept.select(*by, "f1", "v1").distinct(), by, weight, null_policy), distinct.count()
+
+
 def value_cube(df: DataFrame, columns: list[str]) -> DataFrame:
     """Counts over all combinations of a few columns, with a grouping id (bit set where a column is rolled up)."""
     return df.cube(*columns).agg(F.count(F.lit(1)).alias("supp"), F.grouping_id().cast("long").alias("gid"))

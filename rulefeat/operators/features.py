@@ -10,9 +10,6 @@ from pyspark.sql import functions as F
 
 from .items import value_of
 
-WIDE = 500  # beyond so many, 0/1 columns go into one sparse vector
-
-
 def from_rules(rules: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """Distinct antecedents: several rules with one antecedent make one feature. feature_id counts from 1 in order of size and items."""
     distinct = rules.select(*by, "size", "f1", "v1", "f2", "v2").distinct()

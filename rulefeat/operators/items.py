@@ -56,7 +56,7 @@ def _looked_up(table: Column, column: str) -> Column:
     return F.array_sort(F.array_compact(F.transform(F.array_distinct(F.coalesce(F.col(f"`{column}`"), F.array())), lambda v: F.element_at(table, v.cast("string")))))
 
 
-def long_items(df: DataFrame, features: list[str] | tuple[str, ...], label: str, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip") -> DataFrame:
+def long_items(df: DataFrame, features: list[str] | tuple[str, ...], label: str, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", with_label: bool = False) -> DataFrame:
     """One row (f, v, y) for each record and feature with a value, with the columns of `by` and `weight`; records without a label have none.
 
     A feature of type array<string> gives an item for each distinct element.
@@ -68,6 +68,8 @@ def long_items(df: DataFrame, features: list[str] | tuple[str, ...], label: str,
             parts.append(_tagged(i, c))
         else:
             parts.append(F.array(F.struct(F.lit(i).alias("f"), value_of(c, null_policy).alias("v"))))
+    if with_label:
+        parts.append(F.array(F.struct(F.lit(0).alias("f"), F.col(label).cast("string").alias("v"))))
     keys = [F.col(b) for b in by] + ([F.col(weight).alias("weight")] if weight else [])
     long = df.where(F.col(label).isNotNull()).select(*keys, F.col(label).cast("string").alias("y"), F.explode(F.concat(*parts) if len(parts) > 1 else parts[0]).alias("item"))
     return long.select(*by, *(["weight"] if weight else []), "item.f", "item.v", "y").where(F.col("v").isNotNull())

@@ -7,6 +7,14 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 
+def join_on(left: DataFrame, right: DataFrame, keys, how: str = "inner") -> DataFrame:
+    """Join on columns of one name, of which nulls are equal too; the keys come once, from the left."""
+    own = [c for c in right.columns if c not in keys]
+    named = right.select(*[F.col(c).alias(f"__k_{c}") for c in keys], *own)
+    on = [F.col(c).eqNullSafe(F.col(f"__k_{c}")) for c in keys]
+    return left.join(named, on, how).select(*left.columns, *([] if how in ("left_semi", "left_anti") else own))
+
+
 def antecedent_order() -> list[Column]:
     return [F.col("size").asc(), F.col("f1").asc(), F.col("v1").asc(), F.coalesce("f2", F.lit(-1)).asc(), F.coalesce("v2", F.lit("")).asc(), F.col("y").asc()]
 

@@ -3,10 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .ranking import score_order, top
+from .ranking import join_on, score_order, top
 
 
 def top_rules(scored: DataFrame, d_conf: int, score: str, by: tuple[str, ...] = ()) -> DataFrame:
@@ -18,7 +17,7 @@ def _with_mains(scored: DataFrame, score: str, by) -> DataFrame:
     out = scored
     for side in ("1", "2"):
         own = mains.select(*by, F.col("mf").alias(f"f{side}"), F.col("mv").alias(f"v{side}"), "y", F.col("m").alias(f"main{side}"))
-        out = out.join(own, [*by, f"f{side}", f"v{side}", "y"], "left")
+        out = join_on(out, own, [*by, f"f{side}", f"v{side}", "y"], "left")
     return out.select(*scored.columns, "main1", "main2")
 
 
@@ -78,14 +77,19 @@ def class_rules(frequent: DataFrame, class_items: list[str]) -> DataFrame:
     return sided.join(own, "x").select("x", F.col("c")[0].alias("y"), "supp", "supp_x", (F.col("supp").cast("double") / F.col("supp_x")).alias("conf"))
 
 
+#: Rules of a classifier at most: they become one expression.
+VOTING = 2000
+
+
 def vote(records: DataFrame, rules: DataFrame, features, default: str, key: str, null_policy: str = "skip") -> DataFrame:
-    """Classify by the first matching rule in order of confidence, then support: (key, prediction, conf). Rules are at most a budget's number and are broadcast."""
-    from .items import value_of
-
-    held = F.create_map(*[x for i, c in enumerate(features, 1) for x in (F.lit(i), value_of(c, null_policy))])
-    rows = records.select(F.col(key).alias("key"), held.alias("held"))
-    match = (F.element_at("held", F.col("f1")) == F.col("v1")) & (F.col("f2").isNull() | (F.element_at("held", F.col("f2")) == F.col("v2")))
-    small = rules.select("f1", "v1", "f2", "v2", "y", "conf", "supp", F.row_number().over(W.orderBy(*score_order("conf"))).alias("order"))
-    met = rows.join(F.broadcast(small), match, "left")
-    best = met.groupBy("key").agg(F.min_by(F.struct("y", "conf"), "order").alias("b"))
-    return best.select("key", F.coalesce("b.y", F.lit(default)).alias("prediction"), F.col("b.conf").alias("conf"))
+    """Classify by the first matching rule in order of confidence, then support: (key, prediction, conf).
+
+    The rules are a budget's number (more than VOTING raise) and become one expression that stops at the first that fits: no join, no shuffle.
+    """
+    from .features import predicate
+
+    ordered = rules.orderBy(*score_order("conf")).limit(VOTING + 1).collect()
+    if len(ordered) > VOTING:
+        raise ValueError(f"more than {VOTING} rules to vote by: give the selector a budget")
+    first = F.coalesce(*[F.when(predicate(r, list(features), null_policy), F.struct(F.lit(r["y"]).alias("y"), F.lit(r["conf"]).alias("conf"))) for r in ordered], F.lit(None).cast("struct<y:string,conf:double>"))
+    return records.select(F.col(key).alias("key"), first.alias("b")).select("key", F.coalesce("b.y", F.lit(default)).alias("prediction"), F.col("b.conf").alias("conf"))

@@ -1,6 +1,6 @@
 """Selectors of categorical features and pair interactions by class rules.
 
-Two scans of the data at most: one counts items by class, one counts pairs of kept items by class. All later
+Two scans of the data: one counts items by class (and, as an item of its own, the classes), one counts pairs of kept items by class. All later
 steps work on at most budget-squared rows.
 """
 
@@ -11,11 +11,13 @@ import warnings
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.measures import EPS, with_measures
+from ..storage import materialise
 from . import counts, features as feature_ops, rules as rule_ops
-from .ranking import support_order, top
+from .ranking import join_on, support_order, top
 
 ANTECEDENT = ["f1", "v1", "f2", "v2"]
 
@@ -37,13 +39,16 @@ def as_sets(singles: DataFrame, by=()) -> DataFrame:
 def with_totals(sets: DataFrame, all_counts: DataFrame, labels: DataFrame, by=()) -> DataFrame:
     """Add supp_x (sum over classes of the antecedent's counts), supp_y and n; no new scan."""
     totals = all_counts.groupBy(*by, *ANTECEDENT).agg(F.sum("supp").alias("supp_x"))
-    left, right = sets.alias("l"), totals.alias("r")
-    same = [F.col(f"l.{c}") == F.col(f"r.{c}") for c in (*by, "f1", "v1")] + [F.col(f"l.{c}").eqNullSafe(F.col(f"r.{c}")) for c in ("f2", "v2")]
-    on = same[0]
-    for s in same[1:]:
-        on = on & s
-    joined = left.join(right, on).select("l.*", "r.supp_x")
-    return joined.join(labels.select(*by, "y", "supp_y", "n"), [*by, "y"])
+    return join_on(join_on(sets, totals, [*by, *ANTECEDENT]), labels.select(*by, "y", "supp_y", "n"), [*by, "y"])
+
+
+def class_and_item_counts(df: DataFrame, features, label: str, by=(), weight: str | None = None, null_policy: str = "skip") -> tuple[DataFrame, DataFrame]:
+    """(labels, singles) of counts.labels() and counts.singles() by one scan: each record's class goes with its items, as that of feature 0."""
+    both = materialise(counts.singles(df, features, label, by, weight, null_policy, with_label=True), "singles")
+    per = both.where("f = 0").select(*by, "y", F.col("supp").alias("supp_y"))
+    every = W.partitionBy(*by)
+    labels = per.withColumns({"n": F.sum("supp_y").over(every), "n_classes": F.count(F.lit(1)).over(every)})
+    return labels, both.where("f > 0")
 
 
 def _budgets(labels: DataFrame, d_freq: int, class_budget, by) -> DataFrame:
@@ -58,37 +63,34 @@ def _budgets(labels: DataFrame, d_freq: int, class_budget, by) -> DataFrame:
     return labels.select(*by, "y", F.greatest(b.cast("int"), F.lit(1)).alias("budget"))
 
 
-def mine(df: DataFrame, label: str, features, d_freq: int, per_class: bool, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", class_budget="even", plan: str = "auto") -> Mined:
-    """The d_freq most frequent (antecedent, class) sets of one or two items, over all classes or a share for each.
+def mine(df: DataFrame, label: str, features, d_freq: int, per_class: bool, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", class_budget="even", plan: str = "auto", min_count: int = 0) -> Mined:
+    """The d_freq most frequent (antecedent, class) sets of one or two items, over all classes or a share for each; sets of fewer than min_count records are left out.
 
     A pair is a candidate if both its items are kept with the same class; it is counted for every class in the one pass, so that confidences
     need no other. An item's supersets are never more frequent, so these are the top sets among all singles and pairs.
     """
-    from ..storage import materialise
-
     features = list(features)
     only = df.select(*dict.fromkeys([*by, label, *features, *([weight] if weight else [])]))
-    labels = materialise(counts.labels(only, label, by, weight), "labels")
-    single_counts = materialise(counts.singles(only, features, label, by, weight, null_policy), "singles")
-    singles = as_sets(single_counts, by)
+    labels, single_counts = class_and_item_counts(only, features, label, by, weight, null_policy)
+    singles = as_sets(single_counts, by).where(F.col("supp") >= min_count)
     if per_class:
         budgets = _budgets(labels, d_freq, class_budget, by)
-        cut = lambda rows: top(rows.join(F.broadcast(budgets), [*by, "y"]), support_order(), F.col("budget"), (*by, "y")).drop("budget")  # noqa: E731  one row a class
+        cut = lambda rows: top(join_on(rows, budgets, [*by, "y"]), support_order(), F.col("budget"), (*by, "y")).drop("budget")
     else:
         cut = lambda rows: top(rows, support_order(), d_freq, tuple(by))
     first = materialise(cut(singles), "top-singles")
-    items = [(r[0], r[1]) for r in first.select("f1", "v1").distinct().collect()]  # at most d_freq rows for each group of `by`
-    if items:
-        pair_counts = materialise(counts.pairs(only, features, label, items, by, weight, null_policy, plan, first.select(*by, "f1", "v1").distinct() if by else None), "pairs")
-        candidates = counts.candidates(first, by)
+    every_single = as_sets(single_counts, by)
+    if first.isEmpty():
+        n_items, sets, everything = 0, cut(singles), every_single
+    else:
+        counted, n_items = counts.pairs_of(only, features, label, first, by, weight, null_policy, plan)
+        pair_counts = materialise(counted, "pairs")
         named = pair_counts.select(*by, F.lit(2).alias("size"), *ANTECEDENT, "y", "supp")
-        wanted = named.join(candidates, [*by, *ANTECEDENT, "y"], "left_semi").select(*named.columns)
+        wanted = join_on(named.where(F.col("supp") >= min_count), counts.candidates(first, by), [*by, *ANTECEDENT, "y"], "left_semi")
         sets = cut(singles.unionByName(wanted))
-        everything = singles.unionByName(named)
-    else:
-        sets, everything = cut(singles), singles
+        everything = every_single.unionByName(named)
     done = materialise(with_totals(sets, everything, labels, by).select(*by, "size", *ANTECEDENT, "y", "supp", "rank", "supp_x", "supp_y", "n"), "frequent-sets")
-    return Mined(done, tuple(by), {"items": len(items)})
+    return Mined(done, tuple(by), {"items": n_items})
 
 
 @dataclass
@@ -98,52 +100,54 @@ class Selected:
     features: DataFrame
 
 
-def _select(mined: Mined, d_conf: int, score: str, redundancy: str | None, margin: float, eps: float) -> Selected:
+def _select(mined: Mined, d_conf: int, score: str, redundancy: str | None, margin: float, eps: float, min_score: float | None = None) -> Selected:
     scored = with_measures(mined.sets, eps)
     if redundancy:
         scored = rule_ops.nonredundant(scored, score, redundancy, margin, mined.by)
+    if min_score is not None:
+        scored = scored.where(F.col(score) >= min_score)
     chosen = rule_ops.top_rules(scored, d_conf, score, mined.by)
     return Selected(mined, chosen, feature_ops.from_rules(chosen, mined.by))
 
 
-def select_by_budget(df, label, features, d_freq: int, d_conf: int, score: str = "conf", eps: float = EPS, **mining) -> Selected:
-    """The d_freq most frequent sets of all, then the d_conf most confident rules of them."""
-    return _select(mine(df, label, features, d_freq, False, **mining), d_conf, score, None, 1.0, eps)
+def select_by_budget(df, label, features, d_freq: int, d_conf: int, score: str = "conf", eps: float = EPS, min_score: float | None = None, **mining) -> Selected:
+    """The d_freq most frequent sets of all, then the d_conf most confident rules of them; min_count and min_score are floors beside the budgets."""
+    return _select(mine(df, label, features, d_freq, False, **mining), d_conf, score, None, 1.0, eps, min_score)
 
 
-def select_balanced(df, label, features, d_freq: int, d_conf: int, score: str = "rconf", eps: float = EPS, **mining) -> Selected:
+def select_balanced(df, label, features, d_freq: int, d_conf: int, score: str = "rconf", eps: float = EPS, min_score: float | None = None, **mining) -> Selected:
     """An equal share of frequent sets for every class, then the d_conf rules that are highest by relative confidence (or another score)."""
-    return _select(mine(df, label, features, d_freq, True, **mining), d_conf, score, None, 1.0, eps)
+    return _select(mine(df, label, features, d_freq, True, **mining), d_conf, score, None, 1.0, eps, min_score)
 
 
-def select_nonredundant(df, label, features, d_freq: int, d_conf: int, score: str = "rconf", redundancy: str = "strict", margin: float = 1.0, eps: float = EPS, **mining) -> Selected:
+def select_nonredundant(df, label, features, d_freq: int, d_conf: int, score: str = "rconf", redundancy: str = "strict", margin: float = 1.0, eps: float = EPS, min_score: float | None = None, **mining) -> Selected:
     """select_balanced() without interactions that tell no more than their main effects. The default selector."""
-    return _select(mine(df, label, features, d_freq, True, **mining), d_conf, score, redundancy, margin, eps)
+    return _select(mine(df, label, features, d_freq, True, **mining), d_conf, score, redundancy, margin, eps, min_score)
 
 
-def recut(mined: Mined, d_conf: int, score: str = "rconf", redundancy: str | None = "strict", margin: float = 1.0, eps: float = EPS) -> Selected:
+def recut(mined: Mined, d_conf: int, score: str = "rconf", redundancy: str | None = "strict", margin: float = 1.0, eps: float = EPS, min_score: float | None = None) -> Selected:
     """Other rules of the same mining run: no scan of the data."""
-    return _select(mined, d_conf, score, redundancy, margin, eps)
+    return _select(mined, d_conf, score, redundancy, margin, eps, min_score)
 
 
 def select_by_threshold(df, label, features, min_support: float | None = None, min_conf: float = 0.5, min_count: int | None = None, max_rules: int = 10_000, null_policy: str = "skip", plan: str = "auto") -> Selected:
-    """All class rules of one or two items with support and confidence at the thresholds or above; the output is unbounded, so a count beyond max_rules warns.
+    """All class rules of one or two items with support and confidence at the thresholds or above; the output is unbounded.
 
-    Thresholds too high for the data give an empty result with the same columns.
+    More frequent sets than max_rules warn before pairs are counted, and more rules than that after. Thresholds too high for the data give an empty result with the same columns.
     """
-    from ..storage import materialise
-
     features = list(features)
     only = df.select(*dict.fromkeys([label, *features]))
-    labels = materialise(counts.labels(only, label), "labels")
-    singles = as_sets(materialise(counts.singles(only, features, label, null_policy=null_policy), "singles"))
+    labels, single_counts = class_and_item_counts(only, features, label, null_policy=null_policy)
+    singles = as_sets(single_counts)
     n = labels.agg(F.coalesce(F.sum("supp_y"), F.lit(0))).first()[0]
     least = min_count if min_count is not None else max(1, math.ceil((min_support or 0.0) * n - 1e-9))
     frequent = singles.where(F.col("supp") >= least)
-    items = [(r[0], r[1]) for r in frequent.select("f1", "v1").distinct().collect()]
+    if (many := frequent.count()) > max_rules:
+        warnings.warn(f"{many} frequent items with their classes, and their pairs to come: raise the thresholds", stacklevel=2)
     everything, sets = singles, frequent
-    if items:
-        named = materialise(counts.pairs(only, features, label, items, null_policy=null_policy, plan=plan), "pairs").select(F.lit(2).alias("size"), *ANTECEDENT, "y", "supp")
+    if many:
+        counted, _ = counts.pairs_of(only, features, label, frequent, null_policy=null_policy, plan=plan)
+        named = materialise(counted, "pairs").select(F.lit(2).alias("size"), *ANTECEDENT, "y", "supp")
         everything, sets = singles.unionByName(named), frequent.unionByName(named.where(F.col("supp") >= least))
     done = materialise(with_totals(sets, everything, labels), "frequent-sets")
     rules = with_measures(done).where(F.col("conf") >= min_conf)

@@ -8,6 +8,8 @@ from __future__ import annotations
 import re
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
 
 MODULI = (1009, 1013, 1019, 1021, 1031, 1033, 1039, 1049)
 
@@ -27,7 +29,7 @@ _OPEN = "CASE WHEN l_linestatus = 'O' THEN 1 ELSE 0 END"
 _MANY = "CASE WHEN l_quantity > 25 THEN 1 ELSE 0 END"
 
 
-def planted(p: int = 20, constant: bool = False, trials: int = 60, used: int | None = None) -> str:
+def planted(p: int = 99, constant: bool = False, trials: int = 60, used: int | None = None) -> str:
     """Binary features x1..xp of line items with a three-class label and a trial number; constant: the last two features are always 1."""
     bits = [f"CAST({bit(i)} AS INT)" for i in range(4, p + 1)]
     if constant:
@@ -83,32 +85,98 @@ TEXT_CATEGORICAL = ["lang", "source", "has_newline", "has_at", "has_digits", "ha
 TEXT_CONTINUOUS = ["n_chars", "words", "lines"]
 
 
-def series(lags: int = 6, user_lags: int = 0, windows: tuple[int, ...] = (), gaps: int = 1) -> str:
-    """Events in order of time, with past values as features, the planted three-class label and the split by rank."""
-    columns = [f"LAG(value, {i}) OVER w AS lag{i}" for i in range(1, lags + 1)]
-    columns += [f"LAG(value, {i}) OVER u AS user_lag{i}" for i in range(1, user_lags + 1)]
-    for rows in windows:
-        frame = f"OVER (ORDER BY ts, event_id ROWS BETWEEN {rows} PRECEDING AND 1 PRECEDING)"
-        columns += [f"{f}(value) {frame} AS {n}{rows}" for f, n in (("AVG", "mean"), ("MIN", "least"), ("MAX", "most"), ("STDDEV_SAMP", "spread"))]
-    columns += [f"LAG(ts, {i}) OVER w AS __before{i}" for i in range(1, gaps + 1)]
+#: Lags, lags of the same user, and windows of the two frames over time: 27 and 86 features.
+NARROW, BROAD = (10, 5, (5, 20)), (40, 22, (5, 10, 20, 40, 80))
+LOW, HIGH = 15.34, 172.89
+
+
+def series_features(lags: int = 10, user_lags: int = 5, windows: tuple[int, ...] = (5, 20)) -> list[str]:
+    past = [f"lag{i}" for i in range(1, lags + 1)] + [f"user_lag{i}" for i in range(1, user_lags + 1)]
+    return past + [f"{n}{r}" for r in windows for n in ("mean", "least", "most", "spread")] + ["hour", "user_events", "gap", "prop"]
+
+
+def series(spark: SparkSession, sf_dir: str, lags: int = 10, user_lags: int = 5, windows: tuple[int, ...] = (5, 20), block: int = 200_000) -> DataFrame:
+    """Events in order of time, with past values as features, the planted three-class label and the split by rank.
+
+    The order is cut into blocks, each with as many of the rows before it as a feature looks back, so no task sees all rows. Sums over windows are of whole hundredths: no result hangs on their order.
+    A user's rows are one group of a window function; it goes through them in order and holds on to few.
+    """
+    from ..operators.sampling import numbered
+
+    events = spread(spark.read.parquet(f"{sf_dir}/events.parquet")).select("event_id", "user_id", "ts", "value", "props", F.round(F.col("value") * 100).cast("long").alias("__c"))
+    rows = numbered(events, ["ts", "event_id"])
+    total, back = rows.count(), max([1, lags, *windows])
+    block = max(block, back)
+    own = F.floor(F.col("at") / block)
+    shared = F.when(F.col("at") % block >= block - back, F.array(own, own + 1)).otherwise(F.array(own))
+    w = W.partitionBy("__block").orderBy("at")
+    columns = {f"lag{i}": F.lag("value", i).over(w) for i in range(1, lags + 1)}
+    for r in windows:
+        before, c = w.rowsBetween(-r, -1), F.col("__c")
+        n, s, q = F.count(c).over(before), F.sum(c).over(before), F.sum(c * c).over(before)
+        columns |= {f"mean{r}": F.try_divide(s.cast("double"), n.cast("double")) / 100, f"least{r}": F.min("value").over(before), f"most{r}": F.max("value").over(before)}
+        columns[f"spread{r}"] = F.when(n > 1, F.sqrt((n * q - s * s).cast("double") / (n * (n - 1)).cast("double")) / 100)
+    columns["__before"] = F.lag("ts", 1).over(w)
+    placed = rows.withColumn("__block", F.explode(shared)).withColumns(columns).where(F.col("__block") == own)
+    u = W.partitionBy("user_id").orderBy("at")
+    placed = placed.withColumns({f"user_lag{i}": F.lag("value", i).over(u) for i in range(1, user_lags + 1)} | {"user_events": F.row_number().over(u).cast("double")})
+    y = F.when(F.col("value") < LOW, "low").when(F.col("value") > HIGH, "high").otherwise("proper")
+    split = F.when(F.col("at") + 1 <= 0.75 * total, "train").when(F.col("at") + 1 <= 0.875 * total, "validation").otherwise("test")
+    gap = (F.expr("timestampdiff(MICROSECOND, __before, ts)") / 1_000_000).cast("double")
+    made = placed.withColumns({"hour": F.hour("ts").cast("double"), "gap": gap, "prop": F.regexp_extract("props", "([0-9]+)", 1).try_cast("double")})
+    return made.select("event_id", "user_id", "ts", "value", *series_features(lags, user_lags, windows), y.alias("y"), split.alias("split"))
+
+
+def series_sql(lags: int = 10, user_lags: int = 5, windows: tuple[int, ...] = (5, 20)) -> str:
+    """The same for an engine with views, by windows over all rows."""
+    columns = [f"LAG(value, {i}) OVER w AS lag{i}" for i in range(1, lags + 1)] + [f"LAG(value, {i}) OVER u AS user_lag{i}" for i in range(1, user_lags + 1)]
+    for r in windows:
+        over = f"OVER (ORDER BY ts, event_id ROWS BETWEEN {r} PRECEDING AND 1 PRECEDING)"
+        n, s_, q = f"COUNT(c) {over}", f"SUM(c) {over}", f"SUM(c * c) {over}"
+        columns += [f"CASE WHEN {n} > 0 THEN CAST({s_} AS DOUBLE) / CAST({n} AS DOUBLE) / 100 END AS mean{r}", f"MIN(value) {over} AS least{r}", f"MAX(value) {over} AS most{r}"]
+        columns += [f"CASE WHEN {n} > 1 THEN SQRT(CAST({n} * {q} - {s_} * {s_} AS DOUBLE) / CAST({n} * ({n} - 1) AS DOUBLE)) / 100 END AS spread{r}"]
     inner = f"""SELECT event_id, user_id, ts, value, CAST(EXTRACT(HOUR FROM ts) AS DOUBLE) AS hour, ROW_NUMBER() OVER w AS pos, COUNT(*) OVER () AS total, {', '.join(columns)},
-  CAST(ROW_NUMBER() OVER u AS DOUBLE) AS user_events FROM {{events}} WINDOW w AS (ORDER BY ts, event_id), u AS (PARTITION BY user_id ORDER BY ts, event_id)"""
-    kept = [f"lag{i}" for i in range(1, lags + 1)] + [f"user_lag{i}" for i in range(1, user_lags + 1)] + [f"{n}{r}" for r in windows for n in ("mean", "least", "most", "spread")]
-    label = "CASE WHEN value < 15.34 THEN 'low' WHEN value > 172.89 THEN 'high' ELSE 'proper' END AS y"
+  CAST(ROW_NUMBER() OVER u AS DOUBLE) AS user_events, CAST(epoch_us(ts) - LAG(epoch_us(ts)) OVER w AS DOUBLE) / 1000000 AS gap, TRY_CAST(regexp_extract(props, '[0-9]+') AS DOUBLE) AS prop
+  FROM (SELECT *, CAST(ROUND(value * 100) AS BIGINT) AS c FROM events) e WINDOW w AS (ORDER BY ts, event_id), u AS (PARTITION BY user_id ORDER BY ts, event_id)"""
+    label = f"CASE WHEN value < {LOW} THEN 'low' WHEN value > {HIGH} THEN 'high' ELSE 'proper' END AS y"
     split = "CASE WHEN pos <= 0.75 * total THEN 'train' WHEN pos <= 0.875 * total THEN 'validation' ELSE 'test' END AS split"
-    return f"SELECT event_id, user_id, ts, value, hour, user_events, {', '.join(kept)}, {label}, {split} FROM ({inner}) t"
-
-
-def series_features(lags: int = 6, user_lags: int = 0, windows: tuple[int, ...] = ()) -> list[str]:
-    return [f"lag{i}" for i in range(1, lags + 1)] + [f"user_lag{i}" for i in range(1, user_lags + 1)] + [f"{n}{r}" for r in windows for n in ("mean", "least", "most", "spread")] + ["hour", "user_events"]
-
-
-CUSTOMERS = """SELECT c_custkey, CAST(MAX(c_acctbal) AS DOUBLE) AS acctbal, CAST(COUNT(*) AS DOUBLE) AS n_orders, CAST(SUM(CAST(ROUND(o_totalprice * 100) AS BIGINT)) AS DOUBLE) / COUNT(*) / 100 AS mean_price, CAST(MAX(o_totalprice) AS DOUBLE) AS max_price, CAST(MIN(o_totalprice) AS DOUBLE) AS min_price,
-  CAST(SUM(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) AS DOUBLE) AS count_f, CAST(SUM(CASE WHEN o_orderstatus = 'O' THEN 1 ELSE 0 END) AS DOUBLE) AS count_o, CAST(SUM(CASE WHEN o_orderpriority LIKE '1%' THEN 1 ELSE 0 END) AS DOUBLE) AS count_urgent,
-  CAST(SUM(CASE WHEN o_orderpriority LIKE '5%' THEN 1 ELSE 0 END) AS DOUBLE) AS count_low, CAST(SUM(CASE WHEN EXTRACT(YEAR FROM o_orderdate) < 1998 THEN 1 ELSE 0 END) AS DOUBLE) AS count_early,
+    return f"SELECT event_id, user_id, ts, value, {', '.join(series_features(lags, user_lags, windows))}, {label}, {split} FROM ({inner}) t"
+
+
+def _customer_columns() -> dict[str, str]:
+    """101 features of a customer's orders by name: sums of money are of whole cents, so they are the same in every engine."""
+    cents = "CAST(ROUND(o_totalprice * 100) AS BIGINT)"
+    out = {
+        "acctbal": "MAX(c_acctbal)", "n_orders": "COUNT(*)", "mean_price": f"CAST(SUM({cents}) AS DOUBLE) / COUNT(*) / 100", "max_price": "MAX(o_totalprice)", "min_price": "MIN(o_totalprice)",
+        "range_price": "MAX(o_totalprice) - MIN(o_totalprice)", "count_cheap": "SUM(CASE WHEN o_totalprice < 50000 THEN 1 ELSE 0 END)", "count_dear": "SUM(CASE WHEN o_totalprice > 250000 THEN 1 ELSE 0 END)",
+        "count_early": "SUM(CASE WHEN EXTRACT(YEAR FROM o_orderdate) < 1998 THEN 1 ELSE 0 END)",
+    }
+    status, priority = {x.lower(): f"o_orderstatus = '{x}'" for x in "FOP"}, {f"p{i}": f"o_orderpriority LIKE '{i}%'" for i in range(1, 6)}
+    groups = status | priority | {f"y{y}": f"EXTRACT(YEAR FROM o_orderdate) = {y}" for y in range(1995, 2002)} | {f"m{m}": f"EXTRACT(MONTH FROM o_orderdate) = {m}" for m in range(1, 13)}
+    groups |= {f"q{i}": f"EXTRACT(MONTH FROM o_orderdate) BETWEEN {3 * i - 2} AND {3 * i}" for i in range(1, 5)} | {f"{a}_{b}": f"{x} AND {y}" for a, x in status.items() for b, y in priority.items()}
+    for name, test in groups.items():
+        out[f"count_{name}"] = f"SUM(CASE WHEN {test} THEN 1 ELSE 0 END)"
+        out[f"sum_{name}"] = f"CAST(SUM(CASE WHEN {test} THEN {cents} ELSE 0 END) AS DOUBLE) / 100"
+    return out
+
+
+CUSTOMER_FEATURES = list(_customer_columns())
+CUSTOMERS = f"""SELECT c_custkey, {', '.join(f'CAST({x} AS DOUBLE) AS {n}' for n, x in _customer_columns().items())},
   CAST(SUM(CAST(ROUND(o_totalprice * 100) AS BIGINT)) AS DOUBLE) / COUNT(*) / 100 / 1000 + 0.5 * SUM(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) * SUM(CASE WHEN o_orderpriority LIKE '1%' THEN 1 ELSE 0 END) + CAST((CAST(c_custkey AS BIGINT)*7919) % 100 AS DOUBLE) / 10 AS response
-FROM {customer} JOIN {orders} ON c_custkey = o_custkey GROUP BY c_custkey"""
-CUSTOMER_FEATURES = ["acctbal", "n_orders", "mean_price", "max_price", "min_price", "count_f", "count_o", "count_urgent", "count_low", "count_early"]
+FROM {{customer}} JOIN {{orders}} ON c_custkey = o_custkey GROUP BY c_custkey"""
+
+#: Orders as a set of 13 continuous and 10 discrete features with a label of about a fifth ones.
+ORDERS = f"""SELECT o_orderkey, o_orderstatus, o_orderpriority, c_mktsegment, n_name, r_name, {_s('EXTRACT(MONTH FROM o_orderdate)', 'order_month')}, {_s('EXTRACT(YEAR FROM o_orderdate)', 'order_year')},
+  flags, {_s('lines', 'line_count')}, CASE WHEN returned > 0 THEN 'yes' ELSE 'no' END AS any_returned,
+  CAST(o_totalprice AS DOUBLE) AS o_totalprice, CAST(c_acctbal AS DOUBLE) AS c_acctbal, quantity, most_quantity, price, most_price, least_price, discount, most_discount, tax, most_tax, CAST(returned AS DOUBLE) AS returned, CAST(open_lines AS DOUBLE) AS open_lines,
+  CAST(CASE WHEN CAST(o_orderkey AS BIGINT)*7919 % 100 < 8 THEN o_orderkey % 2 WHEN (c_mktsegment IN ('BUILDING', 'MACHINERY') AND most_price > 90000) OR (o_orderpriority LIKE '1%' AND returned > 1) THEN 1 ELSE 0 END AS VARCHAR(8)) AS y
+FROM {{orders}} JOIN {{customer}} ON o_custkey = c_custkey JOIN {{nation}} ON c_nationkey = n_nationkey JOIN {{region}} ON n_regionkey = r_regionkey
+JOIN (SELECT l_orderkey, COUNT(*) AS lines, CAST(SUM(CAST(l_quantity AS BIGINT)) AS DOUBLE) AS quantity, CAST(MAX(l_quantity) AS DOUBLE) AS most_quantity, CAST(SUM(CAST(ROUND(l_extendedprice * 100) AS BIGINT)) AS DOUBLE) / 100 AS price,
+  CAST(MAX(l_extendedprice) AS DOUBLE) AS most_price, CAST(MIN(l_extendedprice) AS DOUBLE) AS least_price, CAST(SUM(CAST(ROUND(l_discount * 100) AS BIGINT)) AS DOUBLE) / 100 AS discount, CAST(MAX(l_discount) AS DOUBLE) AS most_discount,
+  CAST(SUM(CAST(ROUND(l_tax * 100) AS BIGINT)) AS DOUBLE) / 100 AS tax, CAST(MAX(l_tax) AS DOUBLE) AS most_tax, SUM(CASE WHEN l_returnflag = 'R' THEN 1 ELSE 0 END) AS returned, SUM(CASE WHEN l_linestatus = 'O' THEN 1 ELSE 0 END) AS open_lines,
+  CONCAT(MIN(l_returnflag), MAX(l_returnflag)) AS flags FROM {{lineitem}} GROUP BY l_orderkey) l ON l_orderkey = o_orderkey"""
+ORDER_CATEGORICAL = ["o_orderstatus", "o_orderpriority", "c_mktsegment", "n_name", "r_name", "order_month", "order_year", "flags", "line_count", "any_returned"]
+ORDER_CONTINUOUS = ["o_totalprice", "c_acctbal", "quantity", "most_quantity", "price", "most_price", "least_price", "discount", "most_discount", "tax", "most_tax", "returned", "open_lines"]
 
 TURNS = """SELECT conv_id, turn, CASE WHEN turn = 0 THEN 't0' WHEN turn % 2 = 1 THEN 'odd' ELSE 'even' END AS turn_kind, CASE WHEN length(text) < 40 THEN 'short' WHEN length(text) < 200 THEN 'middle' ELSE 'long' END AS length_band,
   CASE WHEN text LIKE '%?' THEN 'yes' ELSE 'no' END AS asks, lower(split_part(text, ' ', 1)) AS first_word, role AS y FROM {conversations}"""
@@ -117,7 +185,7 @@ TURN_FEATURES = ["turn_kind", "length_band", "asks", "first_word"]
 BASKETS = "SELECT DISTINCT l_orderkey AS basket, p_brand AS item FROM {lineitem} JOIN {part} ON l_partkey = p_partkey"
 
 
-def vectors(dims: int = 8, below: int = 9, signs: bool = True) -> tuple[str, list[str]]:
+def vectors(dims: int = 64, below: int = 9, signs: bool = True) -> tuple[str, list[str]]:
     """Embeddings as columns: their signs, or their numbers. Array places differ among engines, so {at} stands for the first."""
     columns = [f"e{i}" for i in range(dims)]
     one = (lambda i: f"CASE WHEN embedding[{{at+{i}}}] > 0 THEN 'p' ELSE 'n' END AS e{i}") if signs else (lambda i: f"CAST(embedding[{{at+{i}}}] AS DOUBLE) AS e{i}")
@@ -132,7 +200,15 @@ def frame(spark: SparkSession, sf_dir: str, select: str) -> DataFrame:
     """The SELECT over the Parquet tables of sf_dir."""
     names = tables_of(select)
     text = re.sub(r"\{at\+(\d+)\}", lambda m: m[1], select)
-    return spark.sql(text, **{n: spark.read.parquet(f"{sf_dir}/{n}.parquet") for n in names})
+    return spark.sql(text, **{n: spread(spark.read.parquet(f"{sf_dir}/{n}.parquet")) for n in names})
+
+
+def spread(df: DataFrame, least_bytes: int = 1 << 20) -> DataFrame:
+    """A scan that is one or few splits (a file of one row group can't be split) but no small table is dealt out to all cores; a scan of many splits stays as it is."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    plan = df._jdf.queryExecution()
+    small = int(plan.optimizedPlan().stats().sizeInBytes()) < least_bytes
+    return df if small or plan.toRdd().getNumPartitions() * 2 > cores else df.repartition(cores)
 
 
 def plain_sql(select: str) -> str:

@@ -6,9 +6,13 @@ from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..storage import materialise, scratch_path
+from ..operators import counts
+from ..operators.ranking import support_order, top
+from ..operators.selectors import Mined, as_sets, recut, with_totals
+from ..storage import materialise, release, scratch_path
 
 EVENT_SCHEMA = "event_id long, user_id long, ts timestamp, event_type string, value double, props string"
 
@@ -90,38 +94,56 @@ def run_to_end(result: DataFrame, label: str, mode: str = "complete") -> DataFra
 
 
 class RunningRules:
-    """Counts of items and pairs added up batch by batch; rules are re-ranked from the merged counts. The items are fixed by the first batch."""
+    """Counts of items, classes and pairs added up batch by batch; rules are re-ranked from the merged counts.
+
+    All items and classes are counted, and the pairs of the items that are frequent so far. The columns at hand of each batch are kept in the shared folder: when an item
+    becomes frequent later, its pairs are counted anew over what came before, so the rules are those of all batches mined at once.
+    """
 
     def __init__(self, features: list[str], label: str, d_freq: int, d_conf: int):
-        self.features, self.label, self.d_freq, self.d_conf = features, label, d_freq, d_conf
-        self.items: list | None = None
+        self.features, self.label, self.d_freq, self.d_conf = list(features), label, d_freq, d_conf
+        self.counted: set[tuple[int, str]] = set()
         self.singles: DataFrame | None = None
         self.pairs: DataFrame | None = None
-
-    def absorb(self, batch: DataFrame, number: int = 0) -> None:
-        from ..operators import counts
-        from ..operators.ranking import support_order, top
-        from ..operators.selectors import as_sets
-
-        single = counts.singles(batch, self.features, self.label)
-        if self.items is None:
-            first = top(as_sets(single), support_order(), F.lit(self.d_freq), ("y",))
-            self.items = [(r[0], r[1]) for r in first.select("f1", "v1").distinct().collect()]
-        pair = counts.pairs(batch, self.features, self.label, self.items, plan="explode")
-        merge = lambda old, new, keys: materialise((new if old is None else old.unionByName(new)).groupBy(*keys).agg(F.sum("supp").alias("supp")), "running")
-        self.singles = merge(self.singles, single, ["f", "v", "y"])
-        self.pairs = merge(self.pairs, pair, ["f1", "v1", "f2", "v2", "y"])
+        self.folder: str | None = None
+        self.batches = 0
+
+    def _merged(self, old: DataFrame | None, new: DataFrame, keys: list[str]) -> DataFrame:
+        both = materialise((new if old is None else old.unionByName(new)).groupBy(*keys).agg(F.sum("supp").alias("supp")), "running")
+        if old is not None:
+            release(old)
+        return both
+
+    def _labels(self) -> DataFrame:
+        every = W.partitionBy()  # a row a class
+        return self.singles.where("f = 0").select("y", F.col("supp").alias("supp_y"), F.sum("supp").over(every).alias("n"), F.count(F.lit(1)).over(every).alias("n_classes"))
+
+    def _cut(self, sets: DataFrame) -> DataFrame:
+        share = self._labels().select("y", F.greatest(F.floor(F.lit(self.d_freq) / F.col("n_classes")).cast("int"), F.lit(1)).alias("budget"))
+        return top(sets.join(share, "y"), support_order(), F.col("budget"), ("y",)).drop("budget")
+
+    def absorb(self, batch: DataFrame, number: int | None = None) -> None:
+        """One batch (`number` is what foreachBatch gives; batches come in order, each once)."""
+        spark = batch.sparkSession
+        self.folder = self.folder or scratch_path(spark, "batches")
+        own = materialise(batch.select(*self.features, self.label), "batch", path=f"{self.folder}/batch={self.batches}")
+        self.batches += 1
+        keys = ["f1", "v1", "f2", "v2", "y"]
+        self.singles = self._merged(self.singles, counts.singles(own, self.features, self.label, with_label=True), ["f", "v", "y"])
+        if self.counted:
+            self.pairs = self._merged(self.pairs, counts.pairs(own, self.features, self.label, sorted(self.counted)), keys)
+        frequent = {(r[0], r[1]) for r in self._cut(as_sets(self.singles.where("f > 0"))).select("f1", "v1").distinct().collect()}  # a budget's number
+        if new := frequent - self.counted:
+            items = sorted(self.counted | frequent)
+            fresh = F.array(*[F.struct(F.lit(f).alias("f"), F.lit(v).alias("v")) for f, v in sorted(new)])
+            whole = counts.pairs(spark.read.parquet(self.folder).drop("batch"), self.features, self.label, items)
+            late = whole.where(F.array_contains(fresh, F.struct(F.col("f1").alias("f"), F.col("v1").alias("v"))) | F.array_contains(fresh, F.struct(F.col("f2").alias("f"), F.col("v2").alias("v"))))
+            self.pairs = self._merged(self.pairs, late, keys)
+            self.counted |= new
 
     def rules(self) -> DataFrame:
-        from pyspark.sql import Window as W
-
-        from ..operators.selectors import Mined, as_sets, recut, with_totals
-        from ..operators.ranking import support_order, top
-
-        singles = as_sets(self.singles)
-        everything = singles.unionByName(self.pairs.select(F.lit(2).alias("size"), "f1", "v1", "f2", "v2", "y", "supp"))
-        per = self.singles.where("f = 1").groupBy("y").agg(F.sum("supp").alias("supp_y"))  # feature 1 has a value in every record
-        labels = per.withColumns({"n": F.sum("supp_y").over(W.partitionBy()), "n_classes": F.count(F.lit(1)).over(W.partitionBy())})
-        share = labels.select("y", F.greatest(F.floor(F.lit(self.d_freq) / F.col("n_classes")).cast("int"), F.lit(1)).alias("budget"))
-        sets = top(everything.join(F.broadcast(share), "y"), support_order(), F.col("budget"), ("y",)).drop("budget")
-        return recut(Mined(with_totals(sets, everything, labels)), self.d_conf).rules
+        singles = as_sets(self.singles.where("f > 0"))
+        named = self.pairs.select(F.lit(2).alias("size"), "f1", "v1", "f2", "v2", "y", "supp")
+        wanted = named.join(counts.candidates(self._cut(singles)), ["f1", "v1", "f2", "v2", "y"], "left_semi").select(*named.columns)
+        sets = self._cut(singles.unionByName(wanted))
+        return recut(Mined(with_totals(sets, singles.unionByName(named), self._labels())), self.d_conf).rules

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+import random
 import time
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
+from itertools import combinations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .ml import attach, baselines, evaluate, learners, tuning
+from .ml import attach, baselines, evaluate, learners, small, tuning
 from .operators import binning, features as feature_ops, params, sampling, selectors
 from .plans import complexity
 from .sources import frames, generators
@@ -49,7 +52,7 @@ def frequency_estimates(spark: SparkSession, sf_dir: str, sizes=(100, 500, 1000,
     return spark.createDataFrame(out, "n_prime int, mean_error double, max_error double, recovered double, bound double")
 
 
-def run_times(spark: SparkSession, sf_dir: str, sizes=(100, 500, 1000, 2000, 5000), widths=(10, 25, 50, 100), repeats: int = 3) -> DataFrame:
+def run_times(spark: SparkSession, sf_dir: str, sizes=(100, 500, 1000, 2000, 5000), widths=(10, 25, 50, 100), repeats: int = 2) -> DataFrame:
     """(axis, value, seconds, items): time of one selector run against the sample size at ten features, and against the number of features at 5000 draws."""
     out = []
 
@@ -88,121 +91,202 @@ def planted_rule_frequency(spark: SparkSession, sf_dir: str, p: int = 99, consta
     return out
 
 
+def planted_prediction(spark: SparkSession, sf_dir: str, p: int = 99, constant: bool = False, trials: int | None = None, literal: bool = False, learners_=("logistic", "perceptron")) -> DataFrame:
+    """(method, learner, metric, mean, deviation, std_error, runs): prediction from the generated features alone, and from the original ones; trained on one block, tested on the next.
+
+    All blocks are mined by one run for each kind of budget, and all learners of all blocks are one job: a block's rows (a sixtieth of the table) go to one task for each method.
+    """
+    xs = _xs(p)
+    df = generators.planted_rules(spark, 1000, p, trials or 100, constant) if literal else frames.frame(spark, sf_dir, frames.planted(p, constant, used=trials))
+    pair = F.floor(F.col("trial") / 2).cast("int")
+    df = materialise(df.withColumn("block", pair).withColumn("part", F.when(F.col("trial") % 2 == 0, "train").otherwise("test")).withColumn("label", F.col("y").cast("int")), "trials")
+    mined = {c: selectors.mine(df.where("part = 'train'"), "y", xs, 45, c, by=("block",)) for c in (True, False)}
+    chosen = None
+    for name, cut in METHODS.items():
+        one = cut(mined).features.select(F.lit(name).alias("method"), "block", "feature_id", "f1", "v1", "f2", "v2")
+        chosen = one if chosen is None else chosen.unionByName(one)
+    made = small.features_by_block(df, xs, materialise(chosen, "features"), "block", "part", "label")
+    original = df.select(F.lit("original").alias("method"), "block", "part", "label", F.array(*[F.col(x).cast("double") for x in xs]).alias("features"))
+    return evaluate.summarise(small.score_blocks(made.unionByName(original), ["method", "block"], 3, learners_), ["method", "learner", "metric"], "value")
+
+
+def in_parallel(tasks: list[Callable], threads: int = 4) -> list:
+    """Results of independent drivers of small jobs, in order."""
+    with ThreadPoolExecutor(threads) as pool:
+        return [f.result() for f in [pool.submit(t) for t in tasks]]
+
+
 def _fit_scores(train: DataFrame, test: DataFrame, fit: Callable, auc: bool | None = None) -> dict[str, float]:
     return learners.scores(fit(train).transform(test), auc)
 
 
-def planted_prediction(spark: SparkSession, sf_dir: str, p: int = 99, constant: bool = False, trials: int = 5, perceptron: bool = False) -> DataFrame:
-    """(method, learner, metric, mean, std_error, runs): prediction from the generated features alone, and from the original ones; train on one block, test on the next."""
-    xs = _xs(p)
-    df = materialise(frames.frame(spark, sf_dir, frames.planted(p, constant, used=2 * trials)).withColumn("label", F.col("y").cast("double")), "trials")
-    out = []
-    for t in range(trials):
-        train, test = df.where(F.col("trial") == 2 * t), df.where(F.col("trial") == 2 * t + 1)
-        mined = {c: selectors.mine(train, "y", xs, 45, c) for c in (True, False)}
-        known = {c: ["0", "1"] for c in xs}
-        for name in ("original", *METHODS):
-            rows = [] if name == "original" else sorted(METHODS[name](mined).features.collect(), key=lambda r: r["feature_id"])
-            mode = "original" if name == "original" else "rules"
-            a, b = (materialise(attach.assemble(d, mode, rows, xs, (), known).select("label", "features"), "assembled") for d in (train, test))
-            n = a.count()
-            fits = {"logistic": learners.logistic(n).fit} | ({"perceptron": learners.EarlyStoppingPerceptron().fit} if perceptron else {})
-            for learner, fit in fits.items():
-                out += [(name, learner, metric, t, float(v)) for metric, v in _fit_scores(a, b, fit).items()]
-    rows = spark.createDataFrame(out, "method string, learner string, metric string, trial int, score double")
-    return evaluate.summarise(rows, ["method", "learner", "metric"])
-
-
-def furnace_tuning(spark: SparkSession, sf_dir: str, wide: bool = False, ks=(0, 2, 3, 4, 6), d_confs=(0, 10, 25, 40), d_freq: int = 150, criterion: str = "log_loss") -> dict[str, DataFrame]:
-    """Time-ordered events: class distribution, the scored and smoothed grid over intervals and rules, and the refit's scores and confusion on the last part."""
-    lags, user_lags, windows = (40, 20, (5, 10, 20, 40)) if wide else (10, 5, (5, 20))
-    select, columns = frames.series(lags, user_lags, windows), frames.series_features(lags, user_lags, windows)
-    codes = F.when(F.col("y") == "low", 0.0).when(F.col("y") == "proper", 1.0).otherwise(2.0)
-    df = materialise(frames.frame(spark, sf_dir, select).withColumn("label", codes), "series")
-    train, valid, test = (df.where(F.col("split") == s) for s in ("train", "validation", "test"))
-    fit = lambda d: learners.logistic(d.count()).fit(d)
-    grid = tuning.grid(train, valid, ks, d_confs, d_freq, "y", [], columns, fit, criterion)
-    smoothed = materialise(tuning.smooth(grid), "grid")
-    best = tuning.best(smoothed, criterion == "log_loss")
-    got, predicted = tuning.refit(train, valid, test, best["k"], best["d_conf"], d_freq, "y", [], columns, fit)
-    base, _ = tuning.refit(train, valid, test, 0, 0, d_freq, "y", [], columns, fit)
-    rows = [("original", 0, 0, m, float(v)) for m, v in base.items()] + [("mixed", best["k"], best["d_conf"], m, float(v)) for m, v in got.items()]
-    return {"distribution": evaluate.class_distribution(df, "y", "split"), "grid": smoothed, "scores": spark.createDataFrame(rows, "method string, k int, d_conf int, metric string, value double"), "confusion": evaluate.confusion(predicted, "label", "prediction")}
+CLASS_CODES = {"low": 0.0, "proper": 1.0, "high": 2.0}
+
+
+def furnace_parts(spark: SparkSession, sf_dir: str, wide: bool = False) -> tuple[list[DataFrame], list[str]]:
+    """(train, validation, test) of the time-ordered events with a numeric label, and their features: 27, or 86 if wide."""
+    shape = frames.BROAD if wide else frames.NARROW
+    label = F.element_at(F.create_map(*[F.lit(x) for kv in CLASS_CODES.items() for x in kv]), F.col("y"))
+    df = materialise(frames.series(spark, sf_dir, *shape).withColumn("label", label), "series")
+    return [df.where(F.col("split") == s) for s in ("train", "validation", "test")], frames.series_features(*shape)
+
+
+def logistic_fit(d: DataFrame):
+    return learners.logistic(d.count()).fit(d)
+
+
+def perceptron_fit(d: DataFrame):
+    return learners.EarlyStoppingPerceptron(bursts=3).fit(d)
+
+
+def furnace_grid(spark: SparkSession, sf_dir: str, wide: bool = False, ks=(0, *range(2, 11)), d_confs=(0, 5, 10, 15, 20, 25, 30, 35, 40), d_freq: int = 150, criterion: str = "log_loss", fit: Callable = logistic_fit) -> DataFrame:
+    """(k, d_conf, criterion, score, smoothed) on the validation part: every number of intervals with every number of rules."""
+    (train, valid, _), columns = furnace_parts(spark, sf_dir, wide)
+    return materialise(tuning.smooth(tuning.grid(train, valid, ks, d_confs, d_freq, "y", [], columns, fit, criterion, threads=6)), "grid")
+
+
+def furnace_refit(spark: SparkSession, sf_dir: str, best: dict[str, tuple[int, int]], wide: bool = False, d_freq: int = 150) -> tuple[DataFrame, DataFrame]:
+    """Scores (method, learner, k, d_conf, metric, value) and confusion (learner, k, d_conf, truth, prediction, n) on the test part, of the chosen (k, d_conf) of each learner and of the original features."""
+    (train, valid, test), columns = furnace_parts(spark, sf_dir, wide)
+    rows, counted = [], None
+    for learner, fit in (("logistic", logistic_fit), ("perceptron", perceptron_fit)):
+        for method, (k, d_conf) in (("original", (0, 0)), ("mixed", best[learner])):
+            got, predicted = tuning.refit(train, valid, test, k, d_conf, d_freq, "y", [], columns, fit)
+            rows += [(method, learner, k, d_conf, m, float(v)) for m, v in got.items()]
+            one = evaluate.confusion(predicted, "label", "prediction").select(F.lit(learner).alias("learner"), F.lit(k).alias("k"), F.lit(d_conf).alias("d_conf"), "truth", "prediction", "n")
+            counted = one if counted is None else counted.unionByName(one)
+    return spark.createDataFrame(rows, "method string, learner string, k int, d_conf int, metric string, value double"), counted
 
 
 #: Mixed classification sets by name: frame, key, categorical and continuous features, number of classes.
 PUBLIC_LIKE = {
     "star": (frames.STAR, "l_orderkey", frames.STAR_CATEGORICAL, frames.STAR_CONTINUOUS, 2),
-    "texts_quality": (f"SELECT t.*, quality AS y FROM ({frames.TEXTS}) t", "doc_id", frames.TEXT_CATEGORICAL, frames.TEXT_CONTINUOUS, 2),
-    "texts_toxic": (f"SELECT t.*, toxic AS y FROM ({frames.TEXTS}) t", "doc_id", frames.TEXT_CATEGORICAL, frames.TEXT_CONTINUOUS, 2),
+    "orders": (frames.ORDERS, "o_orderkey", frames.ORDER_CATEGORICAL, frames.ORDER_CONTINUOUS, 2),
+    "texts": (f"SELECT t.*, quality AS y FROM ({frames.TEXTS}) t", "doc_id", frames.TEXT_CATEGORICAL, frames.TEXT_CONTINUOUS, 2),
     "parts": (frames.PARTS, "p_partkey", frames.PARTS_FEATURES, [], 4),
 }
+ENCODINGS = ("original", "label_plus_rules", "onehot", "onehot_plus_interactions")
+
 
+def _encoded(a: DataFrame, c: DataFrame, k: int, categorical, continuous, budgets, model, modes):
+    """For each mode the assembled (train, test), with cuts and rules from the training part."""
+    (a, columns), (c, _) = tuning.prepared(a, model, categorical, continuous, k), tuning.prepared(c, model, categorical, continuous, k)
+    rows = sorted(selectors.select_nonredundant(a, "y", columns, budgets.d_freq, budgets.d_conf).features.collect(), key=lambda r: r["feature_id"])
+    known = attach.codes(a, columns)
+    return {m: tuple(materialise(attach.assemble(d, m, rows, columns, continuous, known).select("label", "features"), "assembled") for d in (a, c)) for m in modes}
 
-def encodings_by_cross_validation(spark: SparkSession, sf_dir: str, name: str = "parts", folds: int = 5, k: int = 4, perceptron: bool = False) -> DataFrame:
-    """(method, learner, metric, mean, std_error, runs): label codes and one-hot slots, each with and without what the rules add."""
+
+def encodings_by_cross_validation(spark: SparkSession, sf_dir: str, name: str = "parts", folds: int = 5, ks=tuple(range(2, 11)), learners_=("logistic", "perceptron")) -> DataFrame:
+    """(method, learner, metric, mean, deviation, std_error, runs, k): label codes and one-hot slots, each with and without what the rules add.
+
+    The number of intervals is the one of least log-loss of label codes with rules, learnt without the first two folds and scored on the second; the first is not looked at.
+    """
     select, key, categorical, continuous, n_classes = PUBLIC_LIKE[name]
     df = frames.frame(spark, sf_dir, select)
-    df = materialise(df.withColumn("label", F.col("y").cast("double")).withColumn("fold", F.pmod(F.col(key), F.lit(folds))), "cv")
+    df = materialise(df.select(*categorical, *continuous, "y", F.col("y").cast("double").alias("label"), F.pmod(F.xxhash64(key), F.lit(folds)).alias("fold")), "cv")
     b = params.suggest(len(categorical) + len(continuous), n_classes)
-    out = []
-    for fold in range(folds):
+    k = 0
+    if continuous:
+        a, c = df.where("fold > 1"), df.where("fold = 1")
+        model = binning.EntropyBinner(max(ks), 20, continuous, "y").fit(a)
+
+        def loss(k: int) -> float:
+            x, z = _encoded(a, c, k, categorical, continuous, b, model, ("label_plus_rules",))["label_plus_rules"]
+            return _fit_scores(x, z, logistic_fit)["log_loss"]
+
+        k = min(zip(in_parallel([lambda k=k: loss(k) for k in ks]), ks))[1]
+
+    def run(fold: int) -> list[tuple]:
         train, test = df.where(F.col("fold") != fold), df.where(F.col("fold") == fold)
-        model = binning.EntropyBinner(k, 20, continuous, "y").fit(train)
-        a, c = (model.transform(d) if continuous else d for d in (train, test))
-        columns = [*categorical, *(f"{x}_bin" for x in continuous)]
-        rows = sorted(selectors.select_nonredundant(a, "y", columns, b.d_freq, b.d_conf).features.collect(), key=lambda r: r["feature_id"])
-        known = attach.codes(a, columns)
-        for mode in ("original", "label_plus_rules", "onehot", "onehot_plus_interactions"):
-            x, z = (materialise(attach.assemble(d, mode, rows, columns, continuous, known).select("label", "features"), "assembled") for d in (a, c))
-            fits = {"logistic": learners.logistic(x.count()).fit} | ({"perceptron": learners.EarlyStoppingPerceptron(bursts=4).fit} if perceptron else {})
-            for learner, fit in fits.items():
+        model = binning.EntropyBinner(max(k, 2), 20, continuous, "y").fit(train)
+        out = []
+        for mode, (x, z) in _encoded(train, test, k, categorical, continuous, b, model, ENCODINGS).items():
+            for learner in learners_:
+                fit = logistic_fit if learner == "logistic" else perceptron_fit
                 out += [(mode, learner, metric, fold, float(v)) for metric, v in _fit_scores(x, z, fit, n_classes == 2).items()]
-    rows = spark.createDataFrame(out, "method string, learner string, metric string, fold int, score double")
-    return evaluate.summarise(rows, ["method", "learner", "metric"])
+        return out
+
+    rows = [r for fold in in_parallel([lambda f=f: run(f) for f in range(folds)]) for r in fold]
+    scored = spark.createDataFrame(rows, "method string, learner string, metric string, fold int, score double")
+    return evaluate.summarise(scored, ["method", "learner", "metric"]).withColumn("k", F.lit(k))
+
 
+CELLS = 15
 
-def regression_comparison(spark: SparkSession, sf_dir: str, splits: int = 3, d_freq: int = 2500, d_conf: int = 1225, k: int = 5) -> DataFrame:
-    """(method, mean, std_error, runs): squared error over random two-thirds splits, of the base, the interaction baselines, and products found by rules."""
+
+def regression_comparison(spark: SparkSession, sf_dir: str, splits: int = 3, d_freq: int = 2500, d_conf: int = 1225, k: int = 5, seed: int = 1, forest_trees: int = 50) -> DataFrame:
+    """(method, mean, deviation, std_error, runs, terms): squared error over random two-thirds splits, of the base, the interaction baselines, and products found by rules.
+
+    Customers fall into fifteen cells by a hash; a split trains on ten of them, and penalties are chosen over folds of those, all from matrices of products.
+    """
     columns = frames.CUSTOMER_FEATURES
-    df = materialise(frames.frame(spark, sf_dir, frames.CUSTOMERS), "customers")
-    out = []
+    df = baselines.standardised(frames.frame(spark, sf_dir, CUSTOMERS_WITHOUT_NULLS), columns).withColumn("cell", F.pmod(F.xxhash64("c_custkey"), F.lit(CELLS)).cast("int"))
+    df = materialise(df, "customers")
+    design = baselines.Design(df, columns, "response", "cell", CELLS)
+    draw, tasks = random.Random(seed), []
     for s in range(splits):
-        part = F.pmod(F.xxhash64("c_custkey", F.lit(s)), F.lit(3))
-        marked = baselines.standardised(df.withColumn("part", part), columns)
-        train, test = materialise(marked.where("part < 2"), "train"), materialise(marked.where("part = 2"), "test")
-        methods = {"base": baselines.main_lasso, "iterated_lasso": baselines.iterated_lasso, "screened_lasso": baselines.screened_lasso, "backtracking": baselines.backtracking, "hierarchical_lasso": baselines.hierarchical_lasso, "reluctant_two_stage": baselines.reluctant_two_stage}
-        for name, method in methods.items():
-            model, pairs = method(train, columns, "response")
-            out.append((name, s, float(model.transform(baselines.design(test, columns, pairs, "response")).agg(evaluate.mse("label", "prediction")).first()[0])))
-        labelled = binning.quantile_classes(train, "response", 5, "c_custkey").withColumn("y", F.col("y").cast("string"))
-        binned = binning.EntropyBinner(k, 20, columns, "y").fit(labelled).transform(labelled)
-        found = selectors.select_nonredundant(binned, "y", [f"{c}_bin" for c in columns], d_freq, d_conf)
-        pairs = sorted((r["f1"], r["f2"]) for r in feature_ops.product_pairs(found.features).collect())
-        model = learners.lasso().fit(baselines.design(train, columns, pairs, "response"))
-        out.append(("rule_products", s, float(model.transform(baselines.design(test, columns, pairs, "response")).agg(evaluate.mse("label", "prediction")).first()[0])))
-        forest = learners.forest("regression").fit(baselines.design(train, columns, [], "response"))
-        out.append(("forest", s, float(forest.transform(baselines.design(test, columns, [], "response")).agg(evaluate.mse("label", "prediction")).first()[0])))
-    rows = spark.createDataFrame(out, "method string, split int, score double")
-    return evaluate.summarise(rows, ["method"])
+        cells = draw.sample(range(CELLS), CELLS * 2 // 3)
+        rest = [c for c in range(CELLS) if c not in cells]
+        part = materialise(df.where(F.col("cell").isin(cells)), "train")
+
+        def products(part=part) -> list[tuple[int, int]]:
+            labelled = materialise(binning.quantile_classes(part, "response", 5, "c_custkey").withColumn("y", F.col("y").cast("string")), "quintiles")
+            binned = binning.EntropyBinner(k, 20, columns, "y").fit(labelled).transform(labelled)
+            found = selectors.select_nonredundant(binned, "y", [f"{c}_bin" for c in columns], d_freq, d_conf)
+            return sorted((r["f1"], r["f2"]) for r in feature_ops.product_pairs(found.features).collect())
+
+        def forest(part=part, rest=rest) -> tuple[float, int]:
+            model = learners.forest("regression", forest_trees).fit(baselines.design(part, columns, [], "response"))
+            test = baselines.design(df.where(F.col("cell").isin(rest)), columns, [], "response")
+            return float(model.transform(test).agg(evaluate.mse("label", "prediction")).first()[0]), len(columns)
+
+        methods = {
+            "base": lambda cells=cells, rest=rest: baselines.main_effects(design, cells, rest), "iterated_lasso": lambda cells=cells, rest=rest: baselines.iterated(design, cells, rest),
+            "screened_lasso": lambda cells=cells, rest=rest, part=part: baselines.screened(design, cells, rest, part), "backtracking": lambda cells=cells, rest=rest: baselines.backtracked(design, cells, rest),
+            "hierarchical_lasso": lambda cells=cells, rest=rest, part=part: baselines.hierarchical(design, cells, rest, part), "reluctant_two_stage": lambda cells=cells, rest=rest, part=part: baselines.reluctant(design, cells, rest, part),
+            "regression_splines": lambda cells=cells, rest=rest, part=part: baselines.splines(design, cells, rest, part), "rule_products": lambda cells=cells, rest=rest: baselines.with_pairs(design, cells, rest, products()), "forest": forest,
+        }
+        tasks += [lambda name=name, s=s, m=m: (name, s, *m()) for name, m in methods.items()]
+    rows = spark.createDataFrame([(n, s, float(e), int(t)) for n, s, e, t in in_parallel(tasks)], "method string, split int, score double, terms int")
+    return evaluate.summarise(rows, ["method"]).join(rows.groupBy("method").agg(F.avg("terms").alias("terms")), "method")
+
+
+CUSTOMERS_WITHOUT_NULLS = f"SELECT * FROM ({frames.CUSTOMERS}) c WHERE response IS NOT NULL"
 
 
 def vector_classification(spark: SparkSession, sf_dir: str, dims: int = 64, splits: int = 2, d_freq: int = 2500, d_conf: int = 1225, k: int = 5) -> DataFrame:
-    """(method, mean, std_error, runs): misclassification of nine balanced classes from vectors, with and without product features of rules."""
+    """(method, mean, deviation, std_error, runs): misclassification of nine balanced classes from vectors, by the base, iterated fits, backtracking, a forest, and with all products of rules."""
     select, columns = frames.vectors(dims, signs=False)
-    df = materialise(frames.frame(spark, sf_dir, select), "vectors")
-    out = []
-    for s in range(splits):
+    df = materialise(frames.frame(spark, sf_dir, select).withColumn("c", F.col("y").cast("double")), "vectors")
+
+    def run(s: int) -> list[tuple]:
         part = F.pmod(F.xxhash64("vec_id", F.lit(s)), F.lit(3))
         train, test = df.where(part < 2), df.where(part == 2)
         binned = binning.EntropyBinner(k, 20, columns, "y").fit(train).transform(train)
         found = selectors.select_nonredundant(binned, "y", [f"{c}_bin" for c in columns], d_freq, d_conf)
-        pairs = sorted((r["f1"], r["f2"]) for r in feature_ops.product_pairs(found.features).limit(300).collect())
-        for name, used in (("base", []), ("rule_products", pairs)):
-            a, b = (materialise(baselines.design(d.withColumn("c", F.col("y").cast("double")), columns, used, "c").select("features", "label"), "design") for d in (train, test))
-            model = learners.logistic(a.count(), l1=False).fit(a)
+        pairs = sorted((r["f1"], r["f2"]) for r in feature_ops.product_pairs(found.features).collect())
+        out, made = [], {}
+
+        def fitted(name: str, used: list, fitter=None):
+            a, b = (materialise(baselines.design(d, columns, used, "c").select("features", "label"), "design") for d in (train, test))
+            model = (fitter or learners.logistic(a.count(), l1=False)).fit(a)
             out.append((name, s, float(model.transform(b).agg(evaluate.error_rate("label", "prediction")).first()[0])))
-    rows = spark.createDataFrame(out, "method string, split int, score double")
+            made[name] = model
+
+        fitted("base", [])
+        strong = baselines.strongest(made["base"], len(columns), 20)
+        fitted("iterated", list(combinations(sorted(strong), 2)))
+        step = baselines.strongest(made["base"], len(columns), 8)
+        fitted("backtracking", list(combinations(sorted(step), 2)))
+        for more in (14, 20):  # each step lets the products of further strong features in
+            step = sorted(set(step) | set(baselines.strongest(made["backtracking"], len(columns), more)))
+            out.pop()
+            fitted("backtracking", list(combinations(step, 2)))
+        fitted("rule_products", pairs)
+        fitted("forest", [], learners.forest())
+        return out
+
+    rows = spark.createDataFrame([r for one in in_parallel([lambda s=s: run(s) for s in range(splits)], 2) for r in one], "method string, split int, score double")
     return evaluate.summarise(rows, ["method"])
 
 
@@ -210,5 +294,4 @@ def step_costs(spark: SparkSession, sf_dir: str, p: int = 20, d_freq: int = 45,
     return complexity.observe(frames.frame(spark, sf_dir, frames.planted(p)), "y", _xs(p), d_freq, d_conf)
 
 
-WORKLOADS = {f.__name__: f for f in (frequency_estimates, run_times, planted_rule_frequency, planted_prediction, furnace_tuning, encodings_by_cross_validation, regression_comparison, vector_classification, step_costs)}
-
+WORKLOADS = {f.__name__: f for f in (frequency_estimates, run_times, planted_rule_frequency, planted_prediction, furnace_grid, furnace_refit, encodings_by_cross_validation, regression_comparison, vector_classification, step_costs)}
