@@ -285,7 +285,7 @@ def _planted_sql(constant: bool) -> str:
 
 def _planted(spark, sf, constant: bool) -> DataFrame:
     df, xs = materialise(frames.frame(spark, sf, frames.planted(PLANTED_P, constant)), "planted"), [f"x{i}" for i in range(1, PLANTED_P + 1)]
-    runs = {True: selectors.mine(df, "y", xs, 45, True, by=("trial",)), False: selectors.mine(df, "y", xs, 45, False, by=("trial",))}
+    runs = selectors.mine_both(df, "y", xs, 45, by=("trial",))
     out = None
     for name, per_class, score, redundancy, margin in METHODS:
         rules = selectors.recut(runs[per_class], 5, score, redundancy, margin).rules

@@ -9,13 +9,14 @@ from __future__ import annotations
 import math
 import warnings
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.measures import EPS, with_measures
-from ..storage import materialise
+from ..storage import materialise, release
 from . import counts, features as feature_ops, rules as rule_ops
 from .ranking import join_on, support_order, top
 
@@ -48,7 +49,9 @@ def class_and_item_counts(df: DataFrame, features, label: str, by=(), weight: st
     per = both.where("f = 0").select(*by, "y", F.col("supp").alias("supp_y"))
     every = W.partitionBy(*by)
     labels = per.withColumns({"n": F.sum("supp_y").over(every), "n_classes": F.count(F.lit(1)).over(every)})
-    return labels, both.where("f > 0")
+    items = both.where("f > 0")
+    items._scratch_path = both._scratch_path
+    return labels, items
 
 
 def _budgets(labels: DataFrame, d_freq: int, class_budget, by) -> DataFrame:
@@ -63,34 +66,45 @@ def _budgets(labels: DataFrame, d_freq: int, class_budget, by) -> DataFrame:
     return labels.select(*by, "y", F.greatest(b.cast("int"), F.lit(1)).alias("budget"))
 
 
-def mine(df: DataFrame, label: str, features, d_freq: int, per_class: bool, by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", class_budget="even", plan: str = "auto", min_count: int = 0) -> Mined:
-    """The d_freq most frequent (antecedent, class) sets of one or two items, over all classes or a share for each; sets of fewer than min_count records are left out.
+def mine(df: DataFrame, label: str, features, d_freq: int, per_class: bool, **settings) -> Mined:
+    """The d_freq most frequent (antecedent, class) sets of one or two items, over all classes or a share for each: mine_both() for one of the two."""
+    return mine_both(df, label, features, d_freq, (per_class,), **settings)[per_class]
 
-    A pair is a candidate if both its items are kept with the same class; it is counted for every class in the one pass, so that confidences
+
+def mine_both(df: DataFrame, label: str, features, d_freq: int, kinds=(False, True), by: tuple[str, ...] = (), weight: str | None = None, null_policy: str = "skip", class_budget="even", plan: str = "auto", min_count: int = 0) -> dict[bool, Mined]:
+    """Frequent sets by kind of budget: True for a share of d_freq for each class, False for one budget over all; sets of fewer than min_count records are left out.
+
+    Two scans of the data, whether one kind is wanted or both. A pair is a candidate if both its items are kept with the same class; it is counted for every class in the one pass, so that confidences
     need no other. An item's supersets are never more frequent, so these are the top sets among all singles and pairs.
     """
     features = list(features)
     only = df.select(*dict.fromkeys([*by, label, *features, *([weight] if weight else [])]))
     labels, single_counts = class_and_item_counts(only, features, label, by, weight, null_policy)
-    singles = as_sets(single_counts, by).where(F.col("supp") >= min_count)
-    if per_class:
-        budgets = _budgets(labels, d_freq, class_budget, by)
-        cut = lambda rows: top(join_on(rows, budgets, [*by, "y"]), support_order(), F.col("budget"), (*by, "y")).drop("budget")
-    else:
-        cut = lambda rows: top(rows, support_order(), d_freq, tuple(by))
-    first = materialise(cut(singles), "top-singles")
     every_single = as_sets(single_counts, by)
-    if first.isEmpty():
-        n_items, sets, everything = 0, cut(singles), every_single
-    else:
-        counted, n_items = counts.pairs_of(only, features, label, first, by, weight, null_policy, plan)
+    singles = every_single.where(F.col("supp") >= min_count)
+
+    def cut(rows: DataFrame, per_class: bool) -> DataFrame:
+        if per_class:
+            return top(join_on(rows, _budgets(labels, d_freq, class_budget, by), [*by, "y"]), support_order(), F.col("budget"), (*by, "y")).drop("budget")
+        return top(rows, support_order(), d_freq, tuple(by))
+
+    first = {kind: materialise(cut(singles, kind), "top-singles") for kind in kinds}
+    kept = reduce(DataFrame.unionByName, [f.select(*by, "f1", "v1") for f in first.values()]).distinct()
+    done, n_items, pair_counts = {}, 0, None
+    if not kept.isEmpty():
+        counted, n_items = counts.pairs_of(only, features, label, kept, by, weight, null_policy, plan)
         pair_counts = materialise(counted, "pairs")
-        named = pair_counts.select(*by, F.lit(2).alias("size"), *ANTECEDENT, "y", "supp")
-        wanted = join_on(named.where(F.col("supp") >= min_count), counts.candidates(first, by), [*by, *ANTECEDENT, "y"], "left_semi")
-        sets = cut(singles.unionByName(wanted))
-        everything = every_single.unionByName(named)
-    done = materialise(with_totals(sets, everything, labels, by).select(*by, "size", *ANTECEDENT, "y", "supp", "rank", "supp_x", "supp_y", "n"), "frequent-sets")
-    return Mined(done, tuple(by), {"items": n_items})
+    for kind in kinds:
+        sets, everything = singles, every_single
+        if pair_counts is not None:
+            named = pair_counts.select(*by, F.lit(2).alias("size"), *ANTECEDENT, "y", "supp")
+            wanted = join_on(named.where(F.col("supp") >= min_count), counts.candidates(first[kind], by), [*by, *ANTECEDENT, "y"], "left_semi")
+            sets, everything = singles.unionByName(wanted), every_single.unionByName(named)
+        scored = with_totals(cut(sets, kind), everything, labels, by).select(*by, "size", *ANTECEDENT, "y", "supp", "rank", "supp_x", "supp_y", "n")
+        done[kind] = Mined(materialise(scored, "frequent-sets"), tuple(by), {"items": n_items})
+    for table in (single_counts, *first.values(), *([pair_counts] if pair_counts is not None else [])):
+        release(table)
+    return done
 
 
 @dataclass

@@ -83,7 +83,7 @@ def planted_rule_frequency(spark: SparkSession, sf_dir: str, p: int = 99, consta
     """
     df = generators.planted_rules(spark, 1000, p, trials or 100, constant) if literal else frames.frame(spark, sf_dir, frames.planted(p, constant, used=trials))
     df = materialise(df, "trials")
-    mined = {c: selectors.mine(df, "y", _xs(p), 45, c, by=("trial",)) for c in (True, False)}
+    mined = selectors.mine_both(df, "y", _xs(p), 45, by=("trial",))
     n, out = df.select("trial").distinct().count(), None
     for name, cut in METHODS.items():
         one = evaluate.rule_frequency(cut(mined).rules).select(F.lit(name).alias("method"), "f1", "v1", "f2", "v2", "y", "occurrences", F.lit(n).alias("trials"))
@@ -100,7 +100,7 @@ def planted_prediction(spark: SparkSession, sf_dir: str, p: int = 99, constant:
     df = generators.planted_rules(spark, 1000, p, trials or 100, constant) if literal else frames.frame(spark, sf_dir, frames.planted(p, constant, used=trials))
     pair = F.floor(F.col("trial") / 2).cast("int")
     df = materialise(df.withColumn("block", pair).withColumn("part", F.when(F.col("trial") % 2 == 0, "train").otherwise("test")).withColumn("label", F.col("y").cast("int")), "trials")
-    mined = {c: selectors.mine(df.where("part = 'train'"), "y", xs, 45, c, by=("block",)) for c in (True, False)}
+    mined = selectors.mine_both(df.where("part = 'train'"), "y", xs, 45, by=("block",))
     chosen = None
     for name, cut in METHODS.items():
         one = cut(mined).features.select(F.lit(name).alias("method"), "block", "feature_id", "f1", "v1", "f2", "v2")
