@@ -24,7 +24,7 @@ from .marks import marked
 
 SLOTS, KICKS = 4, 500
 #: Repeated keys of a shard at most (on average), and lines that one partition looks up in a copy of its filter.
-SHARD_KEYS, SHARD_LINES = 1 << 15, 1 << 20
+SHARD_KEYS, SHARD_LINES = 1 << 15, 1 << 18
 
 
 class CuckooFilter:
@@ -173,7 +173,7 @@ class LineIndex:
     def __init__(self, spark: SparkSession, folder: str | None = None, least: int = 20, threshold: int = 3, shard_keys: int = SHARD_KEYS, shard_lines: int = SHARD_LINES):
         self.spark, self.folder = spark, folder or scratch_path(spark, "lines")
         self.least, self.threshold, self.shard_keys, self.shard_lines = least, threshold, shard_keys, shard_lines
-        self.rounds, self.deletions, self.shards = 0, False, 0
+        self.rounds, self.deletions, self.shards, self.lines = 0, False, 0, 0
         self.repeated: DataFrame | None = None  # (h1, h2, n, top_id) of the keys at the threshold or beyond
         self.filters: DataFrame | None = None  # (shard, filter)
         ship_package(spark)
@@ -191,6 +191,7 @@ class LineIndex:
         with settings(self.spark, SMALL_BATCHES):
             moved.write.option("compression", "zstd").parquet(f"{self.folder}/log/round={self.rounds}")
         self.rounds += 1
+        self.lines = self.spark.read.parquet(*(f"{self.folder}/log/round={i}" for i in range(self.rounds))).count()  # from the files' footers
         self._refresh()
         return self
 
@@ -242,8 +243,9 @@ class LineIndex:
     def maybe(self, references: DataFrame) -> DataFrame:
         """Of references(h1, h2, doc_id) those that the filters let through."""
         id_type = dict(references.dtypes)["doc_id"]
-        # repeated keys alone can make a shard large; the others are spread evenly over the shards
-        loads = self.repeated.groupBy(self._shard().alias("shard")).agg(F.ceil(F.sum("n") / self.shard_lines).cast("int").alias("salts"))
+        # lines of a shard: those of its repeated keys, which may be many, and its even share of all
+        share = self.lines / self.shards
+        loads = self.repeated.groupBy(self._shard().alias("shard")).agg(F.ceil((F.sum("n") + share) / self.shard_lines).cast("int").alias("salts"))
         heads = self.filters.join(loads, "shard").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
         none = F.lit(None)
         rows = references.withColumn("shard", self._shard()).join(loads.where("salts > 1"), "shard", "left")
