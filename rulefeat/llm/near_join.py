@@ -1,9 +1,10 @@
-"""Near copies of texts: all pairs whose sets of five-word shingles have a Jaccard similarity of `LEAST` or more, whole and exact.
+"""Near copies of texts: groups by chains of pairs whose sets of five-word shingles have a Jaccard similarity of `LEAST` or more, whole and exact.
 
-A pair that similar shares `SHARED` shingles (or all that it must share, if those are fewer) among the first floor(n / 5) + `SHARED` of each of its two sets in any one order of all shingles; the order here puts those that a
-fixed table of counts shows as common last, so that groups by a shared shingle stay small. Pairs are asked for in two rounds. The first takes the pairs that the SimHash tree finds
-and links each member of a group to the group's least; what is confirmed is put together. The second takes the pairs of a group whose
-members aren't together yet. So a large group of near copies is linked to its least member and not pair by pair. Every pair is confirmed on the words of its two texts.
+Two sets that similar must have 4/9 of the sum of their sizes in common; so in any one order of all shingles they share one among the first ones of both, as many as may be missing and one more. The order here puts
+shingles that a fixed table of counts shows as common last, so that groups by a shared shingle stay small. Pairs are asked for in two rounds. The first takes the pairs that the SimHash tree finds,
+and links each member of a group to the group's most typical one, the set with the commonest shingles: of copies of a text with edits that is the text itself, as edits bring rare
+shingles in. What is confirmed is put together. The second takes the pairs of a group whose members aren't together yet; a copy too far from the typical one has so many rare shingles that they fill its first ones, and
+only copies with the same edits meet it. So a large group of near copies is linked to one member and not pair by pair. Every pair is confirmed on the words of its two texts.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import ROWS_PER_BATCH, SMALL_BATCHES, materialise, settings, ship_package, trim_memory
@@ -23,8 +24,7 @@ from .simhash import choose_tree, fingerprint, keep_least, near_pairs
 WIDTH = 5
 #: Least similarity, as a fraction.
 LEAST = (4, 5)
-#: Shingles that a pair must share among the first ones before its texts are looked at.
-SHARED = 4
+#: The order's table hangs on the cost only: with more shingles than it can tell apart the groups become larger, and the pairs the same.
 #: Slots of the table of counts and bits of the table of asked texts; of fixed size whatever the data.
 SLOT_BITS, BLOCK, ASKED_BITS = 20, 1 << 16, 24
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -91,7 +91,7 @@ def _levels(texts: DataFrame) -> bytes:
 
 
 def _marked(texts: DataFrame, id_type: str) -> DataFrame:
-    """doc_id, key (of the text), node (of the set of shingles), fp, n (size of the set), first (its first shingles in the common order)."""
+    """doc_id, key (of the text), node (of the set of shingles), fp, n (size of the set), typical (how common its shingles are), first (its first shingles in the common order)."""
     levels = texts.sparkSession.sparkContext.broadcast(_levels(texts))
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -99,26 +99,28 @@ def _marked(texts: DataFrame, id_type: str) -> DataFrame:
 
         level, cache = np.frombuffer(levels.value, np.uint8), {}
         for batch in batches:
-            nodes, prints, sizes, firsts = [], [], [], []
+            nodes, prints, sizes, typical, firsts = [], [], [], [], []
             for t in batch.column(2):
                 text = t.as_py()
                 h = hashed(text, cache)
-                order = np.lexsort((h, level[(h >> np.uint64(64 - SLOT_BITS)).astype(np.int64)]))
+                common = level[(h >> np.uint64(64 - SLOT_BITS)).astype(np.int64)]
+                order = np.lexsort((h, common))
+                typical.append(float(common.mean()) if len(h) else 0.0)
                 nodes.append(int(np.uint64(xxhash.xxh64_intdigest(h.tobytes())).view(np.int64)))
                 prints.append(fingerprint(text, WIDTH))
                 sizes.append(len(h))
-                firsts.append(h[order[: len(h) // LEAST[1] + SHARED]].view(np.int64))
+                firsts.append(h[order[: len(h) // LEAST[1] + 1]].view(np.int64))
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(prints, pa.int64()), pa.array(sizes, pa.int32()), pa.array(firsts, pa.list_(pa.int64()))],
-                ["doc_id", "key", "node", "fp", "n", "first"],
+                [batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(prints, pa.int64()), pa.array(sizes, pa.int32()), pa.array(typical, pa.float64()), pa.array(firsts, pa.list_(pa.int64()))],
+                ["doc_id", "key", "node", "fp", "n", "typical", "first"],
             )
         trim_memory()
 
-    return materialise(texts.select("doc_id", "key", "text").mapInArrow(mark, f"doc_id {id_type}, key long, node long, fp long, n int, first array<long>"), "marked")
+    return materialise(texts.select("doc_id", "key", "text").mapInArrow(mark, f"doc_id {id_type}, key long, node long, fp long, n int, typical double, first array<long>"), "marked")
 
 
 def _shared(marked: DataFrame) -> DataFrame:
-    """(shingle, pos, node, n) of the first shingles that two nodes or more have."""
+    """(shingle, pos, node, n, typical) of the first shingles that two nodes or more have."""
 
     def several(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [b for b in batches if b.num_rows]
@@ -134,9 +136,9 @@ def _shared(marked: DataFrame) -> DataFrame:
             yield from rows.take(pa.array(order[stay])).combine_chunks().to_batches(max_chunksize=10_000)
         trim_memory()
 
-    rows = marked.select("node", "n", F.posexplode("first").alias("pos", "shingle")).select("shingle", "pos", "node", "n").repartition("shingle")
+    rows = marked.select("node", "n", "typical", F.posexplode("first").alias("pos", "shingle")).select("shingle", "pos", "node", "n", "typical").repartition("shingle")
     with settings(marked.sparkSession, {ROWS_PER_BATCH: "20000"}):  # narrow rows
-        return materialise(rows.mapInArrow(several, "shingle long, pos int, node long, n int"), "shared")
+        return materialise(rows.mapInArrow(several, "shingle long, pos int, node long, n int, typical double"), "shared")
 
 
 def _confirmed(texts: DataFrame, marked: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -172,13 +174,13 @@ def _confirmed(texts: DataFrame, marked: DataFrame, pairs: DataFrame) -> DataFra
     return materialise(pairs.join(left, "u").join(right, "v").where(are_alike("a", "b")).select("u", "v"), "alike")
 
 
-def _promising(rows: DataFrame) -> DataFrame:
-    """(u, v) of rows(u, v, n_u, n_v, pos_u, pos_v), one for each first shingle that two nodes share, where sizes, number and places of those let them be alike."""
-    most, both = F.greatest("n_u", "n_v"), F.col("n_u") + F.col("n_v")
-    must = F.least(F.lit(SHARED), F.ceil(most * LEAST[0] / LEAST[1]))
-    held = rows.where(F.least("n_u", "n_v") * LEAST[1] >= most * LEAST[0]).groupBy("u", "v", "n_u", "n_v").agg(F.count(F.lit(1)).alias("shared"), F.min("pos_u").alias("pos_u"), F.min("pos_v").alias("pos_v"))
-    left = F.least(F.col("n_u") - F.col("pos_u"), F.col("n_v") - F.col("pos_v"))  # what can be common from the first shared one on
-    return held.where((F.col("shared") >= must) & (left * sum(LEAST) >= both * LEAST[0])).select("u", "v")
+def _may_be_alike() -> Column:
+    """For a shingle that u and v share at places pos_u and pos_v of theirs: whether it is among as many first ones as the two may lack, and one more, and what can be common before and after is enough."""
+    both, whole = F.col("n_u") + F.col("n_v"), sum(LEAST)
+    must = F.ceil(both * LEAST[0] / whole)
+    near = (F.col("pos_u") <= F.col("n_u") - must) & (F.col("pos_v") <= F.col("n_v") - must)
+    room = F.least("pos_u", "pos_v") + F.least(F.col("n_u") - F.col("pos_u"), F.col("n_v") - F.col("pos_v"))
+    return near & (room >= must) & (F.least("n_u", "n_v") * LEAST[1] >= F.greatest("n_u", "n_v") * LEAST[0])
 
 
 def alike_pairs(docs: DataFrame, text_col: str, id_col: str) -> tuple[DataFrame, DataFrame]:
@@ -194,8 +196,8 @@ def alike_pairs(docs: DataFrame, text_col: str, id_col: str) -> tuple[DataFrame,
     ends = tree.join(prints.select(F.col("fp").alias("u"), F.col("node").alias("a")), "u").join(prints.select(F.col("fp").alias("v"), F.col("node").alias("b")), "v").select("a", "b")
     one_print = marked.select(F.col("fp").alias("fp"), F.col("node").alias("a")).join(prints.select("fp", F.col("node").alias("b")), "fp").select("a", "b")
     side = lambda df, s: df.select("shingle", F.col("node").alias(s), *[F.col(c).alias(f"{c}_{s}") for c in df.columns if c in ("pos", "n", "root")])
-    least = shared.groupBy("shingle").agg(F.min(F.struct("node", "pos", "n")).alias("l")).select("shingle", "l.*")
-    star = _promising(side(least, "u").join(side(shared, "v"), "shingle").where("u <> v"))
+    centre = shared.groupBy("shingle").agg(F.min(F.struct((-F.col("typical")).alias("rare"), "node", "pos", "n")).alias("c")).select("shingle", "c.node", "c.pos", "c.n")
+    star = side(centre, "u").join(side(shared, "v"), "shingle").where((F.col("u") != F.col("v")) & _may_be_alike()).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
     asked = ends.unionByName(one_print).where("a <> b").select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).unionByName(star).distinct()
     first = materialise(asked, "pairs")
     links = _confirmed(texts, marked, first)
@@ -204,8 +206,8 @@ def alike_pairs(docs: DataFrame, text_col: str, id_col: str) -> tuple[DataFrame,
     rooted = materialise(shared.join(roots, shared.node == roots.node, "left").select("shingle", "pos", shared.node, "n", F.coalesce("root", shared.node).alias("root")), "rooted")
     apart = rooted.groupBy("shingle").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("shingle")
     open_ = rooted.join(apart, "shingle")
-    rest = side(open_, "u").join(side(open_, "v"), "shingle").where("u < v AND root_u <> root_v").where(F.least("n_u", "n_v") * LEAST[1] >= F.greatest("n_u", "n_v") * LEAST[0])
-    second = materialise(_promising(rest).join(first, ["u", "v"], "left_anti"), "pairs")
+    rest = side(open_, "u").join(side(open_, "v"), "shingle").where((F.col("u") < F.col("v")) & (F.col("root_u") != F.col("root_v")) & _may_be_alike())
+    second = materialise(rest.select("u", "v").distinct().join(first, ["u", "v"], "left_anti"), "pairs")
     return marked, links.unionByName(_confirmed(texts, marked, second))
 
 
