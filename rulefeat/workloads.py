@@ -146,14 +146,14 @@ def furnace_grid(spark: SparkSession, sf_dir: str, wide: bool = False, ks=(0, *r
 
 
 def furnace_refit(spark: SparkSession, sf_dir: str, best: dict[str, tuple[int, int]], wide: bool = False, d_freq: int = 150) -> tuple[DataFrame, DataFrame]:
-    """Scores (method, learner, k, d_conf, metric, value) and confusion (learner, k, d_conf, truth, prediction, n) on the test part, of the chosen (k, d_conf) of each learner and of the original features."""
+    """Scores (method, learner, k, d_conf, metric, value) and confusion (method, learner, k, d_conf, truth, prediction, n) on the test part, of the chosen (k, d_conf) of each learner and of the original features."""
     (train, valid, test), columns = furnace_parts(spark, sf_dir, wide)
     rows, counted = [], None
     for learner, fit in (("logistic", logistic_fit), ("perceptron", perceptron_fit)):
         for method, (k, d_conf) in (("original", (0, 0)), ("mixed", best[learner])):
             got, predicted = tuning.refit(train, valid, test, k, d_conf, d_freq, "y", [], columns, fit)
             rows += [(method, learner, k, d_conf, m, float(v)) for m, v in got.items()]
-            one = evaluate.confusion(predicted, "label", "prediction").select(F.lit(learner).alias("learner"), F.lit(k).alias("k"), F.lit(d_conf).alias("d_conf"), "truth", "prediction", "n")
+            one = evaluate.confusion(predicted, "label", "prediction").select(F.lit(method).alias("method"), F.lit(learner).alias("learner"), F.lit(k).alias("k"), F.lit(d_conf).alias("d_conf"), "truth", "prediction", "n")
             counted = one if counted is None else counted.unionByName(one)
     return spark.createDataFrame(rows, "method string, learner string, k int, d_conf int, metric string, value double"), counted
 

@@ -110,9 +110,72 @@ def test_pair_plans_agree(spark, plan):
     assert {(shape(r), r["y"]): r["supp"] for r in brute_df}.items() <= got.items()
 
 
-def test_plan_choice():
-    assert pair_plans.choose_plan(15, 10) == "bits" and pair_plans.choose_plan(500, 10) == "explode" and pair_plans.choose_plan(500, 100) == "gram"
-    assert pair_plans.choose_plan(500, 100, weighted=True) == "explode"
+def test_plan_choice_at_its_borders(spark):
+    assert pair_plans.choose_plan(20, 10) == "bits" and pair_plans.choose_plan(21, 10) == "gram" and pair_plans.choose_plan(21, pair_plans.DENSE) == "explode"
+    assert pair_plans.choose_plan(pair_plans.GRAM_ITEMS, 100) == "gram" and pair_plans.choose_plan(pair_plans.GRAM_ITEMS + 1, 100) == "explode"
+
+
+@pytest.mark.parametrize("literal,held", [(20_000, 1 << 23), (5, 1 << 23), (6, 40)])
+def test_plans_agree_in_groups_with_weights_and_missing_groups(spark, monkeypatch, literal, held):
+    monkeypatch.setattr(pair_plans, "LITERAL_ITEMS", literal)
+    monkeypatch.setattr(pair_plans, "HELD", held)
+    data = [(None if i % 5 == 0 else i % 3, "ab"[i % 2], "pqr"[i % 3], "uv"[i * i % 7 % 2], str(i % 2), 1 + i % 4) for i in range(60)]
+    df = spark.createDataFrame(data, "g int, x1 string, x2 string, x3 string, y string, w long")
+    kept = spark.createDataFrame([(g, f, v) for g in (None, 0, 1) for f, v in ((1, "a"), (2, "p"), (2, "q"), (3, "u"), (1, "b"))] + [(2, 1, "a"), (2, 3, "v")], "g int, f1 int, v1 string")
+    want = {}
+    for g, *xs, y, w in data:
+        held_ = [(i, x) for i, x in enumerate(xs, 1) if (i, x) in ({(1, "a"), (3, "v")} if g == 2 else {(1, "a"), (2, "p"), (2, "q"), (3, "u"), (1, "b")})]
+        for i, a in enumerate(held_):
+            for b in held_[i + 1 :]:
+                want[g, a, b, y] = want.get((g, a, b, y), 0) + w
+    for plan in ("auto", "explode", "gram", "join"):
+        got, n = counts.pairs_of(df, COLUMNS, "y", kept, ("g",), "w", plan=plan)
+        assert {(r["g"], (r["f1"], r["v1"]), (r["f2"], r["v2"]), r["y"]): r["supp"] for r in got.collect()} == want and n == 6
+
+
+def test_groups_without_a_name_are_mined_too(spark):
+    df = spark.createDataFrame([(None, "a", "p", "0")] * 4 + [(None, "b", "p", "1")] * 3 + [(1, "a", "q", "1")] * 5 + [(1, "b", "q", "0")], "g int, x1 string, x2 string, y string")
+    both = selectors.mine_both(df, "y", ["x1", "x2"], 8, by=("g",))
+    for per_class in (False, True):
+        alone = selectors.mine(df.where("g IS NULL"), "y", ["x1", "x2"], 8, per_class).sets
+        key = lambda d: sorted((shape(r), r["y"], r["supp"], r["supp_x"], r["supp_y"], r["n"]) for r in d.collect())
+        assert key(both[per_class].sets.where("g IS NULL")) == key(alone)
+        assert selectors.recut(both[per_class], 3).rules.where("g IS NULL").count() == min(3, alone.count())
+
+
+def test_many_frequent_items_stay_a_table(spark, monkeypatch):
+    df = frames.frame(spark, "/root/testdata/sf0.001", frames.PARTS)
+    want = selectors.select_by_threshold(df, "y", frames.PARTS_FEATURES, 0.02, 0.3).rules.collect()
+    monkeypatch.setattr(pair_plans, "LITERAL_ITEMS", 3)
+    got = selectors.select_by_threshold(df, "y", frames.PARTS_FEATURES, 0.02, 0.3).rules.collect()
+    assert sorted(map(str, got)) == sorted(map(str, want)) and any(r["size"] == 2 for r in got)
+
+
+def test_floors(micro):
+    every = selectors.select_nonredundant(micro, "y", COLUMNS, 100, 100).rules.collect()
+    floored = selectors.select_nonredundant(micro, "y", COLUMNS, 100, 100, min_count=3, min_score=1.0).rules.collect()
+    assert floored and all(r["supp"] >= 3 and r["rconf"] >= 1.0 for r in floored) and len(floored) < len(every)
+
+
+def test_vote_takes_the_first_rule_that_fits(spark):
+    chosen = spark.createDataFrame([(1, 1, "a", None, None, "0", 5, 0.6), (2, 1, "a", 2, "p", "1", 3, 0.9)], "size int, f1 int, v1 string, f2 int, v2 string, y string, supp long, conf double")
+    records = spark.createDataFrame([(1, "a", "p"), (2, "a", None), (3, None, "p")], "k int, x1 string, x2 string")
+    assert [tuple(r) for r in rules.vote(records, chosen, ["x1", "x2"], "z", "k").orderBy("key").collect()] == [(1, "1", 0.9), (2, "0", 0.6), (3, "z", None)]
+    assert {r["prediction"] for r in rules.vote(records, chosen.limit(0), ["x1", "x2"], "z", "k").collect()} == {"z"}
+
+
+def test_scratch_needs_a_shared_folder_off_one_machine():
+    from rulefeat import storage
+
+    class Conf:
+        def get(self, *a):
+            return None
+
+    class Session:
+        conf, sparkContext = Conf(), type("C", (), {"master": "spark://host:7077"})()
+
+    with pytest.raises(RuntimeError, match="checkpoint"):
+        storage.scratch_root(Session())
 
 
 def test_budget_equals_threshold_between_supports(spark):
