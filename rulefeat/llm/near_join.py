@@ -4,7 +4,9 @@ Two sets that similar must have 4/9 of the sum of their sizes in common; so in a
 shingles that a fixed table of counts shows as common last, so that groups by a shared shingle stay small. Pairs are asked for in two rounds. The first takes the pairs that the SimHash tree finds,
 and links each member of a group to the group's most typical one, the set with the commonest shingles: of copies of a text with edits that is the text itself, as edits bring rare
 shingles in. What is confirmed is put together. The second takes the pairs of a group whose members aren't together yet; a copy too far from the typical one has so many rare shingles that they fill its first ones, and
-only copies with the same edits meet it. So a large group of near copies is linked to one member and not pair by pair. Every pair is confirmed on the words of its two texts.
+only copies with the same edits meet it. So a large group of near copies is linked to one member and not pair by pair. Where a shingle still holds more than `GROUP` texts apart, the texts of such groups are
+ordered anew by a table of their own shingles only, which tells rare from common more finely, until none is so large or an order no longer helps; a pair that is alike is in a small group of some order, or meets in the last one.
+Every pair is confirmed on the words of its two texts.
 """
 
 from __future__ import annotations
@@ -27,6 +29,8 @@ LEAST = (4, 5)
 #: The order's table hangs on the cost only: with more shingles than it can tell apart the groups become larger, and the pairs the same.
 #: Slots of the table of counts and bits of the table of asked texts; of fixed size whatever the data.
 SLOT_BITS, BLOCK, ASKED_BITS = 20, 1 << 16, 24
+#: Texts that share a shingle up to which all their pairs are looked at; larger groups are ordered anew first.
+GROUP = 16
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -70,7 +74,7 @@ def hashed(text: str | None, cache: dict[bytes, int]) -> np.ndarray:
 
 
 def _levels(texts: DataFrame) -> bytes:
-    """For each slot of the hash's first bits, the power of two of its count of shingles."""
+    """For each slot of the hash's first bits, eight times the power of two of its count of shingles."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n, cache = np.zeros(1 << SLOT_BITS, np.int64), {}
@@ -83,7 +87,7 @@ def _levels(texts: DataFrame) -> bytes:
 
     def total(rows: pa.Table) -> pa.Table:
         n = sum(np.frombuffer(c.as_py(), "<u4").astype(np.int64) for c in rows.column("counts"))
-        return pa.table({"block": pa.array([rows.column("block")[0].as_py()], pa.int32()), "levels": pa.array([np.log2(1 + n).astype(np.uint8).tobytes()], pa.binary())})
+        return pa.table({"block": pa.array([rows.column("block")[0].as_py()], pa.int32()), "levels": pa.array([np.minimum(255, 8 * np.log2(1 + n)).astype(np.uint8).tobytes()], pa.binary())})
 
     rows = texts.select("text").mapInArrow(count, "block int, counts binary").groupBy("block").applyInArrow(total, "block int, levels binary").collect()
     held = {r["block"]: bytes(r["levels"]) for r in rows}
@@ -141,28 +145,32 @@ def _shared(marked: DataFrame) -> DataFrame:
         return materialise(rows.mapInArrow(several, "shingle long, pos int, node long, n int, typical double"), "shared")
 
 
-def _confirmed(texts: DataFrame, marked: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Of pairs(u, v) of nodes, those whose texts are alike."""
-    spark = texts.sparkSession
-    ends = pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct()
-    asked = materialise(marked.select("node", "key").join(ends, "node").groupBy("node").agg(F.min("key").alias("key")), "asked")
+def _texts_of(texts: DataFrame, marked: DataFrame, nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(asked(node, key), the rows of texts whose key may be asked for) of nodes(node). A chance hit takes a row along for nothing, no more."""
+    asked = materialise(marked.select("node", "key").join(nodes, "node").groupBy("node").agg(F.min("key").alias("key")), "asked")
     place = F.col("key").bitwiseAND(F.lit((1 << ASKED_BITS) - 1)) + 1  # Spark's bitmaps count from 1
     words = asked.select(place.alias("p")).groupBy(F.bitmap_bucket_number("p").alias("word")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("bits"))
     table = np.zeros((1 << ASKED_BITS) // 8, np.uint8)
     for row in words.collect():  # at most 2^24 / 32768 rows of 4 KiB
         bits = np.frombuffer(row["bits"], np.uint8)
         table[(row["word"] - 1) * 4096 :][: len(bits)] |= bits
-    bits = spark.sparkContext.broadcast(table.tobytes())
+    bits = texts.sparkSession.sparkContext.broadcast(table.tobytes())
 
     def perhaps(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = np.frombuffer(bits.value, np.uint8)
         for batch in batches:
-            at = batch.column(0).to_numpy() & ((1 << ASKED_BITS) - 1)
+            at = batch.column(1).to_numpy() & ((1 << ASKED_BITS) - 1)
             yield batch.filter(pa.array((held[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)))
         trim_memory()
 
-    hits = texts.select("key", "text").mapInArrow(perhaps, "key long, text string")  # a chance hit moves a text for nothing, no more
-    found = materialise(hits.join(asked, "key").groupBy("node").agg(F.any_value("text").alias("text")), "asked-texts")
+    return asked, texts.select("doc_id", "key", "text").mapInArrow(perhaps, texts.select("doc_id", "key", "text").schema)
+
+
+def _confirmed(texts: DataFrame, marked: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Of pairs(u, v) of nodes, those whose texts are alike."""
+    ends = pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct()
+    asked, hits = _texts_of(texts, marked, ends)
+    found = materialise(hits.select("key", "text").join(asked, "key").groupBy("node").agg(F.any_value("text").alias("text")), "asked-texts")
 
     @F.pandas_udf("boolean")
     def are_alike(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
@@ -203,14 +211,29 @@ def alike_pairs(docs: DataFrame, text_col: str, id_col: str) -> tuple[DataFrame,
     links = _confirmed(texts, marked, first)
 
     roots = connected(links)
-    rooted = materialise(shared.join(roots, shared.node == roots.node, "left").select("shingle", "pos", shared.node, "n", F.coalesce("root", shared.node).alias("root")), "rooted")
-    apart = rooted.groupBy("shingle").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("shingle")
-    open_ = rooted.join(apart, "shingle")
-    rest = side(open_, "u").join(side(open_, "v"), "shingle").where((F.col("u") < F.col("v")) & (F.col("root_u") != F.col("root_v")) & _may_be_alike())
-    second = materialise(rest.select("u", "v").distinct().join(first, ["u", "v"], "left_anti"), "pairs")
+    root_of = lambda df: df.join(roots, df.node == roots.node, "left").select("shingle", "pos", df.node, "n", F.coalesce("root", df.node).alias("root"))
+    second = materialise(_pairs_apart(texts, marked, materialise(root_of(shared), "rooted"), root_of, side).join(first, ["u", "v"], "left_anti"), "pairs")
     return marked, links.unionByName(_confirmed(texts, marked, second))
 
 
+def _pairs_apart(texts: DataFrame, marked: DataFrame, entries: DataFrame, root_of, side, group: int | None = None) -> DataFrame:
+    """(u, v), each once, of all nodes of different roots that share a first shingle and may be alike, of entries(shingle, pos, node, n, root); hot groups are ordered anew."""
+    found, before, kind = None, float("inf"), dict(texts.dtypes)["doc_id"]
+    while True:
+        groups = entries.groupBy("shingle").agg(F.count(F.lit(1)).alias("many"), F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("shingle", "many")
+        open_ = materialise(entries.join(groups, "shingle"), "open")
+        nodes = materialise(open_.where(F.col("many") > (group or GROUP)).select("node").distinct(), "hot")
+        hot = nodes.count()
+        last = not hot or hot > 0.9 * before
+        chosen = (open_ if last else open_.where(F.col("many") <= (group or GROUP))).drop("many")
+        pairs = side(chosen, "u").join(side(chosen, "v"), "shingle").where((F.col("u") < F.col("v")) & (F.col("root_u") != F.col("root_v")) & _may_be_alike()).select("u", "v").distinct()
+        found = pairs if found is None else found.unionByName(pairs)
+        if last:
+            return found.distinct()
+        own = _marked(_texts_of(texts, marked, nodes)[1], kind).join(nodes, "node", "left_semi")
+        before, entries = hot, materialise(root_of(_shared(own)), "rooted")
+
+
 def near_groups(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """One row per input row: doc_id, component_id (the smallest id that chains of similar pairs reach), and as longs fp (a hash of the text) and root.
 

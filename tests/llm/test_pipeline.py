@@ -66,9 +66,14 @@ def slow_groups(texts, width=5):
     return group
 
 
-def test_edited_copies_leave_one_as_by_brute_force(spark):
+@pytest.mark.parametrize("group", [16, 2])
+def test_edited_copies_leave_one_as_by_brute_force(spark, monkeypatch, group):
     import random
 
+    from rulefeat.llm import near_join
+
+    monkeypatch.setattr(near_join, "GROUP", group)
+
     draw, texts = random.Random(8), []
     for size in [3, 5, 8, 30, 60, 100, 200, 400] * 3:
         base = [f"w{draw.randrange(3000)}" for _ in range(size)] + ["a", "line", "that", "many", "texts", "have", "at", "their", "end"]
