@@ -60,8 +60,8 @@ def onehot_plus_interactions_long(df: DataFrame, features: DataFrame, columns, k
     return df.select(*keys, F.explode(F.array_compact(F.array(*hot, *rules))).alias("slot"))
 
 
-def assemble(df: DataFrame, mode: str, features: list, categorical, continuous=(), known=None, target: str = "label") -> DataFrame:
-    """df with a vector column `features`, by mode:
+def assemble(df: DataFrame, mode: str, features: list, categorical, continuous=(), known=None, as_array: bool = False) -> DataFrame:
+    """df with a vector column `features` (or an array, if asked; generated features are its last places), by mode:
 
     original: label codes and numbers as they are; onehot: 0/1 slots and numbers; rules: generated features only; label_plus_rules; onehot_plus_interactions;
     binned_plus_rules: interval codes with all generated features; products: numbers and the products of the antecedents' feature pairs.
@@ -79,7 +79,8 @@ def assemble(df: DataFrame, mode: str, features: list, categorical, continuous=(
         "onehot_plus_interactions": lambda: hot + numbers + _ones(pairs, categorical),
         "binned_plus_rules": lambda: coded + _ones(features, categorical),
     }[mode]()
-    return df.withColumn("features", array_to_vector(F.array(*(chosen or [F.lit(0.0)]))))
+    values = F.array(*(chosen or [F.lit(0.0)]))
+    return df.withColumn("features", values if as_array else array_to_vector(values))
 
 
 def products(df: DataFrame, pairs: list[tuple[int, int]], continuous) -> DataFrame:

@@ -5,12 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable
 from concurrent.futures import ThreadPoolExecutor
 
+from pyspark.ml.functions import array_to_vector
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..operators.binning import EntropyBinner
 from ..operators.selectors import mine, recut
+from ..storage import materialise
 from .attach import assemble, codes
 from .learners import scores
 
@@ -22,11 +24,29 @@ def prepared(df: DataFrame, model, categorical, continuous, k: int) -> tuple[Dat
     return model.truncate(k).transform(df), [*categorical, *(f"{c}_bin" for c in continuous)]
 
 
+#: Rows that a partition of a learner's table should have at least: each of its many passes starts a task for every partition.
+ROWS = 50_000
+
+
+def compact(df: DataFrame, label: str = "assembled") -> DataFrame:
+    """df stored, and read again in few partitions where it is small."""
+    kept = materialise(df, label)
+    return kept.coalesce(max(1, kept.count() // ROWS))
+
+
+def antecedents(mined, d_conf: int) -> list[dict]:
+    """Distinct antecedents of the d_conf best rules in the order in which the ranking first has them, each with that place; those of fewer rules are the first of them."""
+    seen: dict[tuple, dict] = {}
+    for r in recut(mined, d_conf).rules.orderBy("rank").collect():  # a budget's number
+        seen.setdefault((r["f1"], r["v1"], r["f2"], r["v2"]), {"size": r["size"], "f1": r["f1"], "v1": r["v1"], "f2": r["f2"], "v2": r["v2"], "first": r["rank"]})
+    return list(seen.values())
+
+
 def grid(train: DataFrame, valid: DataFrame, ks, d_confs, d_freq: int, label: str, categorical, continuous, fit: Callable, criterion: str = "log_loss", parts: int = 20, mode: str = "binned_plus_rules", threads: int = 2) -> DataFrame:
-    """(k, d_conf, criterion, score): one binning fit for all k, one mining run for each k, one learner for each (k, d_conf).
+    """(k, d_conf, criterion, score): one binning fit for all k, one mining run and one stored table for each k, one learner for each (k, d_conf).
 
     train and valid have a numeric column `label` besides the string label that the miner uses; fit(train) gives a fitted classifier.
-    The rule lists of one k are cuts of one ranking. Fits of one k are independent jobs.
+    The rule lists of one k are cuts of one ranking, so a learner's columns are the first ones of the table. Fits of one k are independent jobs.
     """
     spark = train.sparkSession
     binner = EntropyBinner(max(ks), parts, list(continuous), label).fit(train)
@@ -34,17 +54,21 @@ def grid(train: DataFrame, valid: DataFrame, ks, d_confs, d_freq: int, label: st
     for k in ks:
         (a, columns), (b, _) = prepared(train, binner, categorical, continuous, k), prepared(valid, binner, categorical, continuous, k)
         known = codes(a, columns)
-        mined = mine(a, label, columns, d_freq, True) if columns and max(d_confs) else None
+        rows = antecedents(mine(a, label, columns, d_freq, True), max(d_confs)) if columns and max(d_confs) else []
+        how, shown = (mode, () if mode == "binned_plus_rules" else continuous) if k >= 2 else ("label_plus_rules", continuous)
+        x, z = (compact(assemble(d, how, rows, columns, shown, known, as_array=True).select("label", "features")) for d in (a, b))
+        first = z.select(F.size("features")).first() or x.select(F.size("features")).first()
+        base = (first[0] if first else 0) - len(rows)
+        taken = {d_conf: base + sum(r["first"] <= d_conf for r in rows) for d_conf in d_confs}
 
-        def one(d_conf: int, a=a, b=b, columns=columns, known=known, mined=mined, k=k):
-            rows = sorted(recut(mined, d_conf).features.collect(), key=lambda r: r["feature_id"]) if mined and d_conf else []
-            shown = () if mode == "binned_plus_rules" and k >= 2 else continuous
-            how = mode if k >= 2 else "label_plus_rules"
-            model = fit(assemble(a, how, rows, columns, shown, known))
-            return k, d_conf, criterion, float(scores(model.transform(assemble(b, how, rows, columns, shown, known)))[criterion])
+        def score(width: int, x=x, z=z) -> float:
+            cut = lambda d: d.select("label", array_to_vector(F.slice("features", 1, max(1, width))).alias("features"))
+            return float(scores(fit(cut(x)).transform(cut(z)))[criterion])
 
         with ThreadPoolExecutor(threads) as pool:
-            out += list(pool.map(one, d_confs))
+            widths = sorted(set(taken.values()))
+            got = dict(zip(widths, pool.map(score, widths)))
+        out += [(k, d_conf, criterion, got[taken[d_conf]]) for d_conf in d_confs]
     return spark.createDataFrame(out, "k int, d_conf int, criterion string, score double")
 
 
@@ -81,7 +105,8 @@ def refit(train: DataFrame, valid: DataFrame, test: DataFrame, k: int, d_conf: i
     known = codes(a, columns)
     rows = sorted(recut(mine(a, label, columns, d_freq, True), d_conf).features.collect(), key=lambda r: r["feature_id"]) if columns and d_conf else []
     how, shown = ("binned_plus_rules", ()) if k >= 2 else ("label_plus_rules", continuous)
-    predicted = fit(assemble(a, how, rows, columns, shown, known)).transform(assemble(b, how, rows, columns, shown, known))
+    x, z = (compact(assemble(d, how, rows, columns, shown, known).select("label", "features")) for d in (a, b))
+    predicted = fit(x).transform(z)
     return scores(predicted), predicted
 
 

@@ -173,7 +173,7 @@ def _encoded(a: DataFrame, c: DataFrame, k: int, categorical, continuous, budget
     (a, columns), (c, _) = tuning.prepared(a, model, categorical, continuous, k), tuning.prepared(c, model, categorical, continuous, k)
     rows = sorted(selectors.select_nonredundant(a, "y", columns, budgets.d_freq, budgets.d_conf).features.collect(), key=lambda r: r["feature_id"])
     known = attach.codes(a, columns)
-    return {m: tuple(materialise(attach.assemble(d, m, rows, columns, continuous, known).select("label", "features"), "assembled") for d in (a, c)) for m in modes}
+    return {m: tuple(tuning.compact(attach.assemble(d, m, rows, columns, continuous, known).select("label", "features")) for d in (a, c)) for m in modes}
 
 
 def encodings_by_cross_validation(spark: SparkSession, sf_dir: str, name: str = "parts", folds: int = 5, ks=tuple(range(2, 11)), learners_=("logistic", "perceptron")) -> DataFrame:
@@ -268,7 +268,7 @@ def vector_classification(spark: SparkSession, sf_dir: str, dims: int = 64, spli
         out, made = [], {}
 
         def fitted(name: str, used: list, fitter=None):
-            a, b = (materialise(baselines.design(d, columns, used, "c").select("features", "label"), "design") for d in (train, test))
+            a, b = (tuning.compact(baselines.design(d, columns, used, "c").select("features", "label"), "design") for d in (train, test))
             model = (fitter or learners.logistic(a.count(), l1=False)).fit(a)
             out.append((name, s, float(model.transform(b).agg(evaluate.error_rate("label", "prediction")).first()[0])))
             made[name] = model
