@@ -21,14 +21,15 @@ from pyspark.sql import functions as F
 
 from ..storage import ROWS_PER_BATCH, SMALL_BATCHES, materialise, settings, ship_package, trim_memory
 from .components import connected
+from .marks import marked
 from .simhash import choose_tree, fingerprint, keep_least, near_pairs
 
 WIDTH = 5
 #: Least similarity, as a fraction.
 LEAST = (4, 5)
 #: The order's table hangs on the cost only: with more shingles than it can tell apart the groups become larger, and the pairs the same.
-#: Slots of the table of counts and bits of the table of asked texts; of fixed size whatever the data.
-SLOT_BITS, BLOCK, ASKED_BITS = 20, 1 << 16, 24
+#: Slots of the table of counts; of fixed size whatever the data.
+SLOT_BITS, BLOCK = 20, 1 << 16
 #: Texts that share a shingle up to which all their pairs are looked at; larger groups are ordered anew first.
 GROUP = 16
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -123,7 +124,7 @@ def _marked(texts: DataFrame, id_type: str) -> DataFrame:
     return materialise(texts.select("doc_id", "key", "text").mapInArrow(mark, f"doc_id {id_type}, key long, node long, fp long, n int, typical double, first array<long>"), "marked")
 
 
-def _shared(marked: DataFrame) -> DataFrame:
+def _shared(named: DataFrame) -> DataFrame:
     """(shingle, pos, node, n, typical) of the first shingles that two nodes or more have."""
 
     def several(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -140,36 +141,21 @@ def _shared(marked: DataFrame) -> DataFrame:
             yield from rows.take(pa.array(order[stay])).combine_chunks().to_batches(max_chunksize=10_000)
         trim_memory()
 
-    rows = marked.select("node", "n", "typical", F.posexplode("first").alias("pos", "shingle")).select("shingle", "pos", "node", "n", "typical").repartition("shingle")
-    with settings(marked.sparkSession, {ROWS_PER_BATCH: "20000"}):  # narrow rows
+    rows = named.select("node", "n", "typical", F.posexplode("first").alias("pos", "shingle")).select("shingle", "pos", "node", "n", "typical").repartition("shingle")
+    with settings(named.sparkSession, {ROWS_PER_BATCH: "20000"}):  # narrow rows
         return materialise(rows.mapInArrow(several, "shingle long, pos int, node long, n int, typical double"), "shared")
 
 
-def _texts_of(texts: DataFrame, marked: DataFrame, nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
+def _texts_of(texts: DataFrame, named: DataFrame, nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(asked(node, key), the rows of texts whose key may be asked for) of nodes(node). A chance hit takes a row along for nothing, no more."""
-    asked = materialise(marked.select("node", "key").join(nodes, "node").groupBy("node").agg(F.min("key").alias("key")), "asked")
-    place = F.col("key").bitwiseAND(F.lit((1 << ASKED_BITS) - 1)) + 1  # Spark's bitmaps count from 1
-    words = asked.select(place.alias("p")).groupBy(F.bitmap_bucket_number("p").alias("word")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("bits"))
-    table = np.zeros((1 << ASKED_BITS) // 8, np.uint8)
-    for row in words.collect():  # at most 2^24 / 32768 rows of 4 KiB
-        bits = np.frombuffer(row["bits"], np.uint8)
-        table[(row["word"] - 1) * 4096 :][: len(bits)] |= bits
-    bits = texts.sparkSession.sparkContext.broadcast(table.tobytes())
-
-    def perhaps(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = np.frombuffer(bits.value, np.uint8)
-        for batch in batches:
-            at = batch.column(1).to_numpy() & ((1 << ASKED_BITS) - 1)
-            yield batch.filter(pa.array((held[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)))
-        trim_memory()
-
-    return asked, texts.select("doc_id", "key", "text").mapInArrow(perhaps, texts.select("doc_id", "key", "text").schema)
+    asked = materialise(named.select("node", "key").join(nodes, "node").groupBy("node").agg(F.min("key").alias("key")), "asked")
+    return asked, marked(texts, F.col("key"), asked, F.col("key")).where("__maybe").select("doc_id", "key", "text")
 
 
-def _confirmed(texts: DataFrame, marked: DataFrame, pairs: DataFrame) -> DataFrame:
+def _confirmed(texts: DataFrame, named: DataFrame, pairs: DataFrame) -> DataFrame:
     """Of pairs(u, v) of nodes, those whose texts are alike."""
     ends = pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct()
-    asked, hits = _texts_of(texts, marked, ends)
+    asked, hits = _texts_of(texts, named, ends)
     found = materialise(hits.select("key", "text").join(asked, "key").groupBy("node").agg(F.any_value("text").alias("text")), "asked-texts")
 
     @F.pandas_udf("boolean")
@@ -196,27 +182,27 @@ def alike_pairs(docs: DataFrame, text_col: str, id_col: str) -> tuple[DataFrame,
     ship_package(docs.sparkSession)
     text = F.col(text_col).cast("string")
     texts = docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text).alias("key"), text.alias("text"))
-    marked = _marked(texts, dict(texts.dtypes)["doc_id"])
-    shared = _shared(marked)
+    named = _marked(texts, dict(texts.dtypes)["doc_id"])
+    shared = _shared(named)
 
-    prints = materialise(marked.groupBy("fp").agg(F.min("node").alias("node")), "points")
+    prints = materialise(named.groupBy("fp").agg(F.min("node").alias("node")), "points")
     tree = near_pairs(prints.select("fp"), 2, *choose_tree(prints, 2))
     ends = tree.join(prints.select(F.col("fp").alias("u"), F.col("node").alias("a")), "u").join(prints.select(F.col("fp").alias("v"), F.col("node").alias("b")), "v").select("a", "b")
-    one_print = marked.select(F.col("fp").alias("fp"), F.col("node").alias("a")).join(prints.select("fp", F.col("node").alias("b")), "fp").select("a", "b")
+    one_print = named.select(F.col("fp").alias("fp"), F.col("node").alias("a")).join(prints.select("fp", F.col("node").alias("b")), "fp").select("a", "b")
     side = lambda df, s: df.select("shingle", F.col("node").alias(s), *[F.col(c).alias(f"{c}_{s}") for c in df.columns if c in ("pos", "n", "root")])
     centre = shared.groupBy("shingle").agg(F.min(F.struct((-F.col("typical")).alias("rare"), "node", "pos", "n")).alias("c")).select("shingle", "c.node", "c.pos", "c.n")
     star = side(centre, "u").join(side(shared, "v"), "shingle").where((F.col("u") != F.col("v")) & _may_be_alike()).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
     asked = ends.unionByName(one_print).where("a <> b").select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).unionByName(star).distinct()
     first = materialise(asked, "pairs")
-    links = _confirmed(texts, marked, first)
+    links = _confirmed(texts, named, first)
 
     roots = connected(links)
     root_of = lambda df: df.join(roots, df.node == roots.node, "left").select("shingle", "pos", df.node, "n", F.coalesce("root", df.node).alias("root"))
-    second = materialise(_pairs_apart(texts, marked, materialise(root_of(shared), "rooted"), root_of, side).join(first, ["u", "v"], "left_anti"), "pairs")
-    return marked, links.unionByName(_confirmed(texts, marked, second))
+    second = materialise(_pairs_apart(texts, named, materialise(root_of(shared), "rooted"), root_of, side).join(first, ["u", "v"], "left_anti"), "pairs")
+    return named, links.unionByName(_confirmed(texts, named, second))
 
 
-def _pairs_apart(texts: DataFrame, marked: DataFrame, entries: DataFrame, root_of, side, group: int | None = None) -> DataFrame:
+def _pairs_apart(texts: DataFrame, named: DataFrame, entries: DataFrame, root_of, side, group: int | None = None) -> DataFrame:
     """(u, v), each once, of all nodes of different roots that share a first shingle and may be alike, of entries(shingle, pos, node, n, root); hot groups are ordered anew."""
     found, before, kind = None, float("inf"), dict(texts.dtypes)["doc_id"]
     while True:
@@ -230,7 +216,7 @@ def _pairs_apart(texts: DataFrame, marked: DataFrame, entries: DataFrame, root_o
         found = pairs if found is None else found.unionByName(pairs)
         if last:
             return found.distinct()
-        own = _marked(_texts_of(texts, marked, nodes)[1], kind).join(nodes, "node", "left_semi")
+        own = _marked(_texts_of(texts, named, nodes)[1], kind).join(nodes, "node", "left_semi")
         before, entries = hot, materialise(root_of(_shared(own)), "rooted")
 
 
@@ -240,12 +226,12 @@ def near_groups(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id")
     Texts without words are alike. Null ids get a row and don't count as smallest.
     """
     with settings(docs.sparkSession, SMALL_BATCHES):
-        marked, links = alike_pairs(docs, text_col, id_col)
+        named, links = alike_pairs(docs, text_col, id_col)
         roots = connected(links)
-        rooted = marked.groupBy("node").agg(F.min("doc_id").alias("first_id")).withColumnRenamed("node", "own").join(roots, F.col("own") == roots.node, "left").select("own", "first_id", F.coalesce("root", "own").alias("root"))
+        rooted = named.groupBy("node").agg(F.min("doc_id").alias("first_id")).withColumnRenamed("node", "own").join(roots, F.col("own") == roots.node, "left").select("own", "first_id", F.coalesce("root", "own").alias("root"))
         ids = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
-        named = rooted.join(ids, "root").select("own", "component_id", "root")
-        return materialise(marked.select("doc_id", F.col("key").alias("fp"), "node").join(named, F.col("node") == F.col("own")).select("doc_id", "component_id", "fp", "root"), "groups")
+        told = rooted.join(ids, "root").select("own", "component_id", "root")
+        return materialise(named.select("doc_id", F.col("key").alias("fp"), "node").join(told, F.col("node") == F.col("own")).select("doc_id", "component_id", "fp", "root"), "groups")
 
 
 def keep_one_of_near(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
