@@ -128,6 +128,7 @@ def furnace_parts(spark: SparkSession, sf_dir: str, wide: bool = False) -> tuple
     shape = frames.BROAD if wide else frames.NARROW
     label = F.element_at(F.create_map(*[F.lit(x) for kv in CLASS_CODES.items() for x in kv]), F.col("y"))
     df = materialise(frames.series(spark, sf_dir, *shape).withColumn("label", label), "series")
+    df = baselines.standardised(df, frames.series_features(*shape))
     return [df.where(F.col("split") == s) for s in ("train", "validation", "test")], frames.series_features(*shape)
 
 
@@ -183,6 +184,7 @@ def encodings_by_cross_validation(spark: SparkSession, sf_dir: str, name: str =
     """
     select, key, categorical, continuous, n_classes = PUBLIC_LIKE[name]
     df = frames.frame(spark, sf_dir, select)
+    df = baselines.standardised(df, continuous) if continuous else df  # learners want one scale; cuts and rules don't see it
     df = materialise(df.select(*categorical, *continuous, "y", F.col("y").cast("double").alias("label"), F.pmod(F.xxhash64(key), F.lit(folds)).alias("fold")), "cv")
     b = params.suggest(len(categorical) + len(continuous), n_classes)
     k = 0
