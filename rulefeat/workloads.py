@@ -205,7 +205,7 @@ def encodings_by_cross_validation(spark: SparkSession, sf_dir: str, name: str =
         for mode, (x, z) in _encoded(train, test, k, categorical, continuous, b, model, ENCODINGS).items():
             for learner in learners_:
                 fit = logistic_fit if learner == "logistic" else perceptron_fit
-                out += [(mode, learner, metric, fold, float(v)) for metric, v in _fit_scores(x, z, fit, n_classes == 2).items()]
+                out += [(mode, learner, metric, fold, float(v)) for metric, v in _fit_scores(x, z, fit, n_classes == 2).items() if v is not None]  # no AUC without both classes
         return out
 
     rows = [r for fold in in_parallel([lambda f=f: run(f) for f in range(folds)]) for r in fold]
