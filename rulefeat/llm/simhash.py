@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import materialise, release, ship_package, trim_memory
+from ..storage import materialise, release, settings, ship_package, small_broadcasts, trim_memory
 from .components import connected
 from .marks import marked
 
@@ -131,14 +131,15 @@ def near_pairs(points: DataFrame, radius: int = 2, levels: int = 8, vantage: int
     """points(fp), distinct longs, to all pairs (u, v) with u <> v at `radius` differing bits or fewer, each once.
 
     Copies were one point before, so a leaf holds different fingerprints only; a leaf that is large all the same is split by the engine's skew join.
+    The questions are hundreds a point, which the engine takes for one when it sizes a join, so it is told to shuffle both sides.
     """
     homes = points.select("fp", leaf(F.col("fp"), levels, vantage).alias("leaf"))
     close = F.bit_count(F.col("u").bitwiseXOR(F.col("v"))) <= radius
     stored = homes.select(F.col("fp").alias("v"), "leaf")
-    inside = homes.select(F.col("fp").alias("u"), "leaf").join(stored, "leaf").where((F.col("u") < F.col("v")) & close)
+    inside = homes.select(F.col("fp").alias("u"), "leaf").join(stored.hint("merge"), "leaf").where((F.col("u") < F.col("v")) & close)
     steps = F.array(*[F.lit(x).cast("long") for x in overlapped(levels, radius)])
     asked = homes.select(F.col("fp").alias("u"), F.explode(steps).alias("step"), "leaf").select("u", (F.col("leaf") + F.col("step")).alias("leaf"))
-    across = asked.join(stored, "leaf").where(close)
+    across = asked.join(stored.hint("merge"), "leaf").where(close)
     return inside.select("u", "v").unionByName(across.select("u", "v"))
 
 
@@ -149,14 +150,16 @@ def near_components(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
     have fingerprint zero and link like others. Null ids get a row and don't count as smallest; a component of null ids alone has a null id.
     Repeated rows are repeated in the result; an empty table gives an empty one. Copies share a fingerprint and never form pairs.
     """
-    marked = materialise(fingerprints(docs, text_col, id_col, width), "fingerprints")
-    points = materialise(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "points")
-    chosen, vantage = choose_tree(points, radius)
-    roots = connected(near_pairs(points.select("fp"), radius, levels or chosen, vantage))
+    spark = docs.sparkSession
+    with settings(spark, small_broadcasts(spark)):
+        marked = materialise(fingerprints(docs, text_col, id_col, width), "fingerprints")
+        points = materialise(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "points")
+        chosen, vantage = choose_tree(points, radius)
+        roots = connected(near_pairs(points.select("fp"), radius, levels or chosen, vantage))
     rooted = points.join(roots, points.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     ids = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    named = rooted.join(ids, "root").select("fp", "component_id", "root")
-    return marked.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "fp", "root")
+    named = rooted.join(ids.hint("merge"), "root").select("fp", "component_id", "root")
+    return marked.join(named.hint("merge"), "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "fp", "root")
 
 
 def keep_one_of_each(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:

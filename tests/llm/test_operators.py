@@ -131,6 +131,22 @@ def test_vantage_point_tree_finds_all_pairs(spark, levels):
     assert len(got) == len(want) and {frozenset((r["u"], r["v"])) for r in got} == want
 
 
+def limits_seen(spark, monkeypatch, module, run):
+    """Broadcast limits while run() puts links together by module.connected, and whether the session's own is back after it."""
+    name, seen, true = "spark.sql.autoBroadcastJoinThreshold", [], module.connected
+    before = spark.conf.get(name)
+    monkeypatch.setattr(module, "connected", lambda links: seen.append(int(spark.conf.get(name))) or true(links))
+    run()
+    return seen, spark.conf.get(name) == before
+
+
+def test_what_the_tree_asks_stays_off_the_driver(spark, docs, monkeypatch):
+    points = spark.range(200).select(F.xxhash64("id").alias("fp"))
+    assert "Broadcast" not in simhash.near_pairs(points, 2, 8, 0)._jdf.queryExecution().executedPlan().toString()
+    seen, back = limits_seen(spark, monkeypatch, simhash, lambda: simhash.near_components(docs))
+    assert back and seen and max(seen) <= 1 << 18
+
+
 def test_near_copies_leave_one(spark, docs, empty):
     kept = simhash.keep_one_of_each(docs)
     assert kept.columns == docs.columns
