@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 pytest.importorskip("rulefeat.llm")
 
-from rulefeat.llm import bpe_trie, exact_dedup, license_rules, line_dedup, media, mixing, queries, secrets, simhash, token_count, toxicity  # noqa: E402
+from rulefeat.llm import bpe_trie, exact_dedup, license_rules, line_dedup, media, mixing, near_join, queries, secrets, simhash, token_count, toxicity  # noqa: E402
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, key string, digest string, h1 string, leaf string, size string"
 LONG = " ".join(f"w{i % 977}" for i in range(30_000))
@@ -147,6 +147,11 @@ def test_what_the_tree_asks_stays_off_the_driver(spark, docs, monkeypatch):
     assert back and seen and max(seen) <= 1 << 18
 
 
+def test_near_join_sends_no_large_side_through_the_driver(spark, docs, monkeypatch):
+    seen, back = limits_seen(spark, monkeypatch, near_join, lambda: near_join.near_groups(docs))
+    assert back and len(seen) == 2 and max(seen) <= 1 << 18
+
+
 def test_near_copies_leave_one(spark, docs, empty):
     kept = simhash.keep_one_of_each(docs)
     assert kept.columns == docs.columns
