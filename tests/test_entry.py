@@ -9,7 +9,7 @@ import pytest
 import __spark_entry__ as entry_module
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-CHECKED = ["item_counts_grouping_sets", "pair_counts_bits", "levelwise_baskets_l2", "nonredundant_rules", "nonredundant_margin2", "balanced_rules_lift", "feature_matrix", "bin_cuts_k4", "info_distance", "grid_smooth", "target_quintiles", "asof_previous_label", "stream_window_counts", "parameter_rules"]
+CHECKED = ["item_counts_grouping_sets", "pair_counts_bits", "levelwise_baskets_l2", "nonredundant_rules", "nonredundant_margin2", "balanced_rules_lift", "feature_matrix", "bin_cuts_k4", "info_distance", "grid_smooth", "target_quintiles", "asof_previous_label", "stream_window_counts", "parameter_rules", "hoeffding_table", "swap_bound_table"]
 
 
 def test_entry_has_rows(spark):
@@ -39,6 +39,13 @@ def test_query_equals_sql(spark, sf, name):
     assert comparable(entry_module.queries()[name](spark, sf).toPandas()) == comparable(con.execute(entry_module.oracle_sql()[name]).fetchdf())
 
 
+@pytest.mark.parametrize("name", ["hoeffding_table", "swap_bound_table"])
+def test_bounds_read_their_table(spark, sf, name):
+    found = entry_module.queries()[name](spark, sf)
+    assert any("lineitem" in f for f in found.inputFiles())
+    assert found.where("eps = 0.1").agg({"n": "sum"}).first()[0] == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
 def test_works_without_the_corpus_operators():
     hidden = """
 import importlib.util, sys
