@@ -46,6 +46,13 @@ def test_bounds_read_their_table(spark, sf, name):
     assert found.where("eps = 0.1").agg({"n": "sum"}).first()[0] == spark.read.parquet(f"{sf}/lineitem.parquet").count()
 
 
+def test_budgets_read_their_tables(spark, sf, tmp_path):
+    for t in TABLES:
+        (tmp_path / f"{t}.parquet").symlink_to(f"{sf}/{t}.parquet") if t != "part" else spark.read.parquet(f"{sf}/part.parquet").where("p_size <= 10 and p_partkey * 7919 % 100 >= 3").write.parquet(str(tmp_path / "part.parquet"))
+    classes = {r["p"]: (r["n_classes"], r["d_freq"]) for r in entry_module.queries()["parameter_rules"](spark, str(tmp_path)).collect()}
+    assert classes[6] == (1, 10) and classes[23] == (2, 40)
+
+
 def test_works_without_the_corpus_operators():
     hidden = """
 import importlib.util, sys
