@@ -304,3 +304,15 @@ def test_generator_source_and_formats(spark, tmp_path):
     assert spark.read.parquet(str(tmp_path / "by")).where("y = 0").count() > 0
     tables.register_views(spark, "/root/testdata/sf0.001", ["nation"])
     assert spark.sql("SELECT count(*) FROM nation").first()[0] == 25
+
+
+def test_package_is_shipped_once_from_many_threads(spark, monkeypatch):
+    import time
+
+    from rulefeat import storage, workloads
+
+    calls = []
+    monkeypatch.setattr(storage, "_SHIPPED", set())
+    monkeypatch.setattr(type(spark.sparkContext), "addPyFile", lambda self, path: (calls.append(path), time.sleep(0.2)))
+    workloads.in_parallel([lambda: storage.ship_package(spark)] * 4)
+    assert len(calls) == 1
