@@ -316,3 +316,19 @@ def test_package_is_shipped_once_from_many_threads(spark, monkeypatch):
     monkeypatch.setattr(type(spark.sparkContext), "addPyFile", lambda self, path: (calls.append(path), time.sleep(0.2)))
     workloads.in_parallel([lambda: storage.ship_package(spark)] * 4)
     assert len(calls) == 1
+
+
+def test_wide_records_are_counted_without_a_row_an_item(spark, monkeypatch):
+    from rulefeat.operators import counts
+    from rulefeat.operators.items import long_items
+
+    names = [f"a{i}" for i in range(1, 11)]
+    rows = [(i % 3 if i % 7 else None, "xyz"[i % 3] if i % 11 else None, *[None if (i * j) % 5 == 0 else float("nan") if j == 10 and i % 4 == 0 else float(i * j % 4) for j in range(1, 11)]) for i in range(200)]
+    df = spark.createDataFrame(rows, "g int, y string, " + ", ".join(f"{n} double" for n in names))
+    monkeypatch.setattr(counts, "BLOCK", 17)
+    for by, policy, label in ((("g",), "skip", True), ((), "category", False)):
+        got = counts.singles(df, names, "y", by, null_policy=policy, with_label=label)
+        assert "Generate" not in got._jdf.queryExecution().executedPlan().toString()
+        want = long_items(df, names, "y", by, None, policy, label).groupBy(*by, "f", "v", "y").count()
+        assert sorted(map(str, got.collect())) == sorted(str(r).replace("count=", "supp=") for r in want.collect()) != []
+        assert counts.singles(df.limit(0), names, "y", by, null_policy=policy).count() == 0
