@@ -325,3 +325,28 @@ def test_encodings_and_comparisons_run_small(spark, sf):
     assert {r["method"] for r in got} == set(workloads.ENCODINGS) and all(r["runs"] == 2 for r in got)
     errors = {r["method"]: r["mean"] for r in workloads.regression_comparison(spark, sf, 1, 60, 20, 3, forest_trees=5).collect()}
     assert len(errors) == 9 and errors["iterated_lasso"] < errors["base"] * 1.5
+
+
+def test_lockstep_learners_agree_with_the_library(spark):
+    """Codes, numbers, rules and nulls of two parts; the logistic learner has one optimum, so its log-loss on the other part is that of the library's; AUC as by its own function."""
+    from rulefeat.ml import lockstep
+
+    df = spark.range(3000).selectExpr("CAST(id % 3 AS STRING) AS a", "IF(id % 11 = 0, NULL, CAST((id * 7919 % 101) AS DOUBLE) / 50 - 1) AS x", "id", "CAST(id % 4 = 3 AS INT) AS part", "id % 7 = 0 AS draw")
+    df = df.withColumn("label", F.expr("CAST((id * 31 % 17 < 3) OR (a = '1' AND coalesce(x, 0) > 0) AS INT)"))
+    packed = lockstep.pack(df, "label", "part", "draw", ["a"], ["x"], {"a": ["0", "1", "2"]}, {"x": [0.0]}, 2)
+    assert packed.table("x", [0.0]) == ["b1", "b2", None]
+    one, high = np.array([False, True, False, False]), np.array([False, True, False])
+    design = lockstep.Design([("code", 0, np.array([0, 1, 2, -1], np.float32)), ("number", 0), ("rule", [(0, one), (1, high)])], frozenset([0]), frozenset([1]))
+    models = [lockstep.Model(0, np.arange(2), "logistic"), lockstep.Model(0, np.arange(3), "logistic"), lockstep.Model(0, np.arange(3), "perceptron")]
+    engine = lockstep.Lockstep(packed, [design])
+    fitted = engine.fit(models)
+    got, area = engine.tally(models, fitted), engine.auc(models, fitted)
+    for i, width in ((0, 2), (1, 3)):
+        made = df.select("part", F.col("label").cast("double").alias("label"), F.expr("CAST(a AS DOUBLE)").alias("c"), F.expr("coalesce(x, 0)").alias("n"), F.expr("CAST(a = '1' AND coalesce(x > 0, false) AS DOUBLE)").alias("r"))
+        made = made.select("part", "label", array_to_vector(F.array(*["c", "n", "r"][:width])).alias("features"))
+        train = made.where("part = 0")
+        want = learners.scores(learners.logistic(train.count()).fit(train).transform(made.where("part = 1")), True)
+        assert got[i][1] / got[i][0] == pytest.approx(want["log_loss"], abs=2e-4) and area[i] == pytest.approx(want["auc"], abs=2e-3)
+    assert got[2][1] / got[2][0] < got[0][1] / got[0][0] and got[2][0] == 750
+    scored = spark.createDataFrame([(0, 0.2, 0), (0, 0.2, 1), (0, 0.7, 1), (0, 0.7004, 0), (0, 1.0, 1)], "model int, s double, pos long")
+    assert lockstep.ranked(scored).first()["auc"] == evaluate.auc(scored, "pos", "s").first()[0]
