@@ -350,3 +350,9 @@ def test_lockstep_learners_agree_with_the_library(spark):
     assert got[2][1] / got[2][0] < got[0][1] / got[0][0] and got[2][0] == 750
     scored = spark.createDataFrame([(0, 0.2, 0), (0, 0.2, 1), (0, 0.7, 1), (0, 0.7004, 0), (0, 1.0, 1)], "model int, s double, pos long")
     assert lockstep.ranked(scored).first()["auc"] == evaluate.auc(scored, "pos", "s").first()[0]
+
+
+def test_each_learner_is_scored_at_the_best_point_of_its_grid(spark, sf):
+    got = workloads.furnace_tuned(spark, sf, (2, 3), (0, 5), 30).collect()
+    assert len(got) == 8 and {(r["method"], r["learner"]) for r in got} == {(m, p) for m in ("original", "mixed") for p in workloads.LEARNERS}
+    assert all(r["k"] in (2, 3) and r["value"] > 0 for r in got if r["method"] == "mixed")
