@@ -356,3 +356,11 @@ def test_each_learner_is_scored_at_the_best_point_of_its_grid(spark, sf):
     got = workloads.furnace_tuned(spark, sf, (2, 3), (0, 5), 30).collect()
     assert len(got) == 8 and {(r["method"], r["learner"]) for r in got} == {(m, p) for m in ("original", "mixed") for p in workloads.LEARNERS}
     assert all(r["k"] in (2, 3) and r["value"] > 0 for r in got if r["method"] == "mixed")
+
+
+def test_folds_with_own_cuts_share_one_table(spark, sf):
+    got = workloads.encodings_by_cross_validation(spark, sf, "star", 3, (2, 3), ("logistic",)).collect()
+    assert {r["method"] for r in got} == set(workloads.ENCODINGS) and {r["metric"] for r in got} == {"log_loss", "accuracy", "auc", "auc_hard"}
+    assert all(r["runs"] == 3 and r["k"] in (2, 3) for r in got)
+    loss = {r["method"]: r["mean"] for r in got if r["metric"] == "log_loss"}
+    assert loss["label_plus_rules"] < loss["original"]
