@@ -3,6 +3,7 @@
 import math
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.ml.functions import array_to_vector, vector_to_array
 from pyspark.sql import functions as F
@@ -399,3 +400,37 @@ def test_counted_records_are_learnt_as_rows_are(spark, sf):
     x, y, z, t = (np.repeat(a, b[3].astype(int), axis=0) for b in tables[0] for a in b[:2])
     want = -np.log(small.softmax_l1(x, y, 3, steps=4000)(z)[np.arange(len(t)), t]).mean()
     assert got[0][0] == pytest.approx(want, abs=1e-3) and got[1][0] == pytest.approx(want, abs=1e-3) and got[0][1] == pytest.approx(got[1][1], abs=0.1)
+
+
+def test_sets_of_parts_are_cut_mined_and_learnt_from_shared_counts(spark):
+    """Cuts on a coarse grid are those of a binner of each set; sets mined from one cube are those of each frame; gradients by tables of codes are those of the matrices. With nulls, NaN and infinite values."""
+    from rulefeat.ml import lockstep, tuning
+
+    df = spark.range(4000).selectExpr("id", "CAST(id % 5 AS STRING) AS a", "IF(id % 13 = 0, NULL, CAST(id % 3 AS STRING)) AS b", "IF(id % 11 = 0, NULL, IF(id % 97 = 1, DOUBLE('Infinity'), sin(id) * 10)) AS x", "IF(id % 17 = 0, DOUBLE('NaN'), CAST(id * 7919 % 23 AS DOUBLE)) AS z", "CAST(id * 31 % 4 AS INT) AS part", "id % 7 = 0 AS draw")
+    df = df.withColumn("label", F.expr("CAST((id * 31 % 17 < 3) OR (a = '1' AND coalesce(x, 0) > 2) AS INT)")).withColumn("y", F.col("label").cast("string"))
+    sets = {0: [1, 2], 1: [0, 2, 3], 2: [3]}
+    frames_of = {s: df.where(F.col("part").isin(own)) for s, own in sets.items()}
+    together = binning.fit_together(df, ["x", "z"], "label", 2, "part", sets, 5, grid=9)
+    assert {s: m.cuts for s, m in together.items()} == {s: binning.EntropyBinner(5, 20, ["x", "z"], "y").fit(d).cuts for s, d in frames_of.items()}
+    edges = {c: sorted({x for m in together.values() for x, _ in m.cuts[i]}) for i, c in enumerate(("x", "z"), 1)}
+    finite = df.withColumn("x", F.when(F.abs("x") < 100, F.col("x")).when(F.col("x").isNotNull(), 50.0))
+    packed = lockstep.pack(finite, "label", "part", "draw", ["a", "b"], ["x", "z"], {"a": list("01234"), "b": list("012")}, edges, 2)
+    columns = {s: [("a", None), ("b", None)] + [(c, [v for v, _ in m.cuts[i]]) for i, c in enumerate(("x", "z"), 1)] for s, m in together.items()}
+    binned, views = ["a", "b", "x_bin", "z_bin"], {s: (columns[s], own) for s, own in sets.items()}
+    plain = lambda: {s: together[s].transform(finite.where(F.col("part").isin(own))) for s, own in sets.items()}
+    got, want = (tuning.mined_together(packed, c, views, 40, plain, "y", binned).sets.orderBy("cv", "y", "rank").collect() for c in (lockstep.cube(packed, ["0", "1"], range(4)), None))
+    assert got == want and {r["size"] for r in got} == {1, 2}
+    made = [workloads._encodings(packed, columns[s], {"a": list("01234"), "b": list("012")}, [r for r in selectors.recut(tuning.mined_together(packed, None, views, 40, plain, "y", binned), 8).features.orderBy("cv", "feature_id").collect() if r["cv"] == s], own, [0]) for s, own in sets.items()]
+    engine = lockstep.Lockstep(packed, [d for d, _ in made])
+    models, rng = [lockstep.Model(s, used[m], "logistic") for s, (_, used) in enumerate(made) for m in workloads.ENCODINGS], np.random.default_rng(1)
+    engine.rows, asked = {d: counts for d, (_, counts) in engine.moments().items()}, {i: ("all", rng.normal(size=(len(m.columns) + 1, 2)) / 3) for i, m in enumerate(models)}
+    for sent in (asked, {i: asked[i] for i in (2, 7)}):
+        for i, (rows, _, gradient) in engine.evaluate(models, sent).items():
+            m, w, want = models[i], sent[i][1], 0.0
+            for batch in packed.blocks.collect():
+                if batch["part"] in engine.designs[m.design].train:
+                    ((_, _, y, codes, numbers),) = packed.opened()([pa.RecordBatch.from_pydict({"part": [batch["part"]], "n": [batch["n"]], "data": pa.array([bytes(batch["data"])], pa.binary())})])
+                    x = engine.designs[m.design].matrix(codes, numbers, float)
+                    p = lockstep.probabilities(x, m, w, 2) - np.eye(2)[y]
+                    want = want + np.vstack([x[:, m.columns].T @ p, p.sum(axis=0)])
+            assert rows == df.where(F.col("part").isin(sets[m.design])).count() and np.allclose(gradient, want, atol=0.05, rtol=1e-3)
