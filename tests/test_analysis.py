@@ -434,3 +434,31 @@ def test_sets_of_parts_are_cut_mined_and_learnt_from_shared_counts(spark):
                     p = lockstep.probabilities(x, m, w, 2) - np.eye(2)[y]
                     want = want + np.vstack([x[:, m.columns].T @ p, p.sum(axis=0)])
             assert rows == df.where(F.col("part").isin(sets[m.design])).count() and np.allclose(gradient, want, atol=0.05, rtol=1e-3)
+
+
+def test_series_windows_equal_plain_ones(spark, tmp_path):
+    """Rows held back from a user's run and from windows, nulls among values and users, against lists; runs go on over batches, blocks and forgotten rows."""
+    from datetime import datetime, timedelta
+
+    rng, n = np.random.default_rng(5), 400
+    rows = [(i, datetime(2024, 1, 1) + timedelta(seconds=7 * i), None if u == 3 else int(u), None if hole else round(float(v), 2), '{"k": 4}') for i, (u, hole, v) in enumerate(zip(rng.integers(0, 4, n), rng.random(n) < 0.1, rng.random(n) * 200))]
+    spark.createDataFrame(rows, "event_id long, ts timestamp, user_id long, value double, props string").write.parquet(f"{tmp_path}/events.parquet")
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "13")
+    try:
+        got = {r["event_id"]: r for r in frames.series(spark, str(tmp_path), 3, 2, (2, 5), block=50).collect()}
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+    assert len(got) == n
+    of: dict = {}
+    for i, _, user, value, _ in rows:
+        r, past, own = got[i], [x[3] for x in rows[:i]], of.setdefault(user, [])
+        assert [r[f"lag{j}"] for j in (1, 2, 3)] == [past[-j] if len(past) >= j else None for j in (1, 2, 3)]
+        assert [r[f"user_lag{j}"] for j in (1, 2)] == [own[-j] if len(own) >= j else None for j in (1, 2)] and r["user_events"] == len(own) + 1
+        assert r["gap"] == (7.0 if i else None) and r["prop"] == 4.0
+        own.append(value)
+        for size in (2, 5):
+            known = [v for v in past[-size:] if v is not None]
+            assert (r[f"least{size}"], r[f"most{size}"]) == ((min(known), max(known)) if known else (None, None))
+            assert r[f"mean{size}"] == (pytest.approx(np.mean(known)) if known else None)
+            assert r[f"spread{size}"] == (pytest.approx(np.std(known, ddof=1), abs=1e-6) if len(known) > 1 else None)
