@@ -402,6 +402,16 @@ def test_counted_records_are_learnt_as_rows_are(spark, sf):
     assert got[0][0] == pytest.approx(want, abs=1e-3) and got[1][0] == pytest.approx(want, abs=1e-3) and got[0][1] == pytest.approx(got[1][1], abs=0.1)
 
 
+def test_counted_records_outlast_their_learners():
+    """The learners' own state leaves the records as they were: a second fit is that of the first, and both can be tested."""
+    x, y, draw, times = np.array([[0.0, 1.0], [1.0, 0.0], [1.0, 1.0], [0.0, 1.0]]), np.array([0, 1, 2, 0]), np.array([0, 0, 0, 1]), np.array([40.0, 30.0, 20.0, 10.0])
+    engine = lockstep.Counted([((x, y, draw, times), (x, y, draw, times))], 3, scaled=False)
+    models = [lockstep.Model(0, np.arange(2), kind) for kind in ("logistic", "perceptron")]
+    one, two = (engine.tally(models, engine.fit(models)) for _ in range(2))
+    for i in (0, 1):
+        assert one[i][0] == 100 and one[i][1] == two[i][1] < 100 * np.log(3) and (np.diag(one[i][2]) == [50, 30, 20]).all()
+
+
 def test_sets_of_parts_are_cut_mined_and_learnt_from_shared_counts(spark):
     """Cuts on a coarse grid are those of a binner of each set; sets mined from one cube are those of each frame; gradients by tables of codes are those of the matrices. With nulls, NaN and infinite values."""
     from rulefeat.ml import lockstep, tuning
