@@ -412,6 +412,19 @@ def test_counted_records_outlast_their_learners():
         assert one[i][0] == 100 and one[i][1] == two[i][1] < 100 * np.log(3) and (np.diag(one[i][2]) == [50, 30, 20]).all()
 
 
+def test_counted_records_with_a_constant_column():
+    """A column that is always 1 gets no coefficient beside the free intercept, and what is learnt is that of the other column alone."""
+    y, draw, times = np.array([0, 1, 2, 0]), np.zeros(4, int), np.array([40.0, 30.0, 20.0, 10.0])
+    x = np.array([[0.0, 1.0], [1.0, 1.0], [1.0, 1.0], [0.0, 1.0]])
+    losses = []
+    for z in (x, x[:, :1]):
+        engine, model = lockstep.Counted([((z, y, draw, times), (z, y, draw, times))], 3, scaled=False), [lockstep.Model(0, np.arange(z.shape[1]), "logistic")]
+        fitted = engine.fit(model)
+        losses.append(engine.tally(model, fitted)[0][1])
+        assert not fitted[0][1:-1].any()
+    assert losses[0] == pytest.approx(losses[1]) and losses[0] < 60
+
+
 def test_sets_of_parts_are_cut_mined_and_learnt_from_shared_counts(spark):
     """Cuts on a coarse grid are those of a binner of each set; sets mined from one cube are those of each frame; gradients by tables of codes are those of the matrices. With nulls, NaN and infinite values."""
     from rulefeat.ml import lockstep, tuning
