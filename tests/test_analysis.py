@@ -367,6 +367,18 @@ def test_folds_with_own_cuts_share_one_table(spark, sf):
     assert loss["label_plus_rules"] < loss["original"]
 
 
+def test_the_largest_set_has_both_learners_and_all_numbers_of_intervals(spark, sf, monkeypatch):
+    from rulefeat import catalog
+
+    packed, fitted = [], []
+    pack, fit = lockstep.Lockstep.__init__, lockstep.Lockstep.fit
+    monkeypatch.setattr(lockstep.Lockstep, "__init__", lambda self, p, designs, scaled=True: (packed.append(len(designs)), pack(self, p, designs, scaled))[1])
+    monkeypatch.setattr(lockstep.Lockstep, "fit", lambda self, models, *more: (fitted.append([m.kind for m in models]), fit(self, models, *more))[1])
+    got = catalog.queries()["encodings_star"](spark, sf).collect()
+    assert {(r["method"], r["learner"]) for r in got} == {(m, w) for m in workloads.ENCODINGS for w in workloads.LEARNERS}
+    assert packed == [9, 5] and len(fitted[0]) == 9 and {w: fitted[1].count(w) for w in workloads.LEARNERS} == {"logistic": 20, "perceptron": 20}
+
+
 def test_bit_planes_are_the_frame_and_are_mined_alike(spark, sf):
     """Line items as bit planes: the miner's sets, and the records by features held, are those of the table of strings; so with nulls."""
     xs = [f"x{i}" for i in range(1, 13)]
