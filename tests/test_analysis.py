@@ -353,6 +353,26 @@ def test_lockstep_learners_agree_with_the_library(spark):
     assert lockstep.ranked(scored).first()["auc"] == evaluate.auc(scored, "pos", "s").first()[0]
 
 
+def test_perceptron_passes_copy_no_columns():
+    """Products with ranges of neighbouring columns are those with the columns themselves, in any order, with gaps, or none at all; so are losses and gradients, against differences of the loss."""
+    rng = np.random.default_rng(3)
+    x = np.asfortranarray(rng.random((50, 90)))
+    for columns, ranges in ((np.arange(90), 1), (np.append(np.arange(40, 60), np.arange(5)), 2), (np.array([70, 3, 75]), 2), (np.arange(0), 0)):
+        spans, w, back = lockstep.Spans(columns), rng.random((len(columns), 4)), rng.random((50, 4))
+        assert len(spans.ranges) == ranges and np.allclose(spans.times(x, w), x[:, columns] @ w) and np.allclose(spans.sums(x, back), x[:, columns].T @ back)
+        assert all(np.shares_memory(x, x[:, a:b]) for a, b in spans.ranges)
+    columns, sizes, y = np.array([70, 3, 75]), [3, *lockstep.HIDDEN, 3], rng.integers(0, 3, 50)
+    w = rng.normal(size=sum(a * b + b for a, b in zip(sizes, sizes[1:])))
+    loss = lambda w: lockstep._loss(lockstep._forward(x[:, columns], lockstep._layers(w, sizes))[-1], y)
+    spans, layers = lockstep.Spans(columns), lockstep._layers(w, sizes)
+    seen = lockstep._forward(x, layers, spans)
+    assert lockstep._loss(seen[-1], y) == pytest.approx(loss(w))
+    got = lockstep._backward(seen, layers, seen[-1] - np.eye(3)[y], spans)
+    for i in (0, 40, 95, 1000, len(w) - 1):
+        step = np.eye(1, len(w), i)[0] * 1e-5
+        assert got[i] == pytest.approx((loss(w + step) - loss(w - step)) / 2e-5, abs=1e-4)
+
+
 def test_each_learner_is_scored_at_the_best_point_of_its_grid(spark, sf):
     got = workloads.furnace_tuned(spark, sf, (2, 3), (0, 5), 30).collect()
     assert len(got) == 8 and {(r["method"], r["learner"]) for r in got} == {(m, p) for m in ("original", "mixed") for p in workloads.LEARNERS}
